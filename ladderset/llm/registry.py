@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, line_dedup
+from . import exact_dedup, line_dedup, packing, token_files
 
-MODULES = [exact_dedup, line_dedup]
+MODULES = [exact_dedup, line_dedup, packing, token_files]
 
 
 def queries() -> dict:
