@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, line_dedup, packing, token_files
+from . import exact_dedup, line_dedup, packing, quality_rules, token_files, toxicity
 
-MODULES = [exact_dedup, line_dedup, packing, token_files]
+MODULES = [exact_dedup, line_dedup, packing, quality_rules, token_files, toxicity]
 
 
 def queries() -> dict:
