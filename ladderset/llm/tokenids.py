@@ -90,6 +90,9 @@ class BatchEncoder:
             rest = [i for i in rest if ids[i] is None]
         for i, enc in zip(rest, self.tokenizer.encode_batch_fast([texts[i] for i in rest], add_special_tokens=False), strict=True):
             ids[i] = np.asarray(enc.ids, np.uint32)
+        self._keep(pieces, ids)
+
+    def _keep(self, pieces: list[bytes], ids: list[np.ndarray]) -> None:
         flat = np.concatenate(ids) if ids else np.empty(0, np.uint32)
         ends = self.stored + np.cumsum([len(x) for x in ids])
         while self.stored + len(flat) > len(self.store):
@@ -102,32 +105,38 @@ class BatchEncoder:
         self.stored += len(flat)
         self.count += len(ids)
 
+    def _cut(self, buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Bytes of all pieces, where each starts (and the end), and the index of each row's first piece."""
+        space, mark = SPACE[buf], _MARK[buf]
+        opens = np.empty(len(buf) + 1, bool)
+        opens[0] = True
+        opens[1:-1] = space[:-1] | (mark[1:] & _LETTER[buf[:-1]])
+        opens[off] = True
+        black = ~space
+        opens = (opens[:-1] & black)[black]
+        kept = buf[black]
+        if self.lowers:  # fewer distinct pieces; not before a combining mark, where it could change what composes
+            kept = np.where(np.append(kept[1:], 0) < 128, LOWER[kept], kept)
+        start = np.append(np.flatnonzero(opens), len(kept)).astype(np.int64)
+        seen = np.concatenate([[0], np.cumsum(black, dtype=np.int64)])[off]
+        return kept, start, np.searchsorted(start[:-1], seen)
+
+    def _codes(self, kept: np.ndarray, start: np.ndarray) -> np.ndarray:
+        """Each piece's place among the remembered ones; new ones are encoded first."""
+        pieces = pa.Array.from_buffers(pa.large_binary(), len(start) - 1, [None, pa.py_buffer(start), pa.py_buffer(kept)]).dictionary_encode()
+        words = pieces.dictionary.to_pylist()
+        if self.count + len(words) > MEMORY_PIECES:
+            self._forget()
+        if new := [w for w in words if w not in self.known]:
+            self._learn(new)
+        place = np.fromiter(map(self.known.__getitem__, words), np.int64, len(words))
+        return place[pieces.indices.to_numpy(zero_copy_only=False)]
+
     def _encode_pieces(self, buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        rows = len(off) - 1
-        if len(buf):
-            space, mark = SPACE[buf], _MARK[buf]
-            opens = np.empty(len(buf) + 1, bool)
-            opens[0] = True
-            opens[1:-1] = space[:-1] | (mark[1:] & _LETTER[buf[:-1]])
-            opens[off] = True
-            black = ~space
-            opens = (opens[:-1] & black)[black]
-            kept = buf[black]
-            if self.lowers:  # fewer distinct pieces; not before a combining mark, where it could change what composes
-                kept = np.where(np.append(kept[1:], 0) < 128, LOWER[kept], kept)
-            start = np.append(np.flatnonzero(opens), len(kept)).astype(np.int64)
-            seen = np.concatenate([[0], np.cumsum(black, dtype=np.int64)])[off]
-            first = np.searchsorted(start[:-1], seen)
-            pieces = pa.Array.from_buffers(pa.large_binary(), len(start) - 1, [None, pa.py_buffer(start), pa.py_buffer(kept)]).dictionary_encode()
-            words = pieces.dictionary.to_pylist()
-            if self.count + len(words) > MEMORY_PIECES:
-                self._forget()
-            if new := [w for w in words if w not in self.known]:
-                self._learn(new)
-            place = np.fromiter(map(self.known.__getitem__, words), np.int64, len(words))
-            code = place[pieces.indices.to_numpy(zero_copy_only=False)]
-        else:
-            code, first = np.empty(0, np.int64), np.zeros(rows + 1, np.int64)
+        if not len(buf):
+            return np.empty(0, np.uint32), np.zeros(len(off), np.int64)
+        kept, start, first = self._cut(buf, off)
+        code = self._codes(kept, start)
         begin, length = self.at[code], self.at[code + 1] - self.at[code]
         ends = np.concatenate([[0], np.cumsum(length)])
         return self.store[gather(begin, length)], ends[first]
