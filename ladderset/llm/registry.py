@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, line_dedup, lm_scoring, ngram_join, packing, quality_rules, sentencepieces, token_files, toxicity
+from . import exact_dedup, line_dedup, lm_scoring, ngram_join, packing, quality_rules, sentencepieces, token_files, toxicity, warc
 
-MODULES = [exact_dedup, line_dedup, lm_scoring, ngram_join, packing, quality_rules, sentencepieces, token_files, toxicity]
+MODULES = [exact_dedup, line_dedup, lm_scoring, ngram_join, packing, quality_rules, sentencepieces, token_files, toxicity, warc]
 
 
 def queries() -> dict:
