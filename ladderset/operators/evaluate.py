@@ -16,11 +16,14 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import WIDTH, mother_hash, prefix_hash
 from ..plans.choose import balanced_b, choose_r, choose_tier, field_bits, pick_rung
-from ..plans.expr import MASK_BITS, Expr, Leaf, Node, all_of, bounds, flatten, fold, holds, leaves, mask_columns, parse, path_conditions, set_ids, union_depth, walk
+from ..plans.expr import MASK_BITS, Expr, Leaf, Node, all_of, allowed_masks, bit_is_set, bounds, flatten, fold, holds, leaves, mask_columns, parse, set_ids, union_depth, walk
 from . import ladder as L
 from .packed import Ops, packed_intersect, packed_union
 
 
+bit_of = bit_is_set
+
+
 def as_expr(e: Expr | str) -> Expr:
     return parse(e) if isinstance(e, str) else e
 
@@ -68,11 +71,8 @@ def shrink(e: Expr | str, family: DataFrame, r: int, mode: str = "path", kind: s
     h = sketch(e, family, r, kind, seed).select("hv", *[F.col(c).alias(f"h_{c}") for c in cols])
     kept = rows.join(h, "hv")
     if mode == "path":
-        ways = path_conditions(e, [F.col(f"h_{c}") for c in cols])
-        for j, c in enumerate(cols):
-            part = ways[j * MASK_BITS : (j + 1) * MASK_BITS]
-            allowed = reduce(lambda a, b: a.bitwiseOR(b), [F.when(w, F.lit(1 << i)).otherwise(F.lit(0)).cast("long") for i, w in enumerate(part)])
-            kept = kept.withColumn(c, F.col(c).bitwiseAND(allowed))
+        for c, ok in zip(cols, allowed_masks(e, [F.col(f"h_{c}") for c in cols]), strict=True):
+            kept = kept.withColumn(c, F.col(c).bitwiseAND(ok))
         kept = kept.where(reduce(lambda a, b: a | b, [F.col(c) != 0 for c in cols]))
     return kept.select("hv", "elem", *cols)
 
@@ -194,7 +194,6 @@ def packed_candidates(e: Expr | str, rungs: DataFrame, r: int, cards: dict[str,
     ids = set_ids(e)
     b = min(r, balanced_b(max(1, sum(cards.values()))))
     s = max(0, b - PER_GROUP_BITS)
-    names = [x.set_id for x in leaves(e)]
     have = {x["set_id"]: sorted(x["rs"]) for x in rungs.where(F.col("set_id").isin(ids)).groupBy("set_id").agg(F.collect_set("r").alias("rs")).collect()}
     wanted = reduce(lambda a, c: a | c, [(F.col("set_id") == k) & (F.col("r") == pick_rung(v, r)) for k, v in have.items()]) if have else F.lit(False)
     info = {x["node"]: x for x in bounds(e, cards)}
@@ -250,10 +249,8 @@ def packed_candidates(e: Expr | str, rungs: DataFrame, r: int, cards: dict[str,
         number = 0
         for me, parent, node in rows_of:
             if parent >= 0:
-                above = rows_of[parent][2]
                 # the taken-away side of a difference is judged by its parent too: what can't be in the answer needn't be taken away
-                top = final[0] if mode == "global" else final[parent]
-                final[me] = packed_intersect(value[me], top, f, ops) if above else value[me]
+                final[me] = packed_intersect(value[me], final[0] if mode == "global" else final[parent], f, ops)
             if isinstance(node, Leaf):
                 v = unpack(final[me], f)
                 i, j = np.nonzero(v != none)
@@ -264,7 +261,6 @@ def packed_candidates(e: Expr | str, rungs: DataFrame, r: int, cards: dict[str,
 
     dealt = rungs.where(wanted).mapInArrow(deal, L.RUNGS)
     grouped = dealt.withColumn("g", F.shiftrightunsigned("bucket", b - s)).groupBy("g")
-    assert names
     return grouped.applyInArrow(run, "leaf int, hv long")
 
 

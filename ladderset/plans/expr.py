@@ -221,37 +221,80 @@ def bit_is_set(i: int, cols: list[Column]) -> Column:
     return cols[i // MASK_BITS].bitwiseAND(F.lit(1 << (i % MASK_BITS))) != 0
 
 
-def holds(e: Expr, cols: list[Column], sketch: bool = False) -> Column:
-    """The expression over provenance masks (bit i: in the set of leaf i). In a sketch nothing is taken away."""
-    return fold(e, lambda i, _: bit_is_set(i, cols), lambda a, b: a | b, lambda a, b: a & b, lambda a, b: a if sketch else a & ~b)
+class Masks:
+    """The expression over provenance masks (bit i: in the set of leaf i), in as few terms as its operators need.
 
+    Runs of leaves below one operator become a single comparison with a constant mask.
+    """
 
-def path_conditions(e: Expr, cols: list[Column]) -> list[Column]:
-    """For each leaf, whether all its ancestors hold: its occurrences can matter only then."""
-    out: list[Column] = []
-    number = iter(range(1 << 30))
+    def __init__(self, e: Expr, cols: list[Column], sketch: bool = False):
+        self.cols, self.sketch, self.e = cols, sketch, flatten(e)
+
+    @staticmethod
+    def _split(n: Node, at: int) -> tuple[list[int], list[tuple[Node, int]]]:
+        """Numbers of the leaves right below a node whose first leaf is number `at`, and its other children with theirs."""
+        own, rest = [], []
+        for c in n.children:
+            if isinstance(c, Leaf):
+                own.append(at)
+            else:
+                rest.append((c, at))
+            at += len(leaves(c))
+        return own, rest
+
+    @staticmethod
+    def _mask(numbers: list[int], j: int) -> int:
+        return sum(1 << (i % MASK_BITS) for i in numbers if i // MASK_BITS == j)
+
+    def _terms(self, numbers: list[int], every: bool) -> list[Column]:
+        out = []
+        for j, col in enumerate(self.cols):
+            if m := self._mask(numbers, j):
+                got = col.bitwiseAND(F.lit(m))
+                out.append(got == m if every else got != 0)
+        return out
 
-    def value(n: Expr) -> tuple[Column, list[list[Column]]]:
-        """The node's condition, and per leaf below it the conditions on the way."""
+    def value(self, n: Expr | None = None, at: int = 0) -> Column:
+        n = self.e if n is None else n
         if isinstance(n, Leaf):
-            c = bit_is_set(next(number), cols)
-            return c, [[c]]
-        kids = [value(c) for c in n.children]
-        c = kids[0][0]
-        for k, _ in kids[1:]:
-            c = (c | k) if n.op == "or" else (c & k) if n.op == "and" else c
-        if n.op == "minus":  # what is taken away matters where the first side holds, whatever its own value
-            ways = [[*w, c] for w in kids[0][1]] + [[w[0], c] for w in kids[1][1]]
-        else:
-            ways = [[*w, c] for _, ws in kids for w in ws]
-        return c, ways
-
-    for ways in value(e)[1]:
-        cond = ways[0]
-        for w in ways[1:]:
-            cond = cond & w
-        out.append(cond)
-    return out
+            return bit_is_set(at, self.cols)
+        if n.op == "minus":
+            a = self.value(n.children[0], at)
+            return a if self.sketch else a & ~self.value(n.children[1], at + len(leaves(n.children[0])))
+        own, rest = self._split(n, at)
+        terms = self._terms(own, n.op == "and") + [self.value(c, i) for c, i in rest]
+        out = terms[0]
+        for t in terms[1:]:
+            out = out & t if n.op == "and" else out | t
+        return out
+
+    def allowed(self, j: int, n: Expr | None = None, at: int = 0) -> Column:
+        """Of mask column j, the leaves whose ancestors all hold. Below a union that follows from the leaf itself."""
+        n = self.e if n is None else n
+        keep = lambda numbers: self.cols[j].bitwiseAND(F.lit(self._mask(list(numbers), j)).cast("long"))
+        if isinstance(n, Leaf):
+            return keep([at])
+        if n.op == "minus":
+            first = n.children[0]
+            # what is taken away matters where the first side holds, whatever its own value
+            both = self.allowed(j, first, at).bitwiseOR(keep(range(at + len(leaves(first)), at + len(leaves(n)))))
+            return F.when(self.value(first, at), both).otherwise(F.lit(0).cast("long"))
+        own, rest = self._split(n, at)
+        out = keep(own)
+        for c, i in rest:
+            out = out.bitwiseOR(self.allowed(j, c, i))
+        return F.when(self.value(n, at), out).otherwise(F.lit(0).cast("long")) if n.op == "and" else out
+
+
+def holds(e: Expr, cols: list[Column], sketch: bool = False) -> Column:
+    """Whether masks satisfy the expression. In a sketch nothing is taken away."""
+    return Masks(e, cols, sketch).value()
+
+
+def allowed_masks(e: Expr, cols: list[Column]) -> list[Column]:
+    """Masks cut to the occurrences that can still matter, by the sketch's masks."""
+    m = Masks(e, cols, sketch=True)
+    return [m.allowed(j) for j in range(len(cols))]
 
 
 def to_sql(e: Expr, leaf_sql: Callable[[str], str]) -> str:

@@ -42,7 +42,7 @@ TABLES = "region nation customer supplier part orders lineitem events documents
 EXPLODED = {
     "term_docs": ("documents", "regexp_extract_all(lower(text), '[a-z]+', 0)", "regexp_extract_all(lower(text), '[a-z]+')", "doc_id"),
     "term_turns": ("conversations", "regexp_extract_all(lower(text), '[a-z]+', 0)", "regexp_extract_all(lower(text), '[a-z]+')", "conv_id * 1000 + turn"),
-    "dim_vecs": ("embeddings", "transform(filter(transform(embedding, (x, i) -> struct(x, i)), s -> s.x > 0), s -> concat('dim', cast(s.i + 1 as string)))", "list_transform(list_filter(range(1, 65), i -> embedding[i] > 0), i -> concat('dim', cast(i as string)))", "vec_id"),
+    "dim_vecs": ("embeddings", "transform(filter(transform(embedding, (x, i) -> struct(x, i)), s -> s.x > 0), s -> concat('dim', cast(s.i + 1 as string)))", "list_transform(list_filter(range(1, 65), lambda i: embedding[i] > 0), lambda i: concat('dim', cast(i as string)))", "vec_id"),
     "page_links": ("pages", "regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)", "regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)", "page_id"),
 }
 
@@ -113,7 +113,7 @@ def synthetic(spark: SparkSession, kind: str, n: int, m: int = 2, k: int = 1) ->
     if kind == "equal":
         return base.crossJoin(spark.range(m).withColumnRenamed("id", "s")).select(F.concat(F.lit("s"), F.col("s")).alias("set_id"), F.col("id").alias("elem"))
     if kind == "nested":
-        return base.crossJoin(spark.range(m).withColumnRenamed("id", "s")).where(F.col("id") < F.shiftrightunsigned(F.lit(n), F.col("s").cast("int"))).select(F.concat(F.lit("s"), F.col("s")).alias("set_id"), F.col("id").alias("elem"))
+        return base.crossJoin(spark.range(m).withColumnRenamed("id", "s")).where(F.col("id") < F.call_function("shiftrightunsigned", F.lit(n).cast("long"), F.col("s").cast("int"))).select(F.concat(F.lit("s"), F.col("s")).alias("set_id"), F.col("id").alias("elem"))
     if kind == "skewed":
         small = spark.range(k).select(F.lit("s0").alias("set_id"), (F.col("id") * (n // max(1, k))).alias("elem"))
         return small.union(base.select(F.lit("s1").alias("set_id"), F.col("id").alias("elem")))
