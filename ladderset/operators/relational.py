@@ -269,7 +269,7 @@ def _per_user():
     return Window.partitionBy("user_id").orderBy("ts", "event_id")
 
 
-op("win_rank", f"SELECT o_orderkey, row_number() {_W}) AS rn, rank() OVER (PARTITION BY o_orderpriority ORDER BY o_custkey) AS rk, dense_rank() OVER (PARTITION BY o_orderpriority ORDER BY o_custkey) AS dr, ntile(4) {_W}) AS nt, round(percent_rank() {_W}), 6) AS pr, round(cume_dist() {_W}), 6) AS cd FROM orders")(
+op("win_rank", f"SELECT o_orderkey, CAST(row_number() {_W}) AS INT) AS rn, CAST(rank() OVER (PARTITION BY o_orderpriority ORDER BY o_custkey) AS INT) AS rk, CAST(dense_rank() OVER (PARTITION BY o_orderpriority ORDER BY o_custkey) AS INT) AS dr, CAST(ntile(4) {_W}) AS INT) AS nt, round(percent_rank() {_W}), 6) AS pr, round(cume_dist() {_W}), 6) AS cd FROM orders")(
     tab("orders")(lambda t: t.select("o_orderkey", F.row_number().over(_cust()).alias("rn"), F.rank().over(w := Window.partitionBy("o_orderpriority").orderBy("o_custkey")).alias("rk"), F.dense_rank().over(w).alias("dr"), F.ntile(4).over(_cust()).alias("nt"), F.round(F.percent_rank().over(_cust()), 6).alias("pr"), F.round(F.cume_dist().over(_cust()), 6).alias("cd")))
 )
 _EW = "OVER (PARTITION BY user_id ORDER BY ts, event_id"
