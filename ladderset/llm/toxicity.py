@@ -34,6 +34,8 @@ MAX_ROWS = 12_000
 FOLDS = 3
 #: Standard errors that a word's log odds must be away from nothing.
 MIN_Z = 3.0
+#: Training texts that a word must be in.
+MIN_TEXTS = 6
 #: No verdict below this probability, whatever the out-of-fold cut.
 MIN_CUT = 0.2
 SLICE_BYTES = 6 << 20
@@ -76,7 +78,7 @@ def fit_linear(row: np.ndarray, slot: np.ndarray, dense: np.ndarray, y: np.ndarr
     pos, neg = np.bincount(slot, y[row], size), np.bincount(slot, 1 - y[row], size)
     ratio = np.log((pos + 0.5) / (y.sum() + 1)) - np.log((neg + 0.5) / ((1 - y).sum() + 1))
     # only words whose log odds stand clear of their sampling error (few texts say little, however lopsided)
-    clear = (np.abs(ratio) >= MIN_Z * np.sqrt(1 / (pos + 0.5) + 1 / (neg + 0.5))) & (pos + neg >= 3)
+    clear = (np.abs(ratio) >= MIN_Z * np.sqrt(1 / (pos + 0.5) + 1 / (neg + 0.5))) & (pos + neg >= MIN_TEXTS)
     some = clear[slot]
     row, slot = row[some], slot[some]
     if not len(row):
@@ -114,10 +116,10 @@ class Chain:
 
 
 def best_threshold(p: np.ndarray, y: np.ndarray) -> float:
-    """The cut with the best F-measure on out-of-fold probabilities, precision counting more (beta 0.5)."""
+    """The cut with the best F1 on out-of-fold probabilities."""
     order = np.argsort(-p, kind="stable")
     hits = np.cumsum(y[order])
-    score = 1.25 * hits / (np.arange(1, len(y) + 1) + 0.25 * max(1, y.sum()))
+    score = 2 * hits / (np.arange(1, len(y) + 1) + max(1, y.sum()))
     # only cut between different values
     ok = np.append(p[order][1:] < p[order][:-1], True)
     k = int(np.argmax(np.where(ok, score, -1)))
