@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..operators.packed import pack_run, unpack_run
+from ..operators.packed import compact, layout, pack_run, unpack, unpack_run
 from ..plans.expr import fold, parse
 
 QUERIES: dict = {}
@@ -26,6 +26,25 @@ def unpack_values(words: pd.Series, f: pd.Series) -> pd.Series:
     return pd.Series([unpack_run(np.asarray(w, np.int64).view(np.uint64), int(b)).astype(np.int64) for w, b in zip(words, f, strict=True)])
 
 
+@F.pandas_udf(T.ArrayType(T.LongType()))
+def compact_values(words: pd.Series, f: pd.Series) -> pd.Series:
+    """Packed words without the entries that are multiples of 3, moved to the front."""
+    out = []
+    for w, b in zip(words, f, strict=True):
+        lo, z = layout(int(b)), np.asarray(w, np.int64).view(np.uint64)[None, :]
+        v = unpack(z, int(b)).reshape(z.shape[1], lo.k)
+        gone = ((v % np.uint64(3) == 0) | (v == lo.none)).astype(np.uint64)
+        marks = np.bitwise_or.reduce(gone << (np.arange(lo.k, dtype=np.uint64) * np.uint64(lo.g) + np.uint64(lo.f)), axis=1)[None, :]
+        out.append(compact(z, marks, int(b))[0].view(np.int64))
+    return pd.Series(out)
+
+
+def packed_compact(spark: SparkSession, folder: str) -> DataFrame:
+    arrays = _families(spark, folder).withColumn("g", F.floor(F.col("elem") / 64)).groupBy("set_id", "g").agg(F.collect_set("elem").alias("v"))
+    kept = arrays.withColumn("u", unpack_values(compact_values(pack_values("v", F.lit(40)), F.lit(40)), F.lit(40)))
+    return kept.select("set_id", F.posexplode("u").alias("pos", "elem"))
+
+
 def mask_holds(text: str):
     """A grouped aggregate: whether the or of provenance masks satisfies the expression."""
     e = parse(text)
@@ -100,9 +119,10 @@ def _register() -> None:
 
     fam = family_sql("flag_orders")
     one = lambda s: f"SELECT elem FROM fam WHERE set_id = '{s}'"
-    QUERIES.update(udf_pack_unpack=udf_pack_unpack, udaf_mask_eval=udaf_mask_eval, udtf_expr_nodes=udtf_expr_nodes, udtf_set_members=udtf_set_members)
+    QUERIES.update(packed_compact=packed_compact, udf_pack_unpack=udf_pack_unpack, udaf_mask_eval=udaf_mask_eval, udtf_expr_nodes=udtf_expr_nodes, udtf_set_members=udtf_set_members)
     SQL.update(
         udf_pack_unpack=fam,
+        packed_compact=f"SELECT set_id, CAST(row_number() OVER (PARTITION BY set_id, elem // 64 ORDER BY elem) - 1 AS INT) AS pos, elem FROM ({fam}) WHERE elem % 3 <> 0",
         udaf_mask_eval=f"WITH fam AS ({fam}) ({one('AF')} INTERSECT {one('AO')}) UNION ({one('RF')} INTERSECT {one('RO')})",
         udtf_expr_nodes="SELECT * FROM (VALUES (0, -1, 'or', NULL), (1, 0, 'and', NULL), (2, 1, 'leaf', 'AF'), (3, 1, 'leaf', 'AO'), (4, 0, 'leaf', 'RF')) t(node, parent, op, set_id)",
         udtf_set_members=f"SELECT DISTINCT set_id, {mother_hash_sql('elem')} >> 46 AS hv FROM ({fam})",

@@ -412,6 +412,8 @@ def equality_gadget(spark, folder):
 
 
 QUERIES["w18_equality"], SQL["w18_equality"] = equality_test, SQL["equality_test"]
+QUERIES["set_equal_test"], SQL["set_equal_test"] = equality_test, SQL["equality_test"]
+QUERIES["set_disjoint_test"], SQL["set_disjoint_test"] = disjoint_test, SQL["disjoint_test"]
 QUERIES["unique_intersection"], SQL["unique_intersection"] = w17_unique, SQL["w17_unique_intersection"]
 
 
