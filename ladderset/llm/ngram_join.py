@@ -309,3 +309,19 @@ def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, i
 
 def op5_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return similar_groups(table(spark, sf_dir, "documents"), k=3, num=90, den=100)
+
+
+ORACLE = {
+    "op5_ngram_jaccard": r"""
+        WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+        s AS (SELECT DISTINCT doc_id, array_to_string(ws[i:i + 2], ' ') AS g FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 1)) AS i FROM w WHERE len(ws) >= 3)
+              UNION ALL SELECT doc_id, array_to_string(ws, ' ') FROM w WHERE len(ws) IN (1, 2)),
+        c AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+        common AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS k FROM s x JOIN s y USING (g) WHERE x.doc_id <> y.doc_id GROUP BY 1, 2),
+        link AS (SELECT a, b FROM common JOIN c x ON x.doc_id = a JOIN c y ON y.doc_id = b WHERE 100 * k >= 90 * (x.n + y.n - k)),
+        reach AS (SELECT DISTINCT a AS doc_id, a AS other FROM link UNION SELECT reach.doc_id, link.b FROM reach JOIN link ON link.a = reach.other),
+        smallest AS (SELECT doc_id, min(other) AS component_id FROM reach GROUP BY 1)
+        SELECT w.doc_id, CAST(coalesce(c.n, 0) AS BIGINT) AS n_shingles, coalesce(component_id, w.doc_id) AS component_id
+        FROM w LEFT JOIN c USING (doc_id) LEFT JOIN smallest USING (doc_id)
+    """
+}

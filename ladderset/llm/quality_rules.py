@@ -217,3 +217,23 @@ def apply_rules(docs: DataFrame, text_col: str = "text", rules: list[Rule] | Non
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = apply_rules(table(spark, sf_dir, "documents").select("doc_id", "text"), digest=True)
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
+_WORD, _SPLIT = r"[^\x20\x09-\x0D]+", "string_split(t, chr(10))"
+ORACLE = {
+    "op10_quality_rules": rf"""
+        WITH w AS (SELECT doc_id, coalesce(text, '') AS t, regexp_extract_all(coalesce(text, ''), '{_WORD}') AS ws FROM documents),
+        line AS (SELECT doc_id, count(*) AS lines, count(*) - count(DISTINCT x) AS dups FROM (SELECT doc_id, unnest({_SPLIT}) AS x FROM w) WHERE regexp_matches(x, '{_WORD}') GROUP BY 1),
+        win AS (SELECT doc_id, i, array_to_string(ws[i:i + 4], ' ') AS g FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 3)) AS i FROM w WHERE len(ws) >= 5)),
+        twice AS (SELECT doc_id, g FROM win GROUP BY 1, 2 HAVING count(*) > 1),
+        covered AS (SELECT doc_id, count(DISTINCT i + j) AS n FROM win JOIN twice USING (doc_id, g), (SELECT unnest(range(5)) AS j) GROUP BY 1),
+        stat AS (SELECT w.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0) AS BIGINT) AS word_chars,
+            CAST(length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, CAST(coalesce(dups, 0) AS BIGINT) AS n_dup_lines, CAST(coalesce(covered.n, 0) AS BIGINT) AS n_repeat_words,
+            coalesce(lines, 0) AS n_lines, length(regexp_replace(t, '[^A-Z]', '', 'g')) AS up, length(regexp_replace(t, '[^a-z]', '', 'g')) AS low, length(regexp_replace(t, '[^!]', '', 'g')) AS shouts
+            FROM w LEFT JOIN line USING (doc_id) LEFT JOIN covered USING (doc_id)),
+        base AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM stat)
+        SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
+            NOT (base_failed OR n_symbols > n_words OR 10 * n_dup_lines > 5 * n_lines OR word_chars < 2 * n_words OR word_chars > 40 * n_words OR (up > 4 * low AND 10 * shouts > 3 * n_words)) AS kept
+        FROM base
+    """
+}
