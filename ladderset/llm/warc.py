@@ -5,8 +5,10 @@ URI and date, and carry digests of their own blocks; the metadata record also ke
 HTTP headers and digests, and what the page says of itself (title, language, links); the conversion record has the page's text.
 Identifiers are name-based, so a repeated task writes the same bytes.
 
-Defined cases: null html is an empty body and null url leaves the target URI out; a record that can't be parsed
-gives no derivative but a row of kind "broken" with its reason; rows that repeat give equal records;
+Defined cases: null html is an empty body and null url leaves the target URI out; a response that can't be read
+(no HTTP head, no identifier) gives no derivative but a row of kind "broken" with its reason, identifier and bytes, and
+the records after it go on; where the framing itself breaks, one such row with the whole input ends that input; rows
+that repeat give equal records;
 very long pages are scanned in linear time; an empty table gives an empty result; further columns of the input
 are ignored.
 """
@@ -237,9 +239,16 @@ def derivatives(records: DataFrame, compress: bool = False) -> DataFrame:
     def rows_of(page, raw) -> Iterator[tuple]:
         try:
             for response in parse_records(raw or b""):
-                for r in derive(response) if response.get("WARC-Type") == "response" else ():
+                if response.get("WARC-Type") != "response":
+                    continue
+                try:
+                    made = derive(response)
+                except ValueError as e:  # this response only: the next record starts where its length says
+                    yield (page, "broken", None, response.get("WARC-Record-ID"), response.get("WARC-Target-URI"), None, None, None, None, str(e), response.to_bytes(compress))
+                    continue
+                for r in made:
                     yield (page, r.get("WARC-Type"), r.get("WARC-Record-ID"), r.get("WARC-Refers-To"), r.get("WARC-Target-URI"), r.get("Content-Type"), len(r.block), r.get("WARC-Block-Digest"), r.get("WARC-Source-Payload-Digest"), None, r.to_bytes(compress))
-        except (ValueError, OSError, EOFError) as e:
+        except (ValueError, OSError, EOFError) as e:  # framing: where the next record starts is not known
             yield (page, "broken", None, None, None, None, None, None, None, str(e), raw)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

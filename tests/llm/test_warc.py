@@ -48,3 +48,21 @@ def test_files(spark, tmp_path):
     (tmp_path / "a.warc.gz").write_bytes(whole)
     got = warc.derivatives(warc.read_warc_files(spark, f"file://{tmp_path}")).where("kind = 'conversion'").collect()
     assert len(got) == 5
+
+
+def test_a_bad_response_ends_only_itself(spark, tmp_path):
+    good = [warc.response_record(i, f"http://e/{i}", f"<p>{i}") for i in range(4)]
+    dns = warc.make_record("response", "<urn:uuid:dns>", b"e. 60 IN A 127.0.0.1\n", "text/dns", [("WARC-Target-URI", "dns:e")])
+    bare = warc.make_record("response", "<urn:uuid:lf>", b"HTTP/1.1 200 OK\nContent-Type: text/html\n\n<p>x", "application/http", [])
+    info = warc.make_record("warcinfo", "<urn:uuid:info>", b"a: b\r\n", "application/warc-fields")
+    whole = [info, dns, *good[:2], bare, *good[2:]]
+    for name, squeeze in (("a.warc", False), ("b.warc.gz", True)):
+        (tmp_path / name).write_bytes(b"".join(r.to_bytes(squeeze) for r in whole))
+        got = warc.derivatives(warc.read_warc_files(spark, f"file://{tmp_path}/{name}")).collect()
+        assert [r["kind"] for r in got] == ["broken", *["metadata", "conversion"] * 2, "broken", *["metadata", "conversion"] * 2]
+        bad = [r for r in got if r["kind"] == "broken"]
+        assert [(r["refers_to"], r["reason"]) for r in bad] == [("<urn:uuid:dns>", "no HTTP head"), ("<urn:uuid:lf>", "no HTTP head")]
+        assert [next(warc.parse_records(bytes(r["record"]))) for r in bad] == [dns, bare]
+    (tmp_path / "c.warc").write_bytes(b"".join(r.to_bytes() for r in whole) + b"junk")
+    got = warc.derivatives(warc.read_warc_files(spark, f"file://{tmp_path}/c.warc")).collect()
+    assert [r["kind"] for r in got].count("conversion") == 4 and got[-1]["kind"] == "broken" and got[-1]["reason"].startswith("no record at byte")
