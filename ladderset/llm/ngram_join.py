@@ -8,21 +8,28 @@
    split into blocks, and every pair of blocks is a group of its own). Inside a group, pairs pass a length
    filter, a positional filter and a suffix filter (the range counts bound the difference of two sets
    from below); nothing is emitted for a pair that fails.
-4. Pairs are verified once each, on whole sets. First every class proposes only its closest candidate
-   outside its component; then all candidates that still lie in different components are verified. A pair
-   whose ends are already joined by verified links cannot change a component, so a large group of near
-   copies costs about one verified pair per member, not one per pair.
+4. Pairs are verified on whole sets. First every class proposes only its closest candidate outside its
+   component; then all candidates that still lie in different components are verified. A pair whose ends
+   are already joined by verified links cannot change a component, so for components alone (`similar_groups`)
+   a large group of near copies costs about one verified pair per member, not one per pair.
 5. Components are found by minimum labels with pointer jumping, in staged tables.
+6. For the links (`similar_links`, `similar_pairs`) every candidate pair inside a component is verified as
+   well; a pair across components was a candidate of step 4 and failed there, or was none. A component's
+   classes are dealt to tiles, candidates travel packed by pair of tiles, and such a pair of tiles gets
+   its sets once, so a set is not copied for each of its pairs.
 
 Defined cases: null or empty text has no shingles, is linked with nothing and is its own component; a text
 of fewer words than n has its whole word sequence as its one shingle; rows that repeat a doc_id are in
 the result once per row; a null doc_id takes the component of an equal set, if there is one, and else
-null; an empty table gives an empty result; further columns of the input are ignored.
+null; an empty table gives an empty result; further columns of the input are ignored. Links are counted
+between different doc_ids: rows that repeat a doc_id count once, rows with a null doc_id are not counted
+(one with an equal set has that set's number, another null).
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -39,6 +46,7 @@ RANGES = 128
 BLOCK = 1024
 SLICE_BYTES = 6 << 20
 PROPOSALS = 2
+TILE = 64
 
 
 def _sketch(docs: DataFrame, k: int) -> np.ndarray:
@@ -120,14 +128,14 @@ def needed_overlap(a: np.ndarray, b: np.ndarray, num: int, den: int) -> np.ndarr
 class Group:
     """Classes that share a prefix n-gram; finds pairs that may be similar."""
 
-    def __init__(self, cid, n, pos, label, block, ranges, num, den):
-        self.cid, self.n, self.pos, self.label, self.block, self.ranges, self.num, self.den = cid, n, pos, label, block, ranges, num, den
+    def __init__(self, cid, n, pos, label, block, ranges, num, den, inside=False):
+        self.cid, self.n, self.pos, self.label, self.block, self.ranges, self.num, self.den, self.inside = cid, n, pos, label, block, ranges, num, den, inside
 
     def passes(self, i: np.ndarray, j: np.ndarray, cross: np.ndarray | bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Of candidate index pairs, those that pass all filters, and how far apart their range counts are."""
         ni, nj = self.n[i], self.n[j]
         alpha = needed_overlap(ni, nj, self.num, self.den)
-        ok = (self.label[i] != self.label[j]) & (self.cid[i] != self.cid[j])
+        ok = ((self.label[i] == self.label[j]) == self.inside) & (self.cid[i] != self.cid[j])
         ok &= ~np.broadcast_to(cross, ok.shape) | (self.block[i] != self.block[j])
         ok &= self.den * np.minimum(ni, nj) >= self.num * np.maximum(ni, nj)
         ok &= np.minimum(ni - self.pos[i], nj - self.pos[j]) >= alpha
@@ -158,10 +166,14 @@ class Group:
 BUCKET = "key long, bi int, bj int, block int, cid long, n long, pos int, label long, ranges binary"
 
 
-def _candidates(buckets: DataFrame, num: int, den: int, closest: bool) -> DataFrame:
+INSIDE = "label long, ti int, tj int, pairs binary"
+
+
+def _candidates(buckets: DataFrame, num: int, den: int, closest: bool, inside: bool = False) -> DataFrame:
     """Candidate pairs (cid, other) of groups (key, bi, bj): each row's closest, or all.
 
     `closest` returns whole bucket rows with `other`, so the rows that have any candidate can go on alone.
+    `inside` returns the pairs within components instead of those across, packed by pair of tiles (column `tile`).
     """
 
     def flush(t: pa.Table) -> Iterator[pa.RecordBatch]:
@@ -169,7 +181,7 @@ def _candidates(buckets: DataFrame, num: int, den: int, closest: bool) -> DataFr
         ranges = np.frombuffer(b"".join(t["ranges"].to_pylist()), np.uint8).reshape(-1, RANGES)
         first = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (bi[1:] != bi[:-1]) | (bj[1:] != bj[:-1])]))
         size = np.diff(np.append(first, len(key)))
-        found = list(Group(cid, n, pos, label, block, ranges, num, den).pairs(first, size, bi[first] != bj[first]))
+        found = list(Group(cid, n, pos, label, block, ranges, num, den, inside).pairs(first, size, bi[first] != bj[first]))
         i, j, gap = (np.concatenate([f[x] for f in found]) if found else np.empty(0, np.int64) for x in range(3))
         if closest:
             me, other, gap = np.concatenate([i, j]), np.concatenate([j, i]), np.concatenate([gap, gap])
@@ -178,6 +190,14 @@ def _candidates(buckets: DataFrame, num: int, den: int, closest: bool) -> DataFr
             top = np.concatenate([[True], me[1:] != me[:-1]]) if len(me) else np.empty(0, bool)
             out = t.take(pa.array(me[top])).append_column("other", pa.array(cid[other[top]]))
             yield from out.select([*names, "other"]).to_batches()
+        elif inside:
+            tile = t["tile"].to_numpy()
+            swap = (tile[i] > tile[j]) | (tile[i] == tile[j]) & (cid[i] > cid[j])
+            i, j = np.where(swap, j, i), np.where(swap, i, j)
+            pair = np.unique(np.stack([label[i], tile[i], tile[j], cid[i], cid[j]], 1).astype(np.int64), axis=0)
+            starts = np.flatnonzero(np.concatenate([[True], (pair[1:, :3] != pair[:-1, :3]).any(1)])) if len(pair) else np.empty(0, np.int64)
+            packed = [x.tobytes() for x in np.split(np.ascontiguousarray(pair[:, 3:]), starts[1:])] if len(pair) else []
+            yield pa.RecordBatch.from_arrays([pa.array(pair[starts, 0]), pa.array(pair[starts, 1], pa.int32()), pa.array(pair[starts, 2], pa.int32()), pa.array(packed, pa.binary())], ["label", "ti", "tj", "pairs"])
         else:
             pair = np.unique(np.stack([np.minimum(cid[i], cid[j]), np.maximum(cid[i], cid[j])], 1), axis=0)
             yield pa.RecordBatch.from_arrays([pa.array(pair[:, 0]), pa.array(pair[:, 1])], ["a", "b"])
@@ -206,7 +226,7 @@ def _candidates(buckets: DataFrame, num: int, den: int, closest: bool) -> DataFr
             yield from flush(pa.Table.from_batches(held))
 
     dealt = buckets.repartition("key", "bi", "bj").sortWithinPartitions("key", "bi", "bj", "cid")
-    return dealt.mapInArrow(run, BUCKET + ", other long" if closest else "a long, b long")
+    return dealt.mapInArrow(run, INSIDE if inside else BUCKET + ", other long" if closest else "a long, b long")
 
 
 def _whole_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
@@ -245,6 +265,57 @@ def _verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFram
     return full.select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
 
 
+def _verified_inside(found: DataFrame, tiles: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
+    """(cid, linked, others) from packed candidates of INSIDE: of each class and pair of tiles, the doc_ids of linked classes and the linked classes above it."""
+    pairs_of_tiles = found.select("label", "ti", "tj").distinct()
+    ends = pairs_of_tiles.withColumn("tile", F.explode(F.array_distinct(F.array("ti", "tj"))))
+    content = ends.join(tiles, ["label", "tile"]).join(sets, "cid").select("label", "ti", "tj", "cid", "docs", "items")
+    rows = found.select("label", "ti", "tj", F.lit(None).cast("long").alias("cid"), F.lit(None).cast("long").alias("docs"), F.col("pairs").alias("items")).union(content)
+
+    def links(pairs: list[bytes], held: dict[int, tuple[int, np.ndarray]]) -> Iterator[tuple[int, int, np.ndarray]]:
+        pair = np.unique(np.frombuffer(b"".join(pairs), np.int64).reshape(-1, 2), axis=0)
+        linked: dict[int, int] = {}
+        above: dict[int, list[int]] = {}
+        for a, bs in zip(pair[(at := np.flatnonzero(np.diff(pair[:, 0], prepend=pair[0, 0] - 1))), 0].tolist(), np.split(pair[:, 1], at[1:]), strict=True):
+            mine = np.sort(held[a][1])
+            others = [held[b][1] for b in bs.tolist()]
+            n = np.array([len(x) for x in others])
+            every = np.concatenate(others)
+            hit = mine[np.minimum(np.searchsorted(mine, every), len(mine) - 1)] == every
+            both = np.add.reduceat(hit.astype(np.int64), np.cumsum(n) - n)
+            for b in bs[den * both >= num * (len(mine) + n - both)].tolist():
+                linked[a] = linked.get(a, 0) + held[b][0]
+                linked[b] = linked.get(b, 0) + held[a][0]
+                above.setdefault(min(a, b), []).append(max(a, b))
+        return ((c, k, above.get(c, [])) for c, k in linked.items())
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, pairs, held, out = None, [], {}, []
+
+        def batch_of(rows: list) -> pa.RecordBatch:
+            cols = list(zip(*rows, strict=True)) or [()] * 3
+            return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.list_(pa.int64()))], ["cid", "linked", "others"])
+
+        for batch in batches:
+            for label, ti, tj, cid, docs, items in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if now != (label, ti, tj):
+                    if pairs:
+                        out += links(pairs, held)
+                    now, pairs, held = (label, ti, tj), [], {}
+                if cid is None:
+                    pairs.append(items)
+                else:
+                    held[cid] = (docs, np.frombuffer(items, "<u8"))
+            if len(out) > 5_000:
+                yield batch_of(out)
+                out = []
+        if pairs:
+            out += links(pairs, held)
+        yield batch_of(out)
+
+    return rows.repartition("label", "ti", "tj").sortWithinPartitions("label", "ti", "tj").mapInArrow(run, "cid long, linked long, others array<long>")
+
+
 def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
     """(cid, label) of every vertex of the edges (a, b): label is the smallest vertex of its component."""
     both = scratch.stage(edges.union(edges.select("b", "a")).toDF("cid", "other").distinct(), "edges")
@@ -261,8 +332,41 @@ def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
             return labels.select("cid", "label")
 
 
-def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: doc_id, n_shingles, component_id (smallest doc_id reachable over pairs with Jaccard >= num/den)."""
+@dataclass
+class Joined:
+    """The staged tables of a join: documents with their sets, classes, rows with candidates, whole sets, components."""
+
+    scratch: Scratch
+    members: DataFrame
+    classes: DataFrame
+    alive: DataFrame
+    sets: DataFrame
+    labels: DataFrame
+    num: int
+    den: int
+
+    def groups(self) -> DataFrame:
+        """(doc_id, n, s1, s2, component_id) of every document."""
+        named = self.classes.select("cid", "n", "s1", "s2", "rep").join(self.labels, "cid", "left").withColumn("label", F.coalesce("label", "cid"))
+        smallest = named.groupBy("label").agg(F.min("rep").alias("component_id"))
+        by_set = named.join(smallest, "label").select("n", "s1", "s2", "component_id")
+        return self.members.select("doc_id", "n", "s1", "s2").join(by_set, ["n", "s1", "s2"], "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
+
+    def sizes(self) -> DataFrame:
+        """(cid, docs): different doc_ids of every class."""
+        docs = self.members.where("n > 0 and doc_id is not null").groupBy("n", "s1", "s2").agg(F.count_distinct("doc_id").alias("docs"))
+        return self.classes.select("cid", "n", "s1", "s2").join(docs, ["n", "s1", "s2"])
+
+    def links(self) -> DataFrame:
+        """(cid, linked, others) of all links between classes."""
+        wide = self.labels.groupBy("label").agg(F.ceil(F.count("*") / TILE).cast("int").alias("tiles"))
+        tiles = self.scratch.stage(self.labels.join(wide, "label").select("cid", "label", F.pmod(F.xxhash64("cid"), "tiles").cast("int").alias("tile")), "tiles")
+        again = self.alive.drop("other", "label").join(tiles, "cid").select(*[x.split()[0] for x in BUCKET.split(", ")], "tile")
+        found = self.scratch.stage(_candidates(again, self.num, self.den, closest=False, inside=True), "inside")
+        return _verified_inside(found, tiles, self.sets.join(self.sizes().select("cid", "docs"), "cid"), self.num, self.den)
+
+
+def _join(docs: DataFrame, k: int, num: int, den: int, id_col: str, text_col: str) -> Joined:
     spark = docs.sparkSession
     scratch = Scratch(spark, "ngram-join")
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
@@ -301,16 +405,40 @@ def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, i
         if more.limit(1).count():
             links = scratch.stage(links.union(more).distinct(), "links")
             labels = components(links, scratch)
-    named = classes.select("cid", "n", "s1", "s2", "rep").join(labels, "cid", "left").withColumn("label", F.coalesce("label", "cid"))
-    smallest = named.groupBy("label").agg(F.min("rep").alias("component_id"))
-    by_set = named.join(smallest, "label").select("n", "s1", "s2", "component_id")
-    return members.select("doc_id", "n", "s1", "s2").join(by_set, ["n", "s1", "s2"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
+    return Joined(scratch, members, classes, alive, sets, labels, num, den)
+
+
+def similar_groups(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per document: doc_id, n_shingles, component_id (smallest doc_id reachable over pairs with Jaccard >= num/den). Components only."""
+    return _join(docs, k, num, den, id_col, text_col).groups().select("doc_id", F.col("n").alias("n_shingles"), "component_id")
+
+
+def similar_links(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """`similar_groups` with n_links: how many other doc_ids have Jaccard >= num/den with the document."""
+    joined = _join(docs, k, num, den, id_col, text_col)
+    linked = joined.links().groupBy("cid").agg(F.sum("linked").alias("linked"))
+    by_set = joined.sizes().join(linked, "cid", "left").select("n", "s1", "s2", (F.col("docs") + F.coalesce("linked", F.lit(0))).alias("near"))
+    near = F.col("near") - F.when(F.col("doc_id").isNull(), 0).otherwise(1)
+    return joined.groups().join(by_set, ["n", "s1", "s2"], "left").select("doc_id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(near, F.when(F.col("doc_id").isNotNull() | (F.col("n") == 0), 0)).cast("long").alias("n_links"))
+
+
+def similar_pairs(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """(a, b) of every two classes of equal sets with Jaccard >= num/den, named by their smallest doc_ids, and (doc_id, rep) of the documents in classes."""
+    joined = _join(docs, k, num, den, id_col, text_col)
+    rep = joined.classes.select("cid", "rep")
+    pairs = joined.links().select("cid", F.explode("others").alias("other")).join(rep, "cid").join(rep.toDF("other", "rep2"), "other")
+    reps = joined.classes.select("n", "s1", "s2", "rep")
+    return pairs.select(F.least("rep", "rep2").alias("a"), F.greatest("rep", "rep2").alias("b")), joined.members.join(reps, ["n", "s1", "s2"]).select("doc_id", "rep")
 
 
 def op5_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return similar_groups(table(spark, sf_dir, "documents"), k=3, num=90, den=100)
 
 
+def op5_ngram_jaccard_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return similar_links(table(spark, sf_dir, "documents"), k=3, num=90, den=100)
+
+
 ORACLE = {
     "op5_ngram_jaccard": r"""
         WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
@@ -325,3 +453,7 @@ ORACLE = {
         FROM w LEFT JOIN c USING (doc_id) LEFT JOIN smallest USING (doc_id)
     """
 }
+ORACLE["op5_ngram_jaccard_links"] = f"""
+        SELECT doc_id, n_shingles, component_id, coalesce(n_links, 0) AS n_links
+        FROM ({ORACLE["op5_ngram_jaccard"].replace("reach AS (", "linked AS (SELECT a, CAST(count(*) AS BIGINT) AS n_links FROM link GROUP BY 1), reach AS (", 1).replace("AS component_id\n        FROM w", "AS component_id, n_links\n        FROM w LEFT JOIN linked ON linked.a = w.doc_id", 1)}) o
+    """

@@ -70,3 +70,44 @@ def test_components_of_a_long_chain(spark, n):
     edges = spark.createDataFrame([(i, i + 1) for i in range(40 * n)], "a long, b long")
     got = {r[0]: r[1] for r in ngram_join.components(edges, Scratch(spark, "t")).collect()}
     assert got == dict.fromkeys(range(41), 0) if n else not got
+
+
+def brute_pairs(rows, k, num, den):
+    sets = {}
+    for d, t in rows:
+        w = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
+        sets[d] = frozenset(tuple(w[i : i + k]) for i in range(len(w) - k + 1)) if len(w) >= k else frozenset([tuple(w)] if w else [])
+    ids = sorted(d for d in sets if sets[d])
+    return sets, [(a, b) for i, a in enumerate(ids) for b in ids[i + 1 :] if den * len(sets[a] & sets[b]) >= num * len(sets[a] | sets[b])]
+
+
+def near_copies():
+    """A group in which nearly every two texts are linked, wider than a tile, beside the mixed corpus."""
+    words = [f"n{i}" for i in range(200)]
+    return [(10_000 + i, " ".join(w if j != 2 * i else f"x{i}" for j, w in enumerate(words))) for i in range(100)] + corpus(250)
+
+
+def test_links_and_pairs_against_brute_force(spark, monkeypatch):
+    monkeypatch.setattr(ngram_join, "BLOCK", 40)
+    monkeypatch.setattr(ngram_join, "TILE", 16)
+    rows = near_copies()
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    sets, links = brute_pairs(rows, 3, 90, 100)
+    count = collections.Counter(x for p in links for x in p)
+    assert min(count[10_000 + i] for i in range(100)) == 99
+    got = {r[0]: tuple(r)[1:] for r in ngram_join.similar_links(docs, 3, 90, 100).collect()}
+    assert got == {d: (*v, count[d]) for d, v in brute(rows, 3, 90, 100).items()}
+    rep = {}
+    for d in sorted(sets):
+        rep.setdefault(sets[d], d)
+    pairs, members = ngram_join.similar_pairs(docs, 3, 90, 100)
+    found = [tuple(r) for r in pairs.collect()]
+    assert len(found) == len(set(found)) and set(found) == {(a, b) for a, b in links if rep[sets[a]] == a and rep[sets[b]] == b and sets[a] != sets[b]}
+    assert dict(map(tuple, members.collect())) == {d: rep[x] for d, x in sets.items() if x}
+
+
+def test_links_of_repeats_and_nulls(spark):
+    docs = spark.createDataFrame([(1, "a b c d"), (1, "a b c d"), (2, "A B C D"), (None, "a b c d"), (None, "only here now"), (3, None)], "doc_id long, text string")
+    got = sorted(map(tuple, ngram_join.similar_links(docs, 3, 90, 100).collect()), key=str)
+    assert got == sorted([(1, 2, 1, 1), (1, 2, 1, 1), (2, 2, 1, 1), (None, 2, 1, 2), (None, 1, None, None), (3, 0, 3, 0)], key=str)
+    assert ngram_join.similar_links(docs.limit(0), 3, 90, 100).count() == 0
