@@ -117,6 +117,10 @@ op("join_outer_left", "SELECT doc_id, quality FROM documents LEFT JOIN labels US
 op("join_outer_full", "SELECT doc_id, n_chars, quality FROM (SELECT * FROM documents WHERE doc_id % 2 = 0) FULL JOIN labels USING (doc_id)")(
     lambda s, d: load_table(s, d, "documents", ["doc_id", "n_chars"]).where("doc_id % 2 = 0").join(load_table(s, d, "labels"), "doc_id", "full").select("doc_id", "n_chars", "quality")
 )
+op("join_outer_full_whole", "SELECT doc_id, n_chars, quality, item_id FROM labels FULL JOIN (SELECT item_id AS doc_id, item_id FROM benchmark) USING (doc_id) FULL JOIN documents USING (doc_id)")(
+    # whole tables: labels without an item and items without a label in the first join, documents with neither in the second
+    lambda s, d: load_table(s, d, "labels").join(load_table(s, d, "benchmark", ["item_id"]).withColumn("doc_id", F.col("item_id")), "doc_id", "full").join(load_table(s, d, "documents", ["doc_id", "n_chars"]), "doc_id", "full").select("doc_id", "n_chars", "quality", "item_id")
+)
 op("join_theta_nested_loop", "SELECT a.r_regionkey AS small, b.r_regionkey AS large FROM region a JOIN region b ON a.r_regionkey < b.r_regionkey")(
     lambda s, d: load_table(s, d, "region").alias("a").join(load_table(s, d, "region").alias("b"), F.col("a.r_regionkey") < F.col("b.r_regionkey")).select(F.col("a.r_regionkey").alias("small"), F.col("b.r_regionkey").alias("large"))
 )
@@ -196,12 +200,18 @@ op("join_lateral", "SELECT c_custkey, o_orderkey FROM (SELECT o_custkey AS c_cus
 )
 
 
-def _lateral(s, d):
-    c = load_table(s, d, "customer", ["c_custkey"]).where("c_custkey <= 200")
+def _lateral(s, d, whole=False):
+    c = load_table(s, d, "customer", ["c_custkey"])
+    c = c if whole else c.where("c_custkey <= 200")
     best = load_table(s, d, "orders", ["o_orderkey", "o_custkey", "o_totalprice"]).where(F.col("o_custkey") == F.col("c_custkey").outer()).orderBy(F.desc("o_totalprice"), "o_orderkey").limit(2)
     return c.lateralJoin(best).select("c_custkey", "o_orderkey")
 
 
+op("join_lateral_whole", "SELECT o_custkey AS c_custkey, o_orderkey FROM (SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders JOIN customer ON c_custkey = o_custkey) WHERE k <= 2")(
+    lambda s, d: _lateral(s, d, whole=True)
+)
+
+
 # -- aggregation ------------------------------------------------------------------------------------------
 
 op("agg_hash", "SELECT l_returnflag, l_linestatus, CAST(count(*) AS BIGINT) AS n, round(sum(l_quantity), 2) AS qty, round(avg(l_discount), 6) AS disc, min(l_tax) AS lo, max(l_tax) AS hi FROM lineitem GROUP BY 1, 2")(
@@ -223,6 +233,9 @@ op("agg_having", "SELECT o_custkey, CAST(count(*) AS BIGINT) AS n FROM orders GR
 op("agg_collect_sets", f"SELECT set_id, array_to_string(list_sort(list(elem)), ',') AS elems FROM ({family_sql('status_customers')}) WHERE elem < 50 GROUP BY 1")(
     lambda s, d: load_family(s, d, "status_customers").where("elem < 50").groupBy("set_id").agg(F.array_join(F.sort_array(F.collect_set("elem")).cast("array<string>"), ",").alias("elems"))
 )
+op("agg_collect_sets_whole", f"SELECT set_id, array_to_string(list_sort(list(DISTINCT elem)), ',') AS elems FROM ({family_sql('status_customers')}) GROUP BY 1")(
+    lambda s, d: load_family(s, d, "status_customers").groupBy("set_id").agg(F.array_join(F.sort_array(F.collect_set("elem")).cast("array<string>"), ",").alias("elems"))
+)
 op("agg_bit_or_mask", f"SELECT elem, CAST(bit_or(CASE set_id WHEN 'AF' THEN 1 WHEN 'AO' THEN 2 WHEN 'NF' THEN 4 WHEN 'NO' THEN 8 WHEN 'RF' THEN 16 ELSE 32 END) AS BIGINT) AS mask FROM ({family_sql('flag_orders')}) GROUP BY 1")(
     lambda s, d: _masks(load_family(s, d, "flag_orders"))
 )
@@ -344,6 +357,10 @@ op("fn_bitwise", "SELECT o_orderkey, o_orderkey & 255 AS a, o_orderkey | 1 AS o,
 op("fn_array", "SELECT array_to_string(list_sort(list_intersect(a, b)), ',') AS both, len(list_distinct(list_concat(a, b))) AS either, list_contains(a, 7) AS has FROM (SELECT list(DISTINCT o_custkey) FILTER (WHERE o_orderstatus = 'P') AS a, list(DISTINCT o_custkey) FILTER (WHERE o_orderpriority = '1-URGENT') AS b FROM orders WHERE o_custkey < 200)")(
     tab("orders")(lambda t: t.where("o_custkey < 200").agg(F.collect_set(F.when(F.col("o_orderstatus") == "P", F.col("o_custkey"))).alias("a"), F.collect_set(F.when(F.col("o_orderpriority") == "1-URGENT", F.col("o_custkey"))).alias("b")).select(F.array_join(F.sort_array(F.array_intersect("a", "b")).cast("array<string>"), ",").alias("both"), F.size(F.array_union("a", "b")).cast("long").alias("either"), F.array_contains("a", F.lit(7).cast("long")).alias("has")))
 )
+op("fn_array_whole", "SELECT grp, coalesce(array_to_string(list_sort(list_intersect(a, b)), ','), '') AS both, coalesce(len(list_distinct(list_concat(a, b))), 0) AS either, coalesce(list_contains(a, 7), false) AS has FROM (SELECT o_custkey // 200 AS grp, list(DISTINCT o_custkey) FILTER (WHERE o_orderstatus = 'P') AS a, list(DISTINCT o_custkey) FILTER (WHERE o_orderpriority = '1-URGENT') AS b FROM orders GROUP BY 1)")(
+    # groups of a bounded number of keys, so the arrays do not grow with the table
+    tab("orders")(lambda t: t.groupBy(F.floor(F.col("o_custkey") / 200).alias("grp")).agg(F.collect_set(F.when(F.col("o_orderstatus") == "P", F.col("o_custkey"))).alias("a"), F.collect_set(F.when(F.col("o_orderpriority") == "1-URGENT", F.col("o_custkey"))).alias("b")).select("grp", F.array_join(F.sort_array(F.array_intersect("a", "b")).cast("array<string>"), ",").alias("both"), F.size(F.array_union("a", "b")).cast("long").alias("either"), F.array_contains("a", F.lit(7).cast("long")).alias("has")))
+)
 op("fn_higher_order", "SELECT vec_id, CAST(len(list_filter(embedding, lambda x: x > 0)) AS INT) AS positive, round(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x)), 4) AS norm FROM embeddings")(
     tab("embeddings")(lambda t: t.select("vec_id", F.size(F.filter("embedding", lambda x: x > 0)).alias("positive"), F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x), 4).alias("norm")))
 )
@@ -360,6 +377,9 @@ op("fn_decimal_cast", "SELECT l_returnflag, CAST(sum(CAST(l_extendedprice AS DEC
 op("fn_struct_nested", "SELECT conv_id, turn, role, length(text) AS n FROM conversations WHERE turn < 2")(
     tab("conversations")(lambda t: t.where("turn < 2").groupBy("conv_id").agg(F.collect_list(F.struct("turn", "role", F.length("text").cast("long").alias("n"))).alias("turns")).select("conv_id", F.inline("turns")))
 )
+op("fn_struct_nested_whole", "SELECT conv_id, turn, role, length(text) AS n FROM conversations")(
+    tab("conversations")(lambda t: t.groupBy("conv_id").agg(F.collect_list(F.struct("turn", "role", F.length("text").cast("long").alias("n"))).alias("turns")).select("conv_id", F.inline("turns")))
+)
 op("sql_entry", f"WITH fam AS ({family_sql('flag_orders')}) {_SET('AF')} INTERSECT {_SET('NO')}")(lambda s, d: _sql(s, d, "(AF & NO)", "flag_orders"))
 
 

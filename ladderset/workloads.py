@@ -195,6 +195,11 @@ def ladder_all(spark, folder):
     return stored(spark, folder, "status_customers", schedule="all").groupBy("set_id", "r").agg(F.sum("n").alias("n"))
 
 
+def _mask_lookup_sql(r: int) -> str:
+    """Elements of every set under the prefixes in the sketch of TWO_WAYS."""
+    return _mask_sql(r) + f" SELECT set_id, elem, s.hv FROM fam JOIN s ON s.hv = {hv_sql(r)}"
+
+
 @query("dict_lookup", fam_with(f"SELECT set_id, elem, {hv_sql(9)} AS hv FROM fam WHERE {hv_sql(9)} % 50 = 3", *FLAGS))
 def dict_lookup(spark, folder):
     fam = load_family(spark, folder, "flag_orders")
@@ -290,6 +295,13 @@ def _mask_sql(r: int) -> str:
         s AS (SELECT *, (af AND ao AND nf) AS l, (rf AND ro AND no) AS rr FROM h WHERE (af AND ao AND nf) OR (rf AND ro AND no))"""
 
 
+@query("dict_lookup_whole", _mask_lookup_sql(15))
+def dict_lookup_whole(spark, folder):
+    fam = load_family(spark, folder, "flag_orders")
+    wanted = E.sketch(TWO_WAYS, fam, 15).select("hv").crossJoin(fam.select("set_id").distinct())
+    return L.lookup(L.build_dict(fam), wanted, 15)
+
+
 @query("sketch_H", _mask_sql(15) + " SELECT hv FROM s")
 def sketch_h(spark, folder):
     return E.sketch(TWO_WAYS, load_family(spark, folder, "flag_orders"), 15).select("hv")
