@@ -1,14 +1,17 @@
 """Exact duplicates by progressive refinement: length, then prefix hash, then full hash.
 
-Each step looks only at the documents that the step before could not tell apart. Lengths and prefixes
-travel as a few bytes a document; the whole text is hashed in the scan itself, and only where a
-fixed-size bitmap of surviving (length, prefix) groups says that a document may have an equal.
-Groups are counted with partial aggregation before any shuffle, so a group with a third of all
-documents costs one row per task.
+Lengths and prefix hashes of all documents are read once into a narrow table. Lengths that occur twice, and
+then prefixes that occur twice among those, are counted on it. Whole texts are hashed in a second scan, and
+only where a fixed-size bitmap of the surviving (length, prefix) groups says that a document may have an
+equal. Groups are counted with partial aggregation before any shuffle, and the documents of large groups
+are dealt over many tasks when they meet their group's result, so a group may hold a third of all documents.
+
+Two texts are equal here if length, 64-bit prefix hash and sha256 are.
 
 Defined cases: null text counts as empty; every empty text equals every other; rows that repeat a
-doc_id are separate members of their group; a null doc_id never wins over a present one; an empty
-table gives an empty result; further columns of the input are ignored.
+doc_id are separate members of their group; a null doc_id never wins over a present one, and in a group
+without any present one keep_id is null; exactly one row of each group is kept, also where the largest
+doc_id repeats; an empty table gives an empty result; further columns of the input are ignored.
 """
 
 from __future__ import annotations
@@ -16,9 +19,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .support import bitmap_of, table, text_or_empty, with_bitmap
+from .support import Scratch, bitmap_of, quoted, table, text_or_empty, with_bitmap
 
 PREFIX_CHARS = 256
+#: Members from which a group is dealt over SALTS tasks.
+LARGE_GROUP = 1_000
+SALTS = 64
+GROUP = ("size", "prefix", "full")
+
+
+def _dealt(rows: DataFrame, large: DataFrame, salt) -> DataFrame:
+    """Adds `salt`: 0, or for groups that may be large the given column."""
+    return with_bitmap(rows, large, "is_large", *GROUP).withColumn("salt", F.when(F.col("is_large"), salt).otherwise(0)).drop("is_large")
 
 
 def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", prefix_chars: int = PREFIX_CHARS, digest: bool = False) -> DataFrame:
@@ -26,33 +38,36 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     With digest=True also text_sha256 of every text; the grouping itself hashes only texts that may have an equal.
     """
-    base = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text"))
-    sized = base.select("doc_id", "text", F.octet_length("text").alias("size"))
-
-    same_size = sized.groupBy("size").agg(F.count("*").alias("n")).where("n > 1").select("size")
-    by_prefix = (
-        with_bitmap(sized, bitmap_of(same_size, "size"), "open", "size")
-        .where("open")
-        .groupBy("size", F.xxhash64(F.substring("text", 1, prefix_chars)).alias("prefix"))
-        .agg(F.count("*").alias("n"))
-        .where("n > 1")
-        .join(same_size, "size", "left_semi")
-        .select("size", "prefix")
+    scratch = Scratch(docs.sparkSession, "exact-dedup")
+    base = docs.select(F.col(quoted(id_col)).alias("doc_id"), text_or_empty(text_col).alias("text"))
+    sized = base.withColumns({"size": F.octet_length("text"), "prefix": F.xxhash64(F.substring("text", 1, prefix_chars))})
+    heads = scratch.stage(sized.select("size", "prefix"), "heads")
+    same_size = heads.groupBy("size").agg(F.count("*").alias("n")).where("n > 1")
+    open_heads = with_bitmap(heads, bitmap_of(same_size, "size"), "open", "size").where("open")
+    same_prefix = open_heads.groupBy("size", "prefix").agg(F.count("*").alias("n")).where("n > 1")
+
+    sha = F.sha2("text", 256)
+    full = F.when(F.col("open"), F.unhex(sha)).alias("full")
+    marked = with_bitmap(sized, bitmap_of(same_prefix, "size", "prefix"), "open", "size", "prefix")
+    narrow = scratch.stage(
+        marked.select("doc_id", "size", "prefix", full, F.monotonically_increasing_id().alias("row"), *([sha.alias("text_sha256")] if digest else [])), "hashed"
     )
-    narrow = with_bitmap(
-        sized.withColumn("prefix", F.xxhash64(F.substring("text", 1, prefix_chars))), bitmap_of(by_prefix, "size", "prefix"), "open", "size", "prefix"
-    ).select("doc_id", "size", "prefix", F.when(F.col("open"), F.unhex(F.sha2("text", 256))).alias("full"), *([F.sha2("text", 256).alias("text_sha256")] if digest else []))
-    groups = (
+    groups = scratch.stage(
         narrow.where("full is not null")
-        .groupBy("size", "prefix", "full")
-        .agg(F.max("doc_id").alias("best"), F.count("*").alias("members"))
-        .where("members > 1")
+        .groupBy(*GROUP)
+        .agg(F.max(F.struct("doc_id", "row")).alias("best"), F.count("*").alias("members"))  # a null doc_id is less than any
+        .where("members > 1"),
+        "groups",
     )
-    return narrow.join(groups, ["size", "prefix", "full"], "left").select(
+    large = bitmap_of(groups.where(F.col("members") >= LARGE_GROUP), *GROUP)
+    rows = _dealt(narrow, large, F.pmod(F.col("row"), F.lit(SALTS)).cast("int"))
+    results = _dealt(groups, large, F.lit(None).cast("int")).withColumn("salt", F.explode(F.when(F.col("salt").isNull(), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array("salt"))))
+    alone = F.col("members").isNull()
+    return rows.join(results, [*GROUP, "salt"], "left").select(
         "doc_id",
-        F.coalesce("best", "doc_id").alias("keep_id"),
+        F.when(alone, F.col("doc_id")).otherwise(F.col("best.doc_id")).alias("keep_id"),
         F.coalesce("members", F.lit(1)).cast("long").alias("group_size"),
-        F.coalesce(F.col("doc_id") == F.coalesce("best", "doc_id"), F.col("members").isNull()).alias("kept"),
+        (alone | (F.col("row") == F.col("best.row"))).alias("kept"),
         *(["text_sha256"] if digest else []),
     )
 

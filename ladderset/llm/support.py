@@ -71,8 +71,13 @@ def with_bitmap(df: DataFrame, bitmap: DataFrame, flag: str, *cols: str) -> Data
     return out.withColumn(flag, hit).drop("_bm_word", "_bm_bit", "_bm_bits")
 
 
+def quoted(name: str) -> str:
+    """A column's name for F.col, whatever characters it has."""
+    return "`" + name.replace("`", "``") + "`"
+
+
 def text_or_empty(col: str) -> Column:
-    return F.coalesce(F.col(col).cast("string"), F.lit(""))
+    return F.coalesce(F.col(quoted(col)).cast("string"), F.lit(""))
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
