@@ -4,9 +4,12 @@ Only lengths matter to a packing, and there are at most `capacity` of them. So t
 once, its pieces are counted by length (a histogram of bounded size), and the program over that
 histogram is solved on the driver: one variable per configuration (a multiset of lengths that fits a
 sequence), one covering row per length. Multiplicative weights solve it: a dynamic program over the
-capacity prices the best configuration under the current weights, as much of it is taken as the rows
-allow, and the weights of what it covers fall. The fractional solution is rounded down, what is left
-over (a bounded number of pieces) is placed by best fit.
+capacity prices the best configuration under the current weights, it is taken up to the scarcest of its
+lengths, and the weight of every length falls exponentially with how much of its need that covered. The
+cover is scaled until it is feasible, and the weights give a bound from below on any packing. Lengths are
+first grouped (equal mass, rounded up), very short ones are left out; the scaled solution is rounded down,
+its places are filled with pieces of the group, and what is left over is placed by best fit, in open
+sequences first. Best fit decreasing of the whole histogram is planned as well, and the shorter plan is used.
 
 The plan is run lengths: "pieces of length L with ranks r..r+q go to sequences s..s+q at offset o". Its
 size depends on the capacity and the number of configurations, never on the corpus, so it is
@@ -31,7 +34,15 @@ from .support import Scratch, table
 from .tokenids import crc32s, encoder, gather, vocabulary
 
 CAPACITY = 4096
-ROUNDS = 60
+#: Most rounds of multiplicative weights, and the relative gap between cover and bound at which they end.
+ROUNDS = 900
+GAP = 0.004
+STEP = 0.15
+#: Most groups of lengths in the program; steps of the capacity in its pricing where lengths are grouped; lengths
+#: below this share of the capacity are left to best fit.
+GROUPS = 96
+GRID = 1024
+SHORT = 1 / 32
 
 
 def best_configuration(values: np.ndarray, lengths: np.ndarray, capacity: int) -> np.ndarray:
@@ -56,26 +67,54 @@ def best_configuration(values: np.ndarray, lengths: np.ndarray, capacity: int) -
     return counts
 
 
-def configuration_program(lengths: np.ndarray, need: np.ndarray, capacity: int, rounds: int = ROUNDS, step: float = 0.35) -> list[tuple[np.ndarray, float]]:
-    """A fractional covering of `need` by configurations, (counts per length, amount), by multiplicative weights.
+@dataclass
+class Cover:
+    """A fractional cover of all needs by configurations, and prices per length, from which a bound follows."""
+
+    configurations: list[tuple[np.ndarray, float]]
+    value: float
+    bound: float
+    prices: np.ndarray
+
 
-    Dual weights start at what a unit of length is worth, and pull towards lengths that are behind.
+def configuration_program(lengths: np.ndarray, need: np.ndarray, capacity: int, rounds: int = ROUNDS, step: float = STEP, gap: float = GAP) -> Cover:
+    """Covers `need` pieces of each length by as few sequences as it can, fractionally, by multiplicative weights.
+
+    A weight stands for a whole length's need; the price of one piece is its share of it. Any prices bound the
+    program from below: no sequence holds more than the best configuration's worth.
     """
-    share = lengths / capacity
-    covered, log_w = np.zeros(len(need)), np.zeros(len(need))
-    found: dict[bytes, list] = {}
+    weight = need * lengths / float(need @ lengths)
+    covered = np.zeros(len(need))
+    taken: list[tuple[np.ndarray, float]] = []
+    best, value, bound, prices = 0, np.inf, 0.0, lengths / capacity
+    spent = 0.0
     for _ in range(rounds):
-        counts = best_configuration(share * np.exp(log_w), lengths, capacity)
+        price = weight / need
+        counts = best_configuration(price, lengths, capacity)
+        if (got := weight.sum() / float(counts @ price)) > bound:
+            bound, prices = got, price / float(counts @ price)
         used = counts > 0
-        # as many as the scarcest of its lengths still allows, but no more than a slice of the work
-        amount = max(1e-9, float(np.min(need[used] / counts[used]))) * step
-        found.setdefault(counts.tobytes(), [counts, 0.0])[1] += amount
-        covered += counts * amount
-        behind = covered / need
-        log_w = -np.log1p(behind - behind.min()) * (1.0 / step)
-        log_w -= log_w.max()
-    # scale so that no length is covered more than it needs; rounding leaves the rest to best fit
-    return [(c, x) for c, x in found.values()]
+        amount = float(np.min(need[used] / counts[used]))
+        part = counts * amount / need
+        taken.append((counts, amount))
+        spent += amount
+        covered += part
+        weight = weight * np.exp(-step * part)
+        weight /= weight.sum()
+        if (least := covered.min()) > 0 and spent / least < value:
+            best, value = len(taken), spent / least
+            if value <= bound * (1 + gap):
+                break
+    merged: dict[bytes, list] = {}
+    scale = sum(a for _, a in taken[:best]) / value if best else 1.0
+    for counts, amount in taken[:best]:
+        merged.setdefault(counts.tobytes(), [counts, 0.0])[1] += amount / scale
+    return Cover([(c, x) for c, x in merged.values()], value, bound, prices)
+
+
+def dual_bound(lengths: np.ndarray, need: np.ndarray, prices: np.ndarray, capacity: int) -> int:
+    """No packing has fewer sequences: all pieces' prices over the most that a sequence can hold."""
+    return int(np.ceil(float(need @ prices) / float(best_configuration(prices, lengths, capacity) @ prices) * (1 - 1e-9)))
 
 
 @dataclass
@@ -86,6 +125,7 @@ class Plan:
     sequences: int = 0
     rows: list[tuple[int, int, int, int, int]] = field(default_factory=list)
     lower_bound: int = 0
+    method: str = "best fit"
 
     def arrays(self) -> dict[int, tuple[np.ndarray, ...]]:
         by: dict[int, list] = {}
@@ -94,62 +134,117 @@ class Plan:
         return {k: tuple(np.asarray(c, np.int64) for c in zip(*v, strict=True)) for k, v in by.items()}
 
 
-def plan_packing(histogram: dict[int, int], capacity: int = CAPACITY, rounds: int = ROUNDS) -> Plan:
-    """Packs a length histogram. Sequences that are full to the last token need no pricing; they come first."""
-    plan = Plan(capacity, lower_bound=-(-sum(k * n for k, n in histogram.items()) // capacity))
-    left = {k: n for k, n in histogram.items() if n > 0}
-    rank = dict.fromkeys(left, 0)
+class Filler:
+    """A plan in the making: what is left of each length, and the room in sequences that are open."""
 
-    def put(items: list[int], times: int) -> None:
-        offset = 0
+    def __init__(self, histogram: dict[int, int], capacity: int):
+        self.plan = Plan(capacity)
+        self.left = {k: n for k, n in histogram.items() if n > 0}
+        self.rank = dict.fromkeys(self.left, 0)
+        self.free: dict[int, list[tuple[int, int]]] = {}  # room -> runs of (first sequence, how many)
+
+    def place(self, length: int, times: int, first: int, offset: int) -> None:
+        self.plan.rows.append((length, self.rank[length], times, first, offset))
+        self.rank[length] += times
+        self.left[length] -= times
+
+    def leave(self, room: int, first: int, times: int) -> None:
+        if room and times:
+            self.free.setdefault(room, []).append((first, times))
+
+    def open(self, items: list[int], times: int) -> None:
+        """`times` new sequences with these lengths."""
+        first, offset = self.plan.sequences, 0
         for length in items:
-            plan.rows.append((length, rank[length], times, plan.sequences, offset))
-            rank[length] += times
-            left[length] -= times
+            self.place(length, times, first, offset)
             offset += length
-        plan.sequences += times
-
-    if left.get(capacity):
-        put([capacity], left[capacity])
-    lengths = np.array(sorted(k for k, n in left.items() if n > 0), np.int64)
-    # rounds of the program on what the last rounding left, as long as a round places something
-    while len(lengths) and sum(left[k] for k in lengths.tolist()) > 4 * capacity // int(lengths[0]):
-        before = plan.sequences
-        for counts, amount in sorted(configuration_program(lengths, np.array([left[k] for k in lengths.tolist()], float), capacity, rounds), key=lambda x: -x[1]):
-            used = np.flatnonzero(counts)
-            times = min(int(np.ceil(amount)), min(left[k] // int(c) for k, c in zip(lengths[used].tolist(), counts[used], strict=True)))
-            if times > 0:
-                put([k for k, c in zip(lengths[used].tolist(), counts[used], strict=True) for _ in range(int(c))], times)
-        lengths = np.array(sorted(k for k, n in left.items() if n > 0), np.int64)
-        if plan.sequences - before < 8:
-            break
-    best_fit_rest(plan, left, rank)
+        self.plan.sequences += times
+        self.leave(self.plan.capacity - offset, first, times)
+
+    def draw(self, group: list[int], times: int) -> list[tuple[int, int]]:
+        """Runs of (length, how many) of a group's longest pieces; `left` is not touched."""
+        out = []
+        for length in group:
+            if (n := min(times, self.spare[length])) > 0:
+                out.append((length, n))
+                self.spare[length] -= n
+                times -= n
+        return out
+
+    def fill(self, groups: list[list[int]], counts: np.ndarray, times: int) -> None:
+        """`times` sequences of a configuration over groups of lengths (longest first), as far as the groups have pieces."""
+        used = [(g, int(c)) for g, c in zip(groups, counts, strict=True) if c]
+        times = min([times, *(sum(self.left[k] for k in g) // c for g, c in used)])
+        if times <= 0:
+            return
+        self.spare = self.left.copy()
+        slots = [self.draw(g, times) for g, c in used for _ in range(c)]
+        cuts = sorted({0, *(e for runs in slots for e in np.cumsum([n for _, n in runs]).tolist())})
+        ends = [np.cumsum([n for _, n in runs]) for runs in slots]
+        for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+            self.open([runs[int(np.searchsorted(e, a, "right"))][0] for runs, e in zip(slots, ends, strict=True)], b - a)
+
+    def best_fit(self) -> Plan:
+        """The rest, longest first, each in the open sequence with the least room for it; runs of equal ones move together."""
+        for length in sorted((k for k, n in self.left.items() if n > 0), reverse=True):
+            while self.left[length]:
+                room = min((r for r in self.free if r >= length), default=None)
+                if room is None:
+                    each = self.plan.capacity // length
+                    times = min(self.left[length], -(-self.left[length] // each))
+                    self.open([length], times)
+                    continue
+                first, times = self.free[room].pop()
+                if not self.free[room]:
+                    del self.free[room]
+                if times > self.left[length]:
+                    self.leave(room, first + self.left[length], times - self.left[length])
+                    times = self.left[length]
+                self.place(length, times, first, self.plan.capacity - room)
+                self.leave(room - length, first, times)
+        return self.plan
+
+
+def grouped(lengths: list[int], histogram: dict[int, int], most: int = GROUPS) -> list[list[int]]:
+    """Runs of neighbouring lengths, about equal in tokens, ascending; inside, longest first."""
+    if len(lengths) <= most:
+        return [[k] for k in lengths]
+    mass = np.cumsum([k * histogram[k] for k in lengths])
+    number = np.minimum((mass - 1) * most // int(mass[-1]), most - 1)
+    return [[lengths[i] for i in np.flatnonzero(number == g)[::-1]] for g in np.unique(number)]
+
+
+def program_plan(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS) -> Plan:
+    """The configuration program's packing, with the program's bound. Sequences that one piece fills come first."""
+    filler = Filler(histogram, capacity)
+    if filler.left.get(capacity):
+        filler.open([capacity], filler.left[capacity])
+    lengths = sorted(k for k, n in filler.left.items() if n > 0)
+    every = np.array(lengths, np.int64)
+    need = np.array([filler.left[k] for k in lengths], float)
+    full, bound = filler.plan.sequences, -(-int(need @ every) // capacity) if lengths else 0
+    long = [k for k in lengths if k > capacity * SHORT]
+    if long:
+        groups = grouped(long, filler.left)
+        unit = 1 if len(groups) == len(long) else max(1, capacity // GRID)
+        tops = np.array([-(-g[0] // unit) for g in groups], np.int64)
+        cover = configuration_program(tops, np.array([sum(filler.left[k] for k in g) for g in groups], float), capacity // unit, rounds)
+        for counts, amount in sorted(cover.configurations, key=lambda x: -x[1]):
+            filler.fill(groups, counts, int(amount))
+        prices = np.interp(every, np.concatenate([[0], tops * unit]), np.concatenate([[0.0], cover.prices]))
+        bound = max(bound, *(dual_bound(every, need, x, capacity) for x in (prices, np.where(every > capacity * SHORT, prices, 0.0))))
+    plan = filler.best_fit()
+    plan.lower_bound, plan.method = full + bound, "program"
     return plan
 
 
-def best_fit_rest(plan: Plan, left: dict[int, int], rank: dict[int, int]) -> None:
-    """Best fit, longest first; sequences with equal contents are opened together, so it is as short as the histogram."""
-    free: dict[int, list[tuple[int, int]]] = {}  # room -> runs of (first sequence, how many)
-    for length in sorted((k for k, n in left.items() if n > 0), reverse=True):
-        while left[length]:
-            room = min((r for r in free if r >= length), default=None)
-            if room is None:
-                times, first, at = (left[length] + plan.capacity // length - 1) // (plan.capacity // length), plan.sequences, 0
-                plan.sequences += times
-                times = min(times, left[length])
-            else:
-                first, times = free[room].pop()
-                if not free[room]:
-                    del free[room]
-                if times > left[length]:
-                    free.setdefault(room, []).append((first + left[length], times - left[length]))
-                    times = left[length]
-                at = plan.capacity - room
-            plan.rows.append((length, rank[length], times, first, at))
-            rank[length] += times
-            left[length] -= times
-            if (rest := plan.capacity - at - length) > 0:
-                free.setdefault(rest, []).append((first, times))
+def plan_packing(histogram: dict[int, int], capacity: int = CAPACITY, rounds: int = ROUNDS) -> Plan:
+    """The shorter of the program's packing and best fit decreasing; `lower_bound` holds for any packing."""
+    plan = program_plan(histogram, capacity, rounds)
+    if plan.sequences > plan.lower_bound and (other := Filler(histogram, capacity).best_fit()).sequences < plan.sequences:
+        other.lower_bound = plan.lower_bound
+        return other
+    return plan
 
 
 def pieces_of(docs: DataFrame, tokenizer: str, end_id: int = 1, capacity: int = CAPACITY, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:

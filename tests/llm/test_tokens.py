@@ -80,18 +80,12 @@ def test_knapsack_is_exact():
         assert abs((counts * values).sum() - best[60]) < 1e-9
 
 
-@pytest.mark.parametrize("seed", range(6))
-def test_plan_is_a_packing_near_the_bound(seed):
-    rng = np.random.default_rng(seed)
-    cap = 128
-    hist = {int(k): int(n) for k, n in zip(*np.unique(np.minimum(rng.geometric(0.03, 3000), cap), return_counts=True))}
-    if seed == 5:
-        hist = {70: 500, 40: 100}
-    plan = packing.plan_packing(hist, cap)
+def holds_all(plan, hist, cap):
+    """Whether the plan has every piece once, gapless, within the capacity."""
     fill, count = {}, {}
-    spans = {}
     for length, first, times, seq, off in plan.rows:
-        count[length] = count.get(length, 0) + times
+        assert first == count.get(length, 0)
+        count[length] = first + times
         for i in range(times):
             fill.setdefault(seq + i, []).append((off, length))
     assert count == hist and len(fill) == plan.sequences
@@ -101,8 +95,73 @@ def test_plan_is_a_packing_near_the_bound(seed):
             assert off == at
             at += length
         assert at <= cap
-    bound = 500 if seed == 5 else plan.lower_bound
-    assert plan.sequences <= bound * 1.01 + 1, spans
+
+
+def histogram(lengths):
+    return {int(k): int(n) for k, n in zip(*np.unique(lengths, return_counts=True), strict=True)}
+
+
+LENGTHS = {
+    "uniform": lambda r: r.integers(1, 4097, 20_000),
+    "middle": lambda r: r.integers(1300, 2801, 20_000),
+    "thirds": lambda r: r.choice([1365, 1366, 1000, 1700, 2731, 700], 20_000),
+    "near_thirds": lambda r: r.choice([1366, 1364, 1367, 1363, 2100, 1990], 8_000),
+    "quarters": lambda r: r.integers(820, 1500, 20_000),
+    "log_normal": lambda r: np.clip(np.exp(r.normal(6, 1.2, 30_000)), 1, 4096).astype(int),
+    "large_and_small": lambda r: r.choice([2240, 1280, 30], 5_000),
+    "short": lambda r: r.integers(1, 60, 30_000),
+}
+
+
+@pytest.mark.parametrize("name", LENGTHS)
+def test_plan_is_near_its_bound_and_never_worse_than_best_fit(name):
+    hist = histogram(LENGTHS[name](np.random.default_rng(7)))
+    plan = packing.plan_packing(hist)
+    holds_all(plan, hist, 4096)
+    assert plan.sequences <= packing.Filler(hist, 4096).best_fit().sequences
+    assert plan.lower_bound <= plan.sequences <= 1.01 * plan.lower_bound + 1
+
+
+def fewest(items, cap):
+    """The least number of bins, by trying everything."""
+    best = len(items)
+
+    def go(i, rooms):
+        nonlocal best
+        if len(rooms) >= best:
+            return
+        if i == len(items):
+            best = len(rooms)
+            return
+        for j in {r: j for j, r in enumerate(rooms) if r >= items[i]}.values():
+            go(i + 1, [*rooms[:j], rooms[j] - items[i], *rooms[j + 1 :]])
+        go(i + 1, [*rooms, cap - items[i]])
+
+    go(0, [])
+    return best
+
+
+def test_bound_and_plan_hold_the_optimum():
+    rng = np.random.default_rng(5)
+    for _ in range(60):
+        cap = int(rng.integers(10, 40))
+        items = sorted(rng.integers(1, cap + 1, int(rng.integers(1, 9))).tolist(), reverse=True)
+        hist, best = histogram(items), fewest(items, cap)
+        plan = packing.plan_packing(hist, cap)
+        holds_all(plan, hist, cap)
+        assert plan.lower_bound <= best <= plan.sequences <= best + 1, (items, cap)
+
+
+def test_cover_is_feasible_and_bounded():
+    rng = np.random.default_rng(3)
+    for _ in range(10):
+        lengths = np.unique(rng.integers(5, 60, 8))
+        need = rng.integers(50, 500, len(lengths)).astype(float)
+        cover = packing.configuration_program(lengths, need, 100)
+        got = sum(c * x for c, x in cover.configurations)
+        assert (got >= need * (1 - 1e-9)).all() and all((c * lengths).sum() <= 100 for c, _ in cover.configurations)
+        assert abs(sum(x for _, x in cover.configurations) - cover.value) < 1e-6 * cover.value
+        assert cover.bound <= cover.value * (1 + 1e-9) and cover.value <= 1.05 * cover.bound
 
 
 def test_packing_query(spark):
