@@ -2,16 +2,17 @@
 
 Each rule rejects on a few statistics of the text. On a bounded sample every rule is timed and its
 rejection rate measured; rules then run in the order of rejections per unit of cost, each on the
-documents that no earlier rule has rejected. The verdict is the same in any order, so the sample only
-decides the speed. Statistics are computed with numpy over whole Arrow batches and shared by rules.
+documents that no earlier rule has rejected: their bytes, words and lines are copied out before the next
+rule computes anything. The verdict is the same in any order, so the sample only decides the speed.
+Statistics are computed with numpy over whole Arrow batches and shared by rules.
 
 Words are `[^\\x20\\x09-\\x0D]+`. The default rules are meant to spare clean prose in any language: too
 few words, repeated 5-word windows, symbols like markup residue, lines that repeat, words of absurd
 length, and shouting (nearly all letters upper case with many exclamation marks).
 
 Defined cases: null or empty text has no words (and is rejected by the first rule); rows that repeat are
-judged one by one; an empty table gives an empty result; all columns of the input are carried, and
-`kept` replaces a column of that name.
+judged one by one, whatever their ids; an empty table gives an empty result; all columns of the input are
+carried, but `kept`, and with digest=True the names of the base statistics, replace columns of those names.
 """
 
 from __future__ import annotations
@@ -25,12 +26,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .support import table
-from .textscan import SPACE, buffer_of, mix, per_row_sum, range_hash, slices, window_hash, words_of
+from .support import quoted, table
+from .textscan import SPACE, Words, buffer_of, mix, per_row_sum, range_hash, slices, window_hash, words_of
 
 SLICE_BYTES = 6 << 20
-#: Rows of the sample that orders the rules.
+#: The sample that orders the rules: so many whole texts of at most so many bytes, one in so many by hash.
 SAMPLE_ROWS = 400
+SAMPLE_TEXT_BYTES = 1 << 16
+SAMPLE_SHARE = 8
 
 _SYMBOL = np.zeros(256, bool)
 _SYMBOL[[ord(c) for c in "#*$%&|<>"]] = True
@@ -55,14 +58,28 @@ class TextStats:
         return self._got[name]
 
     def take(self, rows: np.ndarray) -> TextStats:
-        """The same texts, fewer rows; what is known already is taken along."""
+        """Copies of some rows (ascending), with what is known of them already."""
         if len(rows) == self.rows:
             return self
-        from .tokenids import gather
-
-        length = np.diff(self.off)[rows]
-        out = TextStats(self.buf[gather(self.off[:-1][rows], length)], np.concatenate([[0], np.cumsum(length)]))
+        length = np.diff(self.off)
+        stays = np.zeros(self.rows, bool)
+        stays[rows] = True
+        off = np.concatenate([[0], np.cumsum(length[rows])])
+        out = TextStats(self.buf[np.repeat(stays, length)], off)
         out._got = {k: v[rows] for k, v in self._got.items() if isinstance(v, np.ndarray)}
+        new = np.cumsum(stays) - 1
+
+        def moved(start: np.ndarray, end: np.ndarray, row: np.ndarray) -> tuple[np.ndarray, ...]:
+            mine = stays[row]
+            to = new[row[mine]]
+            back = self.off[row[mine]] - off[to]
+            return start[mine] - back, end[mine] - back, to
+
+        if (w := self._got.get("words")) is not None:
+            start, end, row = moved(w.start, w.end, w.row)
+            out._got["words"] = Words(start, end, row, np.concatenate([[0], np.cumsum(np.diff(w.first)[rows])]))
+        if (got := self._got.get("lines")) is not None:
+            out._got["lines"] = moved(*got)
         return out
 
     def _words(self):
@@ -163,35 +180,22 @@ def cascade(stats: TextStats, rules: list[Rule]) -> np.ndarray:
         if not len(alive):
             break
         stays = np.flatnonzero(~rule.rejects(stats))
-        alive = alive[stays]
-        stats = stats.take(stays) if len(stays) < 0.5 * stats.rows else _Masked(stats, stays) if len(stays) < stats.rows else stats
+        alive, stats = alive[stays], stats.take(stays)
     return alive
 
 
-class _Masked:
-    """A view of stats on few less rows, where copying the texts would cost more than it saves."""
-
-    def __init__(self, stats, rows):
-        while isinstance(stats, _Masked):
-            stats, rows = stats.stats, stats.keep[rows]
-        self.stats, self.keep, self.rows = stats, rows, len(rows)
-
-    def __getattr__(self, name):
-        return getattr(self.stats, name)[self.keep]
-
-    def take(self, rows):
-        return self.stats.take(self.keep[rows])
-
-
+BASE_STATISTICS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
 DIGEST = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean"
 
 
 def apply_rules(docs: DataFrame, text_col: str = "text", rules: list[Rule] | None = None, sample_rows: int = SAMPLE_ROWS, digest: bool = False) -> DataFrame:
     """All columns of `docs` and `kept`; with digest=True the base statistics as well (computed for every row)."""
     spark_rules = RULES if rules is None else rules
-    sample = [r[0] for r in docs.select(F.col(text_col).cast("string")).limit(sample_rows).collect()]
-    ordered = [r for r, _, _ in order_rules([t and t[:100_000] for t in sample], spark_rules)]
-    names = [n for n in docs.columns if n != "kept"]
+    added = ["kept", *([*BASE_STATISTICS, "base_failed"] if digest else [])]
+    text = docs.select(F.col(quoted(text_col)).cast("string").alias("t"))
+    drawn = text.where((F.pmod(F.xxhash64("t"), F.lit(SAMPLE_SHARE)) == 0) & (F.coalesce(F.octet_length("t"), F.lit(0)) <= SAMPLE_TEXT_BYTES))
+    ordered = [r for r, _, _ in order_rules([r["t"] for r in drawn.limit(sample_rows).collect()], spark_rules)]
+    names = [n for n in docs.columns if n not in added]
     place = names.index(text_col)
     picked = [spark_rules.index(r) for r in ordered]
 
@@ -201,17 +205,17 @@ def apply_rules(docs: DataFrame, text_col: str = "text", rules: list[Rule] | Non
             buf, off = buffer_of(batch.column(place))
             for lo, hi in slices(off, SLICE_BYTES):
                 stats = TextStats(buf[off[lo] : off[hi]], off[lo : hi + 1] - off[lo])
-                kept = np.zeros(hi - lo, bool)
-                kept[cascade(stats, rules_here)] = True
-                cols = [*batch.slice(lo, hi - lo).columns, pa.array(kept)]
                 if digest:
                     base = BASE_RULES[0].rejects(stats) | BASE_RULES[1].rejects(stats)
-                    cols += [pa.array(np.asarray(getattr(stats, n), np.int64)) for n in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")] + [pa.array(base)]
-                yield pa.RecordBatch.from_arrays(cols, out_names)
+                    told = [pa.array(np.asarray(getattr(stats, n), np.int64)) for n in BASE_STATISTICS] + [pa.array(base)]
+                kept = np.zeros(hi - lo, bool)
+                kept[cascade(stats, rules_here)] = True
+                cols = [*batch.slice(lo, hi - lo).columns, pa.array(kept), *(told if digest else [])]
+                yield pa.RecordBatch.from_arrays(cols, [*names, *added])
 
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*[f"`{n}`" for n in names]).schema) + ", kept boolean"
-    out_names = [*names, "kept"] + (["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed"] if digest else [])
-    return docs.select(*[f"`{n}`" for n in names]).mapInArrow(run, schema + (f", {DIGEST}" if digest else ""))
+    carried = docs.select(*[F.col(quoted(n)) for n in names])
+    schema = ", ".join(f"{quoted(f.name)} {f.dataType.simpleString()}" for f in carried.schema) + ", kept boolean"
+    return carried.mapInArrow(run, schema + (f", {DIGEST}" if digest else ""))
 
 
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

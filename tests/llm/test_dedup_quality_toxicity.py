@@ -17,17 +17,21 @@ def table(spark, pairs):
     return spark.createDataFrame([(d, t, 1, "x", 2, 3, 4) for d, t in pairs], SCHEMA)
 
 
-PAIRS = [(1, "a"), (2, None), (3, ""), (4, "a"), (5, "b" * 300_000), (6, "b" * 300_000), (7, "b" * 299_999 + "c"), (4, "a"), (None, "a"), (None, None), (8, "A"), (9, "é"), (10, "é")]
+PAIRS = [(1, "a"), (2, None), (3, ""), (4, "a"), (5, "b" * 300_000), (6, "b" * 300_000), (7, "b" * 299_999 + "c"), (4, "a"), (None, "a"), (None, None), (8, "A"), (9, "é"), (10, "é"), (None, "x y"), (None, "x y"), (None, "alone")]
 
 
-def test_exact_groups(spark):
-    got = exact_dedup.exact_groups(table(spark, PAIRS), digest=True).collect()
-    groups = Counter(t or "" for _, t in PAIRS)
-    best = {}
-    for d, t in PAIRS:
-        best[t or ""] = max(best.get(t or "", -1), -1 if d is None else d)
-    want = sorted(((d, None if best[t or ""] < 0 else best[t or ""], groups[t or ""], d == best[t or ""], hashlib.sha256((t or "").encode()).hexdigest()) for d, t in PAIRS), key=str)
-    assert sorted(map(tuple, got), key=str) == want
+def test_exact_groups(spark, monkeypatch):
+    monkeypatch.setattr(exact_dedup, "LARGE_GROUP", 3)
+    for pairs in (PAIRS, PAIRS * 9):
+        got = [tuple(r) for r in exact_dedup.exact_groups(table(spark, pairs), digest=True).collect()]
+        groups = Counter(t or "" for _, t in pairs)
+        best = {}
+        for d, t in pairs:
+            best[t or ""] = max(best.get(t or "", -1), -1 if d is None else d)
+        named = [(d, None if best[t or ""] < 0 else best[t or ""], groups[t or ""], hashlib.sha256((t or "").encode()).hexdigest()) for d, t in pairs]
+        assert sorted((r[:3] + r[4:] for r in got), key=str) == sorted(named, key=str)
+        kept = [r for r in got if r[3]]
+        assert len(kept) == len({r[4] for r in got}) == len({r[4] for r in kept}) and all(r[0] == r[1] for r in kept)
     assert exact_dedup.exact_groups(table(spark, [])).count() == 0
 
 
@@ -54,6 +58,20 @@ def test_line_dedup(spark):
     assert line_dedup.drop_common_lines(table(spark, [])).count() == 0
 
 
+def test_line_dedup_carries_columns_of_any_name(spark):
+    rows = [(f"same line\nown {i}", 77, 1, 2, i, "p", 9.5, 3) for i in range(12)]
+    docs = spark.createDataFrame(rows, "text string, k1 int, dropped int, n_lines int, doc_id long, row string, `a.b` double, hit int")
+    got = line_dedup.drop_common_lines(docs)
+    assert got.columns == ["text", "k1", "dropped", "doc_id", "row", "a.b", "hit", "n_lines", "n_dropped"]
+    assert sorted(map(tuple, got.collect())) == sorted((f"own {i}", 77, 1, i, "p", 9.5, 3, 2, 1) for i in range(12))
+
+
+def test_line_keys_lower_ascii_alone(spark):
+    lines = ["ABC z", "É A", "ÉA", "é a", "İX", "ΣΑΣ Q", "“Zitat” – À", "Ⅷ B", "ß Ÿ", "\u00a0Ab\u00a0", "Ω𐐀C"]
+    rows = spark.createDataFrame([(x,) for x in lines], "x string").select("x", line_dedup.line_key(line_dedup.F.col("x")).alias("k")).collect()
+    assert all(r["k"] == key(r["x"]) for r in rows)
+
+
 def statistics(t):
     t = t or ""
     w = re.findall(r"[^\x20\x09-\x0D]+", t)
@@ -87,6 +105,28 @@ def test_quality_rules(spark, monkeypatch):
     assert quality_rules.apply_rules(table(spark, [])).count() == 0
 
 
+def test_quality_rules_replace_clashing_columns(spark):
+    docs = spark.createDataFrame([(1, "few words", 5, "x", 2.5)], "doc_id long, text string, n_words int, kept string, `a.b` double")
+    got = quality_rules.apply_rules(docs, digest=True)
+    assert got.columns[:4] == ["doc_id", "text", "a.b", "kept"] and got.first()["n_words"] == 2
+    assert quality_rules.apply_rules(docs).columns == ["doc_id", "text", "n_words", "a.b", "kept"]
+
+
+def test_survivors_take_their_statistics_along():
+    import pyarrow as pa
+
+    from ladderset.llm.textscan import buffer_of
+
+    rng = random.Random(6)
+    texts = ["".join(rng.choices(["a b ", "é\n", "x\nx\n", "one two three four five ", ""], k=rng.randint(0, 12))) for _ in range(80)]
+    stats = quality_rules.TextStats(*buffer_of(pa.array(texts)))
+    assert stats.lines and len(stats.words.start)
+    rows = np.array(sorted(rng.sample(range(80), 33)))
+    got, fresh = stats.take(rows), quality_rules.TextStats(*buffer_of(pa.array([texts[i] for i in rows])))
+    for name in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_lines", "n_repeat_words"):
+        assert (getattr(got, name) == getattr(fresh, name)).all(), name
+
+
 def test_any_order_of_rules_gives_one_verdict():
     import pyarrow as pa
 
