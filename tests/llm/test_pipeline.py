@@ -45,6 +45,31 @@ def test_stages(spark):
         docs = spark.createDataFrame(rows, out.schema)
 
 
+LONG = " ".join(f"word{i}" for i in range(60))
+ODD = [(None, LONG), (None, LONG + " more"), (None, "another text " + " ".join(f"other{i}" for i in range(50))), (None, None), (7, LONG), (7, LONG), (8, ""), (9, None), (9, "x")]
+
+
+def test_stages_with_null_and_repeated_ids(spark):
+    like = spark.read.parquet(f"{SF}/documents.parquet")
+    docs = spark.createDataFrame([(d, t, "en", "s", 1, i) for i, (d, t) in enumerate(ODD)], "doc_id long, text string, lang string, source string, n_chars long, row int")
+    stages = dict(pipeline.STAGES)
+    for rows in (docs, docs.limit(0)):
+        for name in ("toxicity", "quality_rules", "line_dedup", "ngram_jaccard_join"):
+            out = stages[name](spark, rows, SF)
+            assert out.columns == rows.columns and set(like.columns) <= set(out.columns)
+            got = sorted((r["row"], r["text"]) for r in out.collect())
+            if rows is not docs:
+                assert got == []
+            elif name == "quality_rules":
+                assert [r for r, _ in got] == [0, 1, 2, 4, 5]
+            elif name == "line_dedup":
+                assert got == [(i, t or "") for i, (_, t) in enumerate(ODD)]
+            elif name == "ngram_jaccard_join":
+                kept = [r for r, _ in got]
+                assert len({0, 1, 4, 5} & set(kept)) == 1 and {2, 3, 6, 7, 8} <= set(kept)
+        assert stages["best_fit_packing"](spark, rows, SF).count() == (len(ODD) if rows is docs else 0)
+
+
 def test_query_registry():
     import __spark_entry__
 
