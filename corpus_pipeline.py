@@ -2,6 +2,9 @@
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame; its result is written as Parquet and read
 again as the next stage's documents. All but the last return the columns of `documents`.
+
+Defined cases, in every stage: a null text counts as an empty one; rows with a null doc_id and rows that
+repeat a doc_id are documents like any other; an empty table gives an empty result; further columns go along.
 """
 
 from __future__ import annotations
@@ -19,27 +22,39 @@ from ladderset.llm.toxicity import CATEGORIES, category_labels, score_toxicity,
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the chain, trained on the labelled ones among them, does not call toxic."""
+    """Documents that the chain, trained on the labelled ones among them, does not call toxic. Unlabelled ones are judged
+    too; a text without words is not toxic; if no document has a label, all stay."""
     chain = train_toxicity(docs, category_labels(table(spark, sf_dir, "labels")), CATEGORIES)
     return score_toxicity(docs, chain).where(~F.col("is_toxic")).select(*docs.columns)
 
 
 def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that no rule rejects. A text without ten words, a null or empty one among them, is rejected."""
     return apply_rules(docs).where("kept").select(*docs.columns)
 
 
 def drop_shared_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without lines that ten documents or more have; n_chars follows the text."""
+    """Texts without lines that ten documents or more have; n_chars follows the text. A document all of whose lines go stays, with
+    an empty text."""
     return drop_common_lines(docs).withColumn("n_chars", F.char_length("text").cast("long")).select(*docs.columns)
 
 
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies (five-word shingles, similarity 0.8) the smallest doc_id."""
-    kept = similar_groups(docs, k=5, num=80, den=100).where("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi")
+    """One document of each group of near copies (five-word shingles, similarity 0.8), the first by a number that each row gets here.
+
+    So rows that repeat a doc_id or have none are members of their groups by their text alone. Texts without words are near
+    copies of nothing: all stay.
+    """
+    row = "row"
+    while row in docs.columns:
+        row += "_"
+    numbered = Scratch(spark, "pipeline-near").stage(docs.withColumn(row, F.monotonically_increasing_id()), "numbered")
+    first = similar_groups(numbered, k=5, num=80, den=100, id_col=row).where("doc_id = component_id").select(F.col("doc_id").alias(row))
+    return numbered.join(first, row, "left_semi").select(*docs.columns)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row per piece with its place. A null or empty text is a piece of its end id alone."""
     return best_fit_pack(docs, vocabulary())
 
 
