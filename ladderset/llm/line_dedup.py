@@ -1,14 +1,18 @@
 """Line deduplication in DataFrame operations only.
 
-Every text is split at \\n, each line gets a normalised key, and the key's hash is counted once per
-document (distinct keys of a document are taken before anything is exploded, so counting needs one
-shuffle of pre-aggregated hashes). Positions of lines whose key is too frequent come back as narrow
-(document, position) rows; texts meet them once, and the kept lines are put together by position.
-
-Defined cases: a null or empty text is one empty line; lines with an empty key always stay; each input
-row counts as a document of its own, identical (doc_id, text) rows included; a null doc_id is kept as
-it is; an empty table gives an empty result; further columns of the input are ignored (or carried by
-`drop_common_lines`).
+Every text is split at \\n and each line gets a normalised key. A document's distinct keys are hashed and
+counted, so counting needs one shuffle of pre-aggregated hashes. Lines whose key is too frequent come back
+as narrow (document, position) rows: a bitmap of the frequent hashes is looked at first, so other lines
+are never shuffled, and a frequent key is dealt over several tasks. Texts meet their positions once; texts
+that a bitmap of marked documents rules out don't move at all. What stays is put together by position,
+from the runs of lines between the dropped ones.
+
+Keys and documents are told apart by 128 bits of hashes; two that agreed in all of them would be taken for one.
+
+Defined cases: a null or empty text is one empty line; lines with an empty key always stay; every row counts
+as a document, rows that repeat a doc_id included; a null doc_id is kept as it is; an empty table gives an
+empty result; further columns of the input, whatever their names, are carried, but `n_lines` and
+`n_dropped` replace columns of those names.
 """
 
 from __future__ import annotations
@@ -16,62 +20,77 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .support import table
+from .support import Scratch, bitmap_of, quoted, table, with_bitmap
 
 MIN_DOCUMENTS = 10
 MIN_KEY_CHARS = 1
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 BLANKS = " \t\n\x0b\x0c\r"
+#: Tasks over which the lines of one frequent key are dealt.
+SALTS = 16
+def line_key(line: Column) -> Column:
+    """The line without blanks at its ends, A-Z lowered and nothing else.
 
+    The functions for any set of characters build arrays and single characters as they go; where a line has no blank but spaces, and
+    where it is ASCII (as many bytes as characters), the common trim() and lower() give the same.
+    """
+    odd = F.contains(line, F.lit("\t")) | F.contains(line, F.lit("\r")) | F.contains(line, F.lit("\x0b")) | F.contains(line, F.lit("\x0c"))
+    ascii = F.octet_length(line) == F.char_length(line)
+    bare = F.when(odd, F.btrim(line, F.lit(BLANKS))).otherwise(F.trim(line))
+    return F.when(ascii, F.lower(bare)).otherwise(F.translate(bare, UPPER, LOWER))
 
-def line_key(line: Column) -> Column:
-    return F.translate(F.btrim(line, F.lit(BLANKS)), UPPER, LOWER)
 
+def _hashes(key: str) -> list[Column]:
+    return [F.xxhash64(key).alias("h1"), F.xxhash64(F.lit(17), key).alias("h2")]
 
-def key_hash(key: Column) -> Column:
-    return F.struct(F.xxhash64(key).alias("h1"), F.xxhash64(F.lit(17), key).alias("h2"))
 
+def common_lines(docs: DataFrame, min_documents: int, min_key_chars: int) -> DataFrame:
+    """(h1, h2) of the keys that so many documents (rows with a text) have."""
+    keys = F.array_distinct(F.transform(F.split("text", "\n"), line_key))
+    hashed = docs.select(F.explode(keys).alias("key")).where(F.char_length("key") >= min_key_chars).select(*_hashes("key"))
+    return hashed.groupBy("h1", "h2").agg(F.count("*").alias("n")).where(F.col("n") >= min_documents).select("h1", "h2")
 
-def common_line_positions(docs: DataFrame, min_documents: int, min_key_chars: int) -> DataFrame:
-    """(row key, sorted positions of lines to drop) from columns k1, k2 (row key) and text."""
-    keyed = docs.select("k1", "k2", F.transform(F.split("text", "\n"), line_key).alias("keys"))
-    common = (
-        keyed.select(F.explode(F.array_distinct("keys")).alias("key"))
-        .where(F.char_length("key") >= min_key_chars)
-        .groupBy(key_hash(F.col("key")).alias("h"))
-        .agg(F.count("*").alias("n"))
-        .where(F.col("n") >= min_documents)
-        .select("h.h1", "h.h2")
-    )
-    return (
-        keyed.select("k1", "k2", F.posexplode("keys").alias("pos", "key"))
-        .where(F.char_length("key") >= min_key_chars)
-        .select("k1", "k2", "pos", F.xxhash64("key").alias("h1"), F.xxhash64(F.lit(17), "key").alias("h2"))
-        .join(common, ["h1", "h2"], "left_semi")
-        .groupBy("k1", "k2")
-        .agg(F.sort_array(F.collect_set("pos")).alias("dropped"))
-    )
+
+def common_line_positions(docs: DataFrame, min_documents: int, min_key_chars: int, scratch: Scratch) -> DataFrame:
+    """(k1, k2, sorted positions of lines to drop) from columns k1, k2 (document key) and text."""
+    common = scratch.stage(common_lines(docs.select("text"), min_documents, min_key_chars), "common")
+    lines = docs.select("k1", "k2", F.posexplode(F.split("text", "\n")).alias("pos", "line"))
+    hashed = lines.select("k1", "k2", "pos", line_key(F.col("line")).alias("key")).select("k1", "k2", "pos", *_hashes("key"))
+    near = with_bitmap(hashed, bitmap_of(common, "h1", "h2"), "hit", "h1", "h2").where("hit").withColumn("salt", F.pmod(F.col("k1"), F.lit(SALTS)).cast("int"))
+    salted = common.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return near.join(salted, ["h1", "h2", "salt"], "left_semi").groupBy("k1", "k2").agg(F.sort_array(F.collect_set("pos")).alias("dropped"))
+
+
+#: The lines between dropped ones, joined again; the split text is bound to a lambda variable, so it is made once.
+_KEPT = r"""get(transform(array(split(text, '\n')), lines -> array_join(flatten(transform(sequence(0, size(dropped)), j ->
+    slice(lines, coalesce(get(dropped, j - 1), -1) + 2, coalesce(get(dropped, j), size(lines)) - coalesce(get(dropped, j - 1), -1) - 1))), '\n')), 0)"""
 
 
 def drop_common_lines(
     docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_documents: int = MIN_DOCUMENTS, min_key_chars: int = MIN_KEY_CHARS
 ) -> DataFrame:
     """The documents with their text rewritten, and two more columns: n_lines and n_dropped."""
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    keyed = docs.withColumns({"k1": F.xxhash64(F.col(id_col), text), "k2": F.xxhash64(F.lit(29), text, F.col(id_col))})
-    marks = common_line_positions(keyed.select("k1", "k2", text.alias("text")), min_documents, min_key_chars)
-    lines = F.transform(F.split(text, "\n"), lambda x, i: F.struct(i.alias("pos"), F.lit(1).alias("kind"), x.alias("line")))
-    drops = F.transform(F.coalesce("dropped", F.array().cast("array<int>")), lambda p: F.struct(p.alias("pos"), F.lit(0).alias("kind"), F.lit("").alias("line")))
-    merged = F.array_sort(F.concat(lines, drops))
-    # a mark sorts just before the line of its position, so one look to the left decides
-    kept = F.filter("_merged", lambda x, i: (x["kind"] == 1) & ((i == 0) | (F.get(F.col("_merged"), i - 1)["kind"] == 1)))
-    joined = keyed.join(marks, ["k1", "k2"], "left").withColumn("n_dropped", F.coalesce(F.size("dropped"), F.lit(0)).cast("long"))
-    rewritten = (
-        joined.withColumn("n_lines", F.size(F.split(text, "\n")).cast("long"))
-        .withColumn("_merged", F.when(F.col("n_dropped") > 0, merged))
-        .withColumn(text_col, F.when(F.col("n_dropped") > 0, F.array_join(F.transform(kept, lambda x: x["line"]), "\n")).otherwise(text))
+    carried = [c for c in docs.columns if c not in ("n_lines", "n_dropped")]
+    source = docs.select(
+        F.struct(F.lit(0).alias("c"), *[F.col(quoted(c)).alias(f"c{i}") for i, c in enumerate(carried) if c != text_col]).alias("row"),
+        F.col(quoted(id_col)).alias("id"),
+        F.coalesce(F.col(quoted(text_col)).cast("string"), F.lit("")).alias("text"),
+    )
+    keyed = source.select("row", "text", F.xxhash64("id", "text").alias("k1"), F.xxhash64(F.lit(29), "text", "id").alias("k2"))
+    scratch = Scratch(docs.sparkSession, "line-dedup")
+    marks = scratch.stage(common_line_positions(keyed.select("k1", "k2", "text"), min_documents, min_key_chars, scratch), "marks")
+    flagged = with_bitmap(keyed, bitmap_of(marks, "k1", "k2"), "hit", "k1", "k2")
+    n_lines = (F.octet_length("text") - F.octet_length(F.replace("text", F.lit("\n"), F.lit(""))) + 1).cast("long").alias("n_lines")
+    untouched = flagged.where("not hit").select("row", "text", n_lines, F.lit(0).cast("long").alias("n_dropped"))
+    met = flagged.where("hit").select("row", "text", "k1", "k2", n_lines).join(marks, ["k1", "k2"], "left")
+    rewritten = met.select(
+        "row",
+        F.when(F.col("dropped").isNull(), F.col("text")).otherwise(F.expr(_KEPT)).alias("text"),
+        "n_lines",
+        F.coalesce(F.size("dropped"), F.lit(0)).cast("long").alias("n_dropped"),
     )
-    return rewritten.select(*docs.columns, "n_lines", "n_dropped")
+    both = untouched.unionByName(rewritten)
+    return both.select(*[F.col("text").alias(c) if c == text_col else F.col("row").getField(f"c{i}").alias(c) for i, c in enumerate(carried)], "n_lines", "n_dropped")
 
 
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
