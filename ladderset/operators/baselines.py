@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import WIDTH
+from ..plans.choose import shard_bits_for
 from ..plans.expr import Expr, balance, flatten, fold
 from . import evaluate as E
 from .ladder import with_hash
@@ -47,23 +48,45 @@ def bounded_tree(e: Expr | str, family: DataFrame) -> DataFrame:
     return E.sketch_by_node(balance(flatten(E.as_expr(e))), family, 0, raw=True).select(F.col("hv").alias("elem"))
 
 
-def gallop(ids: list[str], family: DataFrame, shard_bits: int = 3, counts: bool = False) -> DataFrame:
-    """The smaller set searched in the larger one by doubling steps, shard by shard; counts=True gives comparisons instead."""
+def gallop(ids: list[str], family: DataFrame, shard_bits: int | None = None, counts: bool = False) -> DataFrame:
+    """The smaller set searched in the larger one by doubling steps, shard by shard; counts=True gives the comparisons made instead.
+
+    Every element starts where the one before it ended, doubles its step until it has passed its place, and halves back.
+    """
     card = E.sizes(E.all_of(*ids), family)
     order = sorted(dict.fromkeys(ids), key=lambda s: (card[s], s))
+    bits = shard_bits_for(sum(card.values())) if shard_bits is None else shard_bits
+
+    def search(small: np.ndarray, big: np.ndarray) -> tuple[np.ndarray, int]:
+        found, spent, at = [], 0, 0
+        for x in small.tolist():
+            step, low = 1, at
+            while at + step <= len(big) and big[at + step - 1] < x:
+                spent += 1
+                low, step = at + step, step * 2
+            spent += at + step <= len(big)
+            high = min(at + step - 1, len(big))
+            while low < high:
+                middle = (low + high) // 2
+                spent += 1
+                low, high = (middle + 1, high) if big[middle] < x else (low, middle)
+            at = low
+            if at == len(big):
+                break
+            spent += 1
+            if big[at] == x:
+                found.append(x)
+        return np.array(found, np.int64), spent
 
     def run(rows: pa.Table) -> pa.Table:
         sets = {s: np.sort(rows.filter(pa.compute.equal(rows["set_id"], s))["elem"].to_numpy()) for s in order}
         out, spent = sets[order[0]], 0
         for s in order[1:]:
-            big = sets[s]
-            at = np.searchsorted(big, out)
-            steps = np.diff(at, prepend=0)
-            spent += int((2 * np.ceil(np.log2(steps + 2))).sum())
-            out = out[(at < len(big)) & (big[np.minimum(at, max(0, len(big) - 1))] == out)] if len(big) else out[:0]
+            out, more = search(out, sets[s])
+            spent += more
         return pa.table([pa.array([spent] if counts else out, pa.int64())], ["elem"])
 
-    placed = with_hash(family.where(F.col("set_id").isin(ids))).withColumn("shard", F.shiftrightunsigned("hs", WIDTH - shard_bits))
+    placed = with_hash(family.where(F.col("set_id").isin(ids))).withColumn("shard", F.shiftrightunsigned("hs", WIDTH - bits))
     return placed.select("shard", "set_id", "elem").groupBy("shard").applyInArrow(run, "elem long")
 
 

@@ -1,14 +1,22 @@
-"""The stored form of sets: rungs (a set at several precisions, bucketed and packed) and the dictionary.
+"""The stored form of sets: rungs (a set at several precisions, bucketed and packed), the dictionary, and a catalog.
 
 All precisions are prefixes of one hash, so hash prefixes place equal elements of all sets together. A
-family is shuffled once: large sets by the top bits of the hash (a shard holds their slice of every rung),
-sets too small to fill the shards by a hash of their name. Within a group the top rung is hashed and every
-lower one is derived from the one above by dropping bits.
+family is shuffled once for its rungs: large sets by the top bits of the hash (a shard holds their slice of
+every rung), sets too small to fill the shards by a hash of their name. The number of shards follows the size
+of the family. Sorted partitions then stream through the packing, one set of one shard at a time: the top
+rung is hashed and every lower one is derived from the one above by dropping bits.
+
+The dictionary (set, hash, element) is placed by shard and sorted by hash, so the elements of a prefix are a
+range of one shard; a lookup reads the shards that its prefixes touch.
+
+A store keeps versions: a write makes a new folder and names it complete when all is there, a read takes the
+newest complete one, so writing again replaces a family, shrunk sets and lost rungs included.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -16,39 +24,35 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.hashing import WIDTH, mother_hash
-from ..plans.choose import TINY, balanced_b, balanced_b_column, field_bits, rung_schedule
-from .packed import pack, unpack
+from ..plans.choose import TINY, balanced_b, balanced_b_column, ceil_log2, field_bits, rung_schedule, rung_schedule_column, shard_bits_for
+from ..sources.scratch import file_system, staged
+from .packed import Ops, layout, pack, packed_intersect, packed_truncate, packed_union, unpack
 
 RUNGS = "set_id string, shard long, r int, b int, bucket long, n int, f int, words array<bigint>"
 NAMES = [c.split()[0] for c in RUNGS.split(", ")]
+#: Rows that a packing task gathers before it packs whole sets of them.
+CHUNK = 200_000
+#: Buckets that meet in one group of a packed operation, as a power of two.
+GROUP_BITS = 8
 
 
-def lists(parts: list[np.ndarray]) -> pa.ListArray:
-    ends = np.concatenate([[0], np.cumsum([len(p) for p in parts])])
-    flat = np.concatenate(parts) if parts else np.empty(0, np.uint64)
-    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat.astype(np.uint64).view(np.int64)))
+# -- packed rows as arrays ---------------------------------------------------------------------------
 
 
-def encode(hv: np.ndarray, r: int, b: int) -> tuple[np.ndarray, np.ndarray, int, list[np.ndarray]]:
-    """Sorted distinct r-bit values as buckets: (bucket, count, field bits, words of each)."""
+def encode(hv: np.ndarray, r: int, b: int) -> tuple[np.ndarray, np.ndarray, int, np.ndarray, np.ndarray]:
+    """Sorted distinct r-bit values as buckets: (bucket, count, field bits, all words, words of each)."""
     f = field_bits(r - b)
+    lo = layout(f)
     bucket = (hv >> np.uint64(r - b)).astype(np.int64)
     first = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]])) if len(hv) else np.empty(0, np.int64)
     n = np.diff(np.append(first, len(hv)))
-    words: list = [None] * len(first)
-    # buckets of like size share a matrix, so that one crowded bucket doesn't widen the others
-    for size in np.unique(np.ceil(np.log2(np.maximum(n, 1)))) if len(n) else ():
-        some = np.flatnonzero(np.ceil(np.log2(np.maximum(n, 1))) == size)
-        width = int(n[some].max())
-        at = first[some][:, None] + np.arange(width)
-        inside = np.arange(width) < n[some][:, None]
-        rest = hv[np.minimum(at, len(hv) - 1)] & np.uint64((1 << (r - b)) - 1)
-        packed = pack(np.where(inside, rest, np.uint64((1 << f) - 1)), f)
-        from .packed import layout
-
-        for row, i in zip(packed, some, strict=True):
-            words[i] = row[: layout(f).words(int(n[i]))]
-    return bucket[first], n, f, words
+    length = np.maximum(1, -(-n // lo.k))
+    start = np.cumsum(length) - length
+    # every bucket begins a word: a value goes to the field of its rank
+    rank = np.arange(len(hv)) - np.repeat(first, n)
+    fields = np.full(int(length.sum()) * lo.k, lo.none, np.uint64)
+    fields[np.repeat(start * lo.k, n) + rank] = hv & np.uint64((1 << (r - b)) - 1)
+    return bucket[first], n, f, pack(fields.reshape(-1, lo.k), f).ravel(), length
 
 
 def decode(r: int, b: int, f: int, bucket: int, words: np.ndarray) -> np.ndarray:
@@ -58,66 +62,265 @@ def decode(r: int, b: int, f: int, bucket: int, words: np.ndarray) -> np.ndarray
     return v | np.uint64(bucket) << np.uint64(r - b) if r > b else np.full(len(v), bucket, np.uint64)
 
 
-def rung_batch(parts: list[tuple]) -> pa.RecordBatch | None:
-    """Rows (set_id, shard, r, b, buckets, counts, f, words) as one batch of stored rungs."""
-    if not parts:
-        return None
+def _ints(rows: pa.RecordBatch | pa.Table, name: str) -> np.ndarray:
+    return rows.column(name).to_numpy(zero_copy_only=False) if isinstance(rows, pa.RecordBatch) else rows[name].to_numpy()
+
+
+def words_of(rows: pa.RecordBatch | pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """All words of stored rows, and how many each row has."""
+    col = rows.column("words")
+    if isinstance(col, pa.ChunkedArray):
+        col = col.combine_chunks()
+        col = pa.concat_arrays(col.chunks) if isinstance(col, pa.ChunkedArray) else col
+    return col.flatten().to_numpy(zero_copy_only=False).astype(np.int64, copy=False).view(np.uint64), col.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+
+
+def values_of(rows: pa.RecordBatch | pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """(row, value) of all stored values, rows in order and values ascending in each."""
+    r, b, f, bucket = (_ints(rows, c).astype(np.int64) for c in ("r", "b", "f", "bucket"))
+    words, length = words_of(rows)
+    row = np.repeat(np.arange(len(length)), length)
+    out: list[tuple[np.ndarray, np.ndarray]] = []
+    for width in np.unique(f[length > 0]):
+        mine = np.flatnonzero(f[row] == width)
+        v = unpack(words[mine][:, None], int(width))
+        i, j = np.nonzero(v != layout(int(width)).none)
+        out.append((row[mine][i], v[i, j]))
+    at, v = (np.concatenate([o[x] for o in out]) if out else np.empty(0, t) for x, t in ((0, np.int64), (1, np.uint64)))
+    v = v | np.where(r > b, bucket << np.minimum(r - b, 62), bucket).astype(np.uint64)[at] if len(at) else v
+    order = np.argsort(at, kind="stable") if len(out) > 1 else slice(None)
+    return at[order], np.where(r[at] > b[at], v, bucket[at].astype(np.uint64))[order] if len(at) else v
+
+
+Part = tuple  # set_id, shard, r, b, buckets, counts, f, words, words of each
+
+
+def rung_batch(parts: list[Part]) -> pa.RecordBatch:
+    """Parts as one batch of stored rows."""
     rep = [len(p[4]) for p in parts]
-    col = lambda i, t: pa.array(np.repeat([p[i] for p in parts], rep), t)
-    words = [w for p in parts for w in p[7]]
-    return pa.RecordBatch.from_arrays(
-        [pa.array([p[0] for p, k in zip(parts, rep, strict=True) for _ in range(k)], pa.string()), col(1, pa.int64()), col(2, pa.int32()), col(3, pa.int32()), pa.array(np.concatenate([p[4] for p in parts])), pa.array(np.concatenate([p[5] for p in parts]).astype(np.int32)), col(6, pa.int32()), lists(words)],
-        NAMES,
-    )
+    col = lambda i, t: pa.array(np.repeat(np.array([p[i] for p in parts], np.int64), rep), pa.int64()).cast(t)
+    cat = lambda i, t: np.concatenate([np.empty(0, t), *(p[i] for p in parts)]).astype(t)
+    ends = np.concatenate([[0], np.cumsum(cat(8, np.int64))])
+    words = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(cat(7, np.uint64).view(np.int64)))
+    names = pa.array([p[0] for p in parts], pa.string()).take(pa.array(np.repeat(np.arange(len(parts)), rep)))
+    return pa.RecordBatch.from_arrays([names, col(1, pa.int64()), col(2, pa.int32()), col(3, pa.int32()), pa.array(cat(4, np.int64)), pa.array(cat(5, np.int32)), col(6, pa.int32()), words], NAMES)
+
+
+def matrix_of(rows: pa.Table, bucket: np.ndarray, f: int, ops: Ops | None = None) -> np.ndarray:
+    """One set's rows as a matrix of runs, a line for each of `bucket`; slices of a bucket from several stored rows are united."""
+    empty = np.full((len(bucket), 1), layout(f).entry, np.uint64)
+    if not rows.num_rows:
+        return empty
+    words, length = words_of(rows)
+    at = np.searchsorted(bucket, _ints(rows, "bucket"))
+    order = np.argsort(at, kind="stable")
+    sorted_at = at[order]
+    first = np.flatnonzero(np.concatenate([[True], sorted_at[1:] != sorted_at[:-1]]))
+    layer = np.empty(len(at), np.int64)
+    layer[order] = np.arange(len(at)) - np.repeat(first, np.diff(np.append(first, len(at))))
+    start = np.cumsum(length) - length
+    out = None
+    for k in range(int(layer.max()) + 1):
+        some = np.flatnonzero(layer == k)
+        m = np.full((len(bucket), int(length[some].max())), layout(f).entry, np.uint64)
+        line = np.repeat(at[some], length[some])
+        inside = np.arange(len(line)) - np.repeat(np.cumsum(length[some]) - length[some], length[some])
+        m[line, inside] = words[np.repeat(start[some], length[some]) + inside]
+        out = m if out is None else packed_union(out, m, f, ops)
+    return out
+
+
+def parts_of(sid: str, shard: int, r: int, b: int, bucket: np.ndarray, matrix: np.ndarray, f: int) -> list[Part]:
+    """A matrix of runs (a line for each bucket) as a part, lines without a value left out."""
+    lo = layout(f)
+    used = (unpack(matrix, f) != lo.none).sum(1)
+    some = np.flatnonzero(used)
+    length = -(-used[some] // lo.k)
+    keep = np.arange(matrix.shape[1]) < length[:, None]
+    return [(sid, shard, r, b, bucket[some], used[some], f, matrix[some][keep], length)] if len(some) else []
+
+
+# -- building -----------------------------------------------------------------------------------------
 
 
 def with_hash(family: DataFrame, kind: str = "linear2", seed: int = 0) -> DataFrame:
     return family.withColumn("hs", mother_hash("elem", kind, seed))
 
 
-def build_rungs(family: DataFrame, schedule="ladder", shard_bits: int = 3, kind: str = "linear2", seed: int = 0) -> DataFrame:
-    """The rungs of every set: schedule is "ladder", "all" precisions above log |S|, or a list of precisions."""
-    cards = family.groupBy("set_id").agg(F.count("*").alias("card"))
-    sized = with_hash(family, kind, seed).join(cards, "set_id")
-    large = balanced_b_column(F.col("card")) >= shard_bits
-    shard = F.when(large, F.shiftrightunsigned("hs", WIDTH - shard_bits)).otherwise(F.lit(-1).cast("long"))
-    group = F.when(large, shard).otherwise(-1 - F.pmod(F.xxhash64("set_id"), F.lit(1 << shard_bits)))
+def precisions_of(schedule) -> Callable[[int], list[int]]:
+    """Precisions of a set by its size: "ladder", "all" above log |S|, or a list."""
 
-    def precisions(card: int) -> list[int]:
+    def of(card: int) -> list[int]:
         if isinstance(schedule, list):
             return sorted(schedule)
         if schedule == "all":
-            return list(range(max(1, (card - 1).bit_length()), WIDTH + 1))
+            return list(range(max(1, ceil_log2(card)), WIDTH + 1))
         return [WIDTH] if card < TINY else rung_schedule(card)
 
-    def run(rows: pa.Table) -> pa.Table:
-        rows = rows.sort_by([("set_id", "ascending"), ("hs", "ascending")])
-        sets, hs = rows["set_id"].combine_chunks(), rows["hs"].to_numpy().astype(np.uint64)
-        code = sets.dictionary_encode().indices.to_numpy()
-        first = np.flatnonzero(np.concatenate([[True], code[1:] != code[:-1]]))
-        card, shards = rows["card"].to_numpy(), rows["shard"].to_numpy()
-        parts = []
-        for lo, hi in zip(first, np.append(first[1:], len(hs)), strict=True):
-            hv, at = np.unique(hs[lo:hi]), WIDTH
-            for r in reversed(precisions(int(card[lo]))):
-                hv = np.unique(hv >> np.uint64(at - r))
-                at = r
-                b = min(r, balanced_b(int(card[lo])))
-                parts.append((sets[lo].as_py(), int(shards[lo]), r, b, *encode(hv, r, b)))
-        return pa.Table.from_batches([rung_batch(parts)])
+    return of
+
+
+def precisions_column(card, schedule):
+    if isinstance(schedule, list):
+        return F.array(*map(F.lit, sorted(schedule)))
+    if schedule == "all":
+        return F.sequence(F.greatest(F.lit(1), F.ceil(F.log2(F.greatest(card, F.lit(1)))).cast("int")), F.lit(WIDTH))
+    return F.when(card < TINY, F.array(F.lit(WIDTH))).otherwise(rung_schedule_column(card))
+
+
+def _whole_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """Tables in which every run of equal (g, set_id) is whole. Batches are sorted by both."""
+    held: list[pa.RecordBatch] = []
+    rows, want = 0, CHUNK
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        held.append(batch)
+        rows += batch.num_rows
+        if rows < want:
+            continue
+        t = pa.Table.from_batches(held).combine_chunks()
+        cut = int(run_starts(t)[-1])
+        if cut:
+            yield t.slice(0, cut)
+        held = t.slice(cut).to_batches()
+        rows -= cut
+        want = max(CHUNK, 2 * rows)  # a long run is gathered in doubling steps
+    if rows:
+        yield pa.Table.from_batches(held).combine_chunks()
+
+
+def run_starts(t: pa.Table) -> np.ndarray:
+    g, sets = _ints(t, "g"), t["set_id"].combine_chunks().dictionary_encode()
+    code = (pa.concat_arrays(sets.chunks) if isinstance(sets, pa.ChunkedArray) else sets).indices.to_numpy(zero_copy_only=False)
+    return np.flatnonzero(np.concatenate([[True], (code[1:] != code[:-1]) | (g[1:] != g[:-1])]))
+
+
+def build_rungs(family: DataFrame, schedule="ladder", shard_bits: int | None = None, kind: str = "linear2", seed: int = 0) -> DataFrame:
+    """The rungs of every set: schedule is "ladder", "all" precisions above log |S|, or a list of precisions.
+
+    Only sets of 64 elements a shard and more are cut by shard. At the default number of shards they are at most
+    65,536 (SHARD_ELEMENTS / 64), so their table is broadcast; all other sets are whole in their group and counted there.
+    """
+    bits = shard_bits_for(family.count()) if shard_bits is None else shard_bits
+    cards = family.groupBy("set_id").agg(F.count("*").alias("card"))
+    large = F.broadcast(cards.where(balanced_b_column(F.col("card")) >= bits))
+    sized = with_hash(family, kind, seed).join(large, "set_id", "left")
+    shard = F.when(F.col("card").isNotNull(), F.shiftrightunsigned("hs", WIDTH - bits)).otherwise(F.lit(-1).cast("long"))
+    group = F.when(F.col("card").isNotNull(), shard).otherwise(-1 - F.pmod(F.xxhash64("set_id"), F.lit(1 << bits)))
+    precisions = precisions_of(schedule)
+
+    def tiny(t: pa.Table, first: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+        """Sets with a single rung of single-value words, all at once."""
+        row = np.repeat(first, n) + np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+        hs = _ints(t, "hs").astype(np.uint64)[row]
+        keep = np.concatenate([[True], (hs[1:] != hs[:-1])]) | (np.concatenate([[0], np.diff(np.repeat(np.arange(len(n)), n))]) > 0)
+        size = np.bincount(np.repeat(np.arange(len(n)), n)[keep], minlength=len(n))
+        words = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]), pa.int32()), pa.array(hs[keep].view(np.int64)))
+        same = lambda v, kind: pa.array(np.full(len(n), v), kind)
+        return pa.RecordBatch.from_arrays([t["set_id"].combine_chunks().take(pa.array(first)), same(-1, pa.int64()), same(WIDTH, pa.int32()), same(0, pa.int32()), same(0, pa.int64()), pa.array(size.astype(np.int32)), same(field_bits(WIDTH), pa.int32()), words], NAMES)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in _whole_runs(batches):
+            first = run_starts(t)
+            n = np.diff(np.append(first, t.num_rows))
+            given, shards = t["card"].to_pandas().fillna(-1).to_numpy().astype(np.int64)[first], _ints(t, "shard")[first]
+            hs, names = _ints(t, "hs").astype(np.uint64), t["set_id"].take(pa.array(first)).to_pylist()
+            few = (n < TINY) & (given < 0) if schedule == "ladder" else np.zeros(len(n), bool)
+            if few.any():
+                yield tiny(t, first[few], n[few])
+            parts: list[Part] = []
+            for x in np.flatnonzero(~few):
+                card = int(given[x]) if given[x] >= 0 else int(n[x])
+                hv, at = np.unique(hs[first[x] : first[x] + n[x]]), WIDTH
+                for r in reversed(precisions(card)):
+                    hv = np.unique(hv >> np.uint64(at - r)) if at > r else hv
+                    at = r
+                    parts.append((names[x], int(shards[x]), r, min(r, balanced_b(card)), *encode(hv, r, min(r, balanced_b(card)))))
+                if sum(len(p[7]) for p in parts[-8:]) > CHUNK or len(parts) > 2_000:
+                    yield rung_batch(parts)
+                    parts = []
+            if parts:
+                yield rung_batch(parts)
+
+    placed = sized.select("set_id", "hs", "card", shard.alias("shard"), group.alias("g"))
+    return placed.repartition("g").sortWithinPartitions("g", "set_id", "hs").mapInArrow(run, RUNGS)
+
+
+def build_dict(family: DataFrame, shard_bits: int | None = None, kind: str = "linear2", seed: int = 0) -> DataFrame:
+    """(set_id, shard, hs, elem), placed by shard and sorted, so the elements of a prefix are a range."""
+    bits = shard_bits_for(family.count()) if shard_bits is None else shard_bits
+    hashed = with_hash(family, kind, seed).withColumn("shard", F.shiftrightunsigned("hs", WIDTH - bits))
+    return hashed.select("set_id", "shard", "hs", "elem").repartition("shard").sortWithinPartitions("shard", "set_id", "hs")
 
-    return sized.withColumn("shard", shard).withColumn("g", group).groupBy("g").applyInArrow(run, RUNGS)
 
+@dataclass
+class Ladder:
+    """Stored sets. catalog: (set_id, card, b, precisions). All parts use one hash (kind, seed) and one number of shards."""
 
-def build_dict(family: DataFrame, shard_bits: int = 3, kind: str = "linear2", seed: int = 0) -> DataFrame:
-    """(set_id, shard, hs, elem), placed by shard and sorted, so the elements of a prefix are a range."""
-    hashed = with_hash(family, kind, seed).withColumn("shard", F.shiftrightunsigned("hs", WIDTH - shard_bits))
-    return hashed.select("set_id", "shard", "hs", "elem").repartition("shard").sortWithinPartitions("set_id", "hs")
+    catalog: DataFrame
+    rungs: DataFrame
+    dictionary: DataFrame
+    shard_bits: int
+    kind: str = "linear2"
+    seed: int = 0
+    schedule: object = "ladder"
+
+    def cards(self, ids: list[str]) -> dict[str, int]:
+        """Sizes of the named sets: as many rows as an expression has sets."""
+        got = {x["set_id"]: x["card"] for x in self.catalog.where(F.col("set_id").isin(ids)).select("set_id", "card").collect()}
+        return {s: got.get(s, 0) for s in ids}
+
+    def precisions(self, ids: list[str]) -> dict[str, list[int]]:
+        return {x["set_id"]: sorted(x["precisions"]) for x in self.catalog.where(F.col("set_id").isin(ids)).select("set_id", "precisions").collect()}
 
 
-def lookup(dictionary: DataFrame, hv: DataFrame, r: int) -> DataFrame:
-    """All elements (set_id, elem, hv) whose r-bit prefix is among (set_id, hv)."""
-    return dictionary.withColumn("hv", F.shiftrightunsigned("hs", WIDTH - r)).join(hv.select("set_id", "hv").distinct(), ["set_id", "hv"], "left_semi").select("set_id", "elem", "hv")
+def catalog_of(cards: DataFrame, schedule="ladder") -> DataFrame:
+    """(set_id, card) with the shape that a set of that size is stored in."""
+    return cards.select("set_id", "card", balanced_b_column(F.col("card")).alias("b"), precisions_column(F.col("card"), schedule).alias("precisions"))
+
+
+def build_ladder(family: DataFrame, schedule="ladder", shard_bits: int | None = None, kind: str = "linear2", seed: int = 0) -> Ladder:
+    """The ladder of a family, not stored yet."""
+    bits = shard_bits_for(family.count()) if shard_bits is None else shard_bits
+    cards = family.groupBy("set_id").agg(F.count("*").alias("card"))
+    return Ladder(catalog_of(cards, schedule), build_rungs(family, schedule, bits, kind, seed), build_dict(family, bits, kind, seed), bits, kind, seed, schedule)
+
+
+# -- lookup --------------------------------------------------------------------------------------------
+
+#: Prefixes up to which a lookup hands the dictionary's scan exact ranges of hashes, and rows up to which it broadcasts them.
+RANGES = 128
+BROADCAST_ROWS = 1 << 20
+
+
+def pruned(dictionary: DataFrame, prefixes: DataFrame, r: int, shard_bits: int) -> DataFrame:
+    """The part of the dictionary that r-bit prefixes (hv) can be in: their shards (at most 2^shard_bits numbers), or few ranges of hashes."""
+    few = [x["hv"] for x in prefixes.select("hv").distinct().limit(RANGES + 1).collect()]
+    if not few:
+        return dictionary.where(F.lit(False))
+    if r >= shard_bits:
+        shard = F.shiftrightunsigned("hv", r - shard_bits)
+        touched = sorted({v >> (r - shard_bits) for v in few}) if len(few) <= RANGES else [x["s"] for x in prefixes.select(shard.alias("s")).distinct().collect()]
+        dictionary = dictionary.where(F.col("shard").isin(touched))
+    if len(few) <= RANGES:
+        low = WIDTH - r
+        some = F.lit(False)
+        for v in sorted(few):
+            some = some | ((F.col("hs") >= F.lit(v << low)) & (F.col("hs") <= F.lit(((v + 1) << low) - 1)))
+        dictionary = dictionary.where(some)
+    return dictionary
+
+
+def lookup(dictionary: DataFrame, hv: DataFrame, r: int, shard_bits: int | None = None) -> DataFrame:
+    """All elements (set_id, elem, hv) whose r-bit prefix is among (set_id, hv). With shard_bits, only touched shards are read."""
+    wanted = hv.select("set_id", "hv").distinct()
+    if shard_bits is not None:
+        dictionary = pruned(dictionary, wanted, r, shard_bits)
+    return dictionary.withColumn("hv", F.shiftrightunsigned("hs", WIDTH - r)).join(wanted, ["set_id", "hv"], "left_semi").select("set_id", "elem", "hv")
+
+
+# -- operations on stored rows ----------------------------------------------------------------------------
 
 
 def members(rungs: DataFrame) -> DataFrame:
@@ -125,53 +328,87 @@ def members(rungs: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = batch.to_pylist()
-            values = [decode(x["r"], x["b"], x["f"], x["bucket"], np.array(x["words"])) for x in rows]
-            n = [len(v) for v in values]
-            yield pa.RecordBatch.from_arrays([pa.array([x["set_id"] for x, k in zip(rows, n, strict=True) for _ in range(k)], pa.string()), pa.array(np.repeat([x["r"] for x in rows], n), pa.int32()), pa.array(np.concatenate([*values, np.empty(0, np.uint64)]).astype(np.int64))], ["set_id", "r", "hv"])
-
-    return rungs.mapInArrow(run, "set_id string, r int, hv long")
+            row, v = values_of(batch)
+            at = pa.array(row)
+            yield pa.RecordBatch.from_arrays([batch.column("set_id").take(at), batch.column("r").take(at), pa.array(v.astype(np.int64))], ["set_id", "r", "hv"])
+
+    return rungs.select(*NAMES).mapInArrow(run, "set_id string, r int, hv long")
+
+
+def _recoded(rows: pa.RecordBatch | pa.Table, b: int, drop: int = 0) -> list[Part]:
+    """Rows with `drop` low bits fewer, in buckets of parameter b."""
+    row, v = values_of(rows)
+    sets, shards, r = rows.column("set_id").to_pylist(), _ints(rows, "shard"), _ints(rows, "r")
+    kinds: dict[tuple, list[int]] = {}
+    for i, key in enumerate(zip(sets, shards.tolist(), r.tolist(), strict=True)):
+        kinds.setdefault(key, []).append(i)
+    number = np.empty(len(sets), np.int64)
+    for k, mine in enumerate(kinds.values()):
+        number[mine] = k
+    of = number[row]
+    parts = []
+    for k, (sid, shard, old) in enumerate(kinds):
+        new = int(old) - drop
+        parts.append((sid, shard, new, min(b, new), *encode(np.unique(v[of == k] >> np.uint64(drop)), new, min(b, new))))
+    return parts
 
 
 def rebucket(rungs: DataFrame, b: int, drop: int = 0) -> DataFrame:
-    """Rungs at another bucket parameter, and `drop` low bits fewer. Splitting is local; groups that join meet in one shuffle."""
+    """Rungs at another bucket parameter, and `drop` low bits fewer. Splitting is local; groups that join meet in one shuffle of packed rows."""
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            parts = []
-            for x in batch.to_pylist():
-                r = x["r"] - drop
-                hv = np.unique(decode(x["r"], x["b"], x["f"], x["bucket"], np.array(x["words"])) >> np.uint64(drop))
-                parts.append((x["set_id"], x["shard"], r, min(b, r), *encode(hv, r, min(b, r))))
-            if out := rung_batch(parts):
-                yield out
+            if batch.num_rows:
+                yield rung_batch(_recoded(batch, b, drop))
 
     def join(rows: pa.Table) -> pa.Table:
-        parts = rows.to_pylist()
-        if len(parts) == 1:
-            return rows.select(NAMES)
-        x = parts[0]
-        hv = np.unique(np.concatenate([decode(p["r"], p["b"], p["f"], p["bucket"], np.array(p["words"])) for p in parts]))
-        return pa.Table.from_batches([rung_batch([(x["set_id"], x["shard"], x["r"], x["b"], *encode(hv, x["r"], x["b"]))])])
+        rows = rows.select(NAMES)
+        if len(np.unique(_ints(rows, "bucket"))) == rows.num_rows:
+            return rows
+        x = rows.slice(0, 1).to_pylist()[0]
+        row, v = values_of(rows)
+        return pa.Table.from_batches([rung_batch([(x["set_id"], x["shard"], x["r"], x["b"], *encode(np.unique(v), x["r"], x["b"]))])])
+
+    dealt = rungs.select(*NAMES).mapInArrow(split, RUNGS)
+    return dealt.groupBy("set_id", "r", F.shiftrightunsigned("bucket", GROUP_BITS).alias("g")).applyInArrow(join, RUNGS)
+
 
-    return rungs.mapInArrow(split, RUNGS).groupBy("set_id", "r", "bucket").applyInArrow(join, RUNGS)
+def rebalance(rungs: DataFrame, n: int, w: int = 64) -> DataFrame:
+    """Rows of one precision in the buckets that suit n values."""
+    return rebucket(rungs, balanced_b(n, w))
 
 
-def truncate(rungs: DataFrame, drop: int) -> DataFrame:
-    """`drop` low bits fewer at the same bucket parameter: no shuffle. Every rung must have r - drop >= b."""
+def truncate(rungs: DataFrame, drop: int, ops: Ops | None = None) -> DataFrame:
+    """`drop` low bits fewer at the same bucket parameter, on packed words: no shuffle. Every rung must have r - drop >= b."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            parts = []
-            for x in batch.to_pylist():
-                if x["r"] - drop < x["b"]:
-                    raise ValueError("more bits than a bucket's remainder has; re-bucket first")
-                hv = np.unique(decode(x["r"], x["b"], x["f"], x["bucket"], np.array(x["words"])) >> np.uint64(drop))
-                parts.append((x["set_id"], x["shard"], x["r"] - drop, x["b"], *encode(hv, x["r"] - drop, x["b"])))
-            if out := rung_batch(parts):
-                yield out
-
-    return rungs.mapInArrow(run, RUNGS)
+            parts = cut(pa.Table.from_batches([batch]), drop)
+            if parts:
+                yield rung_batch([p for rows in parts for p in rows])
+
+    return rungs.select(*NAMES).mapInArrow(run, RUNGS)
+
+
+def cut(rows: pa.Table, drop: int, ops: Ops | None = None) -> list[list[Part]]:
+    """Rows by (set, shard, r, b), their words cut by the packed kernel and packed into narrower fields."""
+    keys: dict[tuple, list[int]] = {}
+    for i, key in enumerate(zip(*(rows[c].to_pylist() for c in ("set_id", "shard", "r", "b", "f")), strict=True)):
+        keys.setdefault(key, []).append(i)
+    out = []
+    for (sid, shard, r, b, f), mine in keys.items():
+        if r - drop < b:
+            raise ValueError("more bits than a bucket's remainder has; re-bucket first")
+        some = rows.take(pa.array(mine))
+        bucket = np.unique(_ints(some, "bucket"))
+        m = matrix_of(some, bucket, f, ops)
+        if drop:
+            m = packed_truncate(m, drop, f, ops)
+        narrow = field_bits(r - drop - b)
+        v = unpack(m, f)
+        v = np.where(v == layout(f).none, layout(narrow).none, v)
+        out.append(parts_of(sid, shard, r - drop, b, bucket, pack(v, narrow), narrow))
+    return out
 
 
 def to_buckets(hashed: DataFrame, r: int, b: int) -> DataFrame:
@@ -181,57 +418,132 @@ def to_buckets(hashed: DataFrame, r: int, b: int) -> DataFrame:
         hv = np.unique(rows["hv"].to_numpy()).astype(np.uint64)
         return pa.Table.from_batches([rung_batch([(rows["set_id"][0].as_py(), -1, r, b, *encode(hv, r, b))])])
 
-    return hashed.withColumn("bucket", F.shiftrightunsigned("hv", r - b)).groupBy("set_id", "bucket").applyInArrow(run, RUNGS)
+    return hashed.withColumn("g", F.shiftrightunsigned("hv", max(0, r - b + GROUP_BITS))).groupBy("set_id", "g").applyInArrow(run, RUNGS)
 
 
-def combine(rungs: DataFrame, left: str, right: str, op: str) -> DataFrame:
-    """Union ("or") or intersection ("and") of two stored sets at one precision, bucket by bucket, as set `result`."""
-    from .packed import packed_intersect, packed_union
+def combine(rungs: DataFrame, left: str, right: str, op: str, b: int | None = None) -> DataFrame:
+    """Union ("or") or intersection ("and") of two stored sets at one precision, as set `result`, on packed words.
 
-    def run(rows: pa.Table) -> pa.Table:
-        by = {x["set_id"]: x for x in rows.to_pylist()}
-        x = next(iter(by.values()))
-        if len(by) == 1:
-            parts = [] if op == "and" else [("result", x["shard"], x["r"], x["b"], np.array([x["bucket"]]), np.array([x["n"]]), x["f"], [np.array(x["words"], np.int64).view(np.uint64)])]
-        else:
-            a, b = (np.array(by[s]["words"], np.int64).view(np.uint64)[None] for s in (left, right))
-            z = (packed_intersect if op == "and" else packed_union)(a, b, x["f"])
-            v = decode(x["r"], x["b"], x["f"], x["bucket"], z[0].view(np.int64))
-            parts = [("result", x["shard"], x["r"], x["b"], *encode(v, x["r"], x["b"]))] if len(v) else []
-        out = rung_batch(parts)
-        return pa.Table.from_batches([out]) if out else rows.select(NAMES).slice(0, 0)
-
-    return rungs.where(F.col("set_id").isin(left, right)).groupBy("bucket").applyInArrow(run, RUNGS)
-
-
-def append_elements(rungs: DataFrame, batch: DataFrame, kind: str = "linear2", seed: int = 0) -> DataFrame:
-    """Rungs after new (set_id, elem) pairs: each stored rung takes the new prefixes at its own precision and bucket parameter."""
-    shape = rungs.select("set_id", "r", "b", "shard").distinct()
-    new = with_hash(batch, kind, seed).join(shape.drop("shard").distinct(), "set_id").select("set_id", "r", "b", F.call_function("shiftrightunsigned", F.col("hs"), F.lit(WIDTH) - F.col("r")).alias("hv"))
-    # rows of a rung are cut by shard too; a union of both sides meets per bucket
-    old = members(rungs).join(shape.drop("shard").distinct(), ["set_id", "r"]).select("set_id", "r", "b", "hv")
+    Both sides are brought to one bucket parameter, by default the one that suits their sizes together, and meet group by group;
+    `rebalance` suits the result to its own size.
+    """
+    mine = rungs.where(F.col("set_id").isin(left, right))
+    if b is None:
+        b = balanced_b(mine.agg(F.sum("n").alias("n")).first()["n"] or 1)
+    dealt = rebucket(mine, b)
 
     def run(rows: pa.Table) -> pa.Table:
-        r, b = rows["r"][0].as_py(), rows["b"][0].as_py()
-        hv = np.unique(rows["hv"].to_numpy()).astype(np.uint64)
-        return pa.Table.from_batches([rung_batch([(rows["set_id"][0].as_py(), -1, r, b, *encode(hv, r, b))])])
+        x = rows.slice(0, 1).to_pylist()[0]
+        bucket = np.unique(_ints(rows, "bucket"))
+        p, q = (matrix_of(rows.filter(pa.compute.equal(rows["set_id"], s)), bucket, x["f"]) for s in (left, right))
+        z = (packed_intersect if op == "and" else packed_union)(p, q, x["f"])
+        return pa.Table.from_batches([rung_batch(parts_of("result", -1, x["r"], x["b"], bucket, z, x["f"]))])
+
+    return dealt.groupBy(F.shiftrightunsigned("bucket", GROUP_BITS).alias("g")).applyInArrow(lambda rows: run(rows.select(NAMES)), RUNGS)
+
+
+# -- growth ---------------------------------------------------------------------------------------------
+
+
+def append_elements(ladder: Ladder, batch: DataFrame) -> Ladder:
+    """The ladder after new (set_id, elem) pairs; pairs that it holds already change nothing.
+
+    Where size, precisions and bucket parameter of a set stay in shape, its touched buckets take the new prefixes by a packed
+    union. New sets, and sets that have outgrown their shape, are built anew from the dictionary.
+    """
+    fresh = batch.select("set_id", "elem").distinct().join(ladder.dictionary.select("set_id", "elem"), ["set_id", "elem"], "left_anti")
+    more = fresh.groupBy("set_id").agg(F.count("*").alias("more"))
+    before = ladder.catalog.select("set_id", F.col("card").alias("old"), F.col("b").alias("old_b"), F.col("precisions").alias("old_p"))
+    grown = more.join(before, "set_id", "left").withColumn("card", F.col("more") + F.coalesce("old", F.lit(0)))
+    shape = grown.select("set_id", "card", "old_b", "old_p", balanced_b_column(F.col("card")).alias("b"), precisions_column(F.col("card"), ladder.schedule).alias("p"))
+    # a set that is large enough for another kind of place changes b as well
+    keeps = F.coalesce((F.col("b") == F.col("old_b")) & (F.col("p") == F.col("old_p")), F.lit(False))
+    same, other = shape.where(keeps).select("set_id", "b", "p"), shape.where(~keeps).select("set_id")
+
+    new = with_hash(fresh, ladder.kind, ladder.seed)
+    prefixes = new.join(same, "set_id").select("set_id", "hs", "b", F.explode("p").alias("r")).select("set_id", "r", "b", F.call_function("shiftrightunsigned", F.col("hs"), F.lit(WIDTH) - F.col("r")).alias("hv"))
+    b_of_rung = F.least("b", "r")
+    prefixes = prefixes.select("set_id", "r", b_of_rung.alias("b"), "hv", F.call_function("shiftrightunsigned", F.col("hv"), F.col("r") - b_of_rung).alias("bucket"))
+    group = F.shiftrightunsigned("bucket", GROUP_BITS).alias("g")
+    touched = prefixes.select("set_id", "r", "bucket").distinct()
+    old = ladder.rungs.select(*NAMES)
+    stay = old.join(touched, ["set_id", "r", "bucket"], "left_anti").join(other, "set_id", "left_anti").select(*NAMES)
+    take = old.join(touched, ["set_id", "r", "bucket"], "left_semi").select(*NAMES)
+
+    def unite(key: tuple, rows: pa.Table, more: pa.Table) -> pa.Table:
+        r, b = more["r"][0].as_py(), more["b"][0].as_py()
+        sid, hv = more["set_id"][0].as_py(), np.unique(more["hv"].to_numpy()).astype(np.uint64)
+        add = pa.Table.from_batches([rung_batch([(sid, -1, r, b, *encode(hv, r, b))])])
+        rows = rows.select(NAMES)
+        shard = rows["shard"][0].as_py() if rows.num_rows else -1
+        bucket = np.unique(np.concatenate([_ints(add, "bucket"), _ints(rows, "bucket") if rows.num_rows else np.empty(0, np.int64)]))
+        f = field_bits(r - b)
+        parts = parts_of(sid, shard, r, b, bucket, packed_union(matrix_of(rows, bucket, f), matrix_of(add, bucket, f), f), f)
+        return pa.Table.from_batches([rung_batch(parts)])
 
-    bucket = F.call_function("shiftrightunsigned", F.col("hv"), F.col("r") - F.col("b"))
-    return old.unionByName(new).withColumn("bucket", bucket).groupBy("set_id", "r", "bucket").applyInArrow(run, RUNGS)
+    united = take.groupBy("set_id", "r", group).cogroup(prefixes.groupBy("set_id", "r", group)).applyInArrow(unite, RUNGS)
+    whole = ladder.dictionary.select("set_id", "elem").join(other, "set_id", "left_semi").union(fresh.join(other, "set_id", "left_semi"))
+    rebuilt = build_rungs(whole, ladder.schedule, ladder.shard_bits, ladder.kind, ladder.seed)
+    cards = ladder.catalog.select("set_id", "card").join(more.select("set_id"), "set_id", "left_anti").union(grown.select("set_id", "card"))
+    entries = build_dict(fresh, ladder.shard_bits, ladder.kind, ladder.seed)
+    return replace(ladder, catalog=catalog_of(cards, ladder.schedule), rungs=stay.union(united).union(rebuilt), dictionary=ladder.dictionary.union(entries))
+
+
+# -- the store --------------------------------------------------------------------------------------------
+
+
+def versions(spark: SparkSession, path: str, name: str) -> list[int]:
+    """Complete versions of a family, oldest first."""
+    fs, folder = file_system(spark, f"{path}/{name}")
+    if not fs.exists(folder):
+        return []
+    found = [str(s.getPath().getName()) for s in fs.listStatus(folder)]
+    return sorted(int(x.removeprefix("complete-")) for x in found if x.startswith("complete-"))
+
+
+def store_ladder(ladder: Ladder, spark: SparkSession, path: str, name: str, version: int | None = None, keep: int = 2) -> int:
+    """Writes a ladder as the next version of a family (or as a given one, over what an interrupted write left), and drops versions older
+    than the last `keep`. Readers see it when all of it is there."""
+    have = versions(spark, path, name)
+    number = version if version is not None else (have[-1] + 1 if have else 0)
+    at = f"{path}/{name}/v{number}"
+    ladder.rungs.write.mode("overwrite").partitionBy("r").parquet(f"{at}/rungs")
+    # small pages, so that a range of hashes skips most of a shard
+    ladder.dictionary.write.mode("overwrite").option("parquet.page.row.count.limit", "512").partitionBy("shard").parquet(f"{at}/dict")
+    options = [F.lit(ladder.shard_bits).alias("shard_bits"), F.lit(ladder.kind).alias("kind"), F.lit(ladder.seed).alias("seed"), F.lit(repr(ladder.schedule)).alias("schedule")]
+    ladder.catalog.coalesce(1).write.mode("overwrite").parquet(f"{at}/catalog")
+    spark.range(1).select(*options).coalesce(1).write.mode("overwrite").parquet(f"{at}/options")
+    fs, done = file_system(spark, f"{path}/{name}/complete-{number}")
+    fs.create(done, True).close()
+    for old in have:
+        if old <= number - keep:
+            for part in (f"complete-{old}", f"v{old}"):
+                fs.delete(file_system(spark, f"{path}/{name}/{part}")[1], True)
+    return number
 
 
 def write_ladder(family: DataFrame, path: str, name: str, **options) -> None:
-    """Rungs and dictionary under `path`, partitioned by family and precision; writing a family again replaces it."""
-    spark = family.sparkSession
-    before = spark.conf.get("spark.sql.sources.partitionOverwriteMode", "static")
-    spark.conf.set("spark.sql.sources.partitionOverwriteMode", "dynamic")
-    try:
-        build_rungs(family, **options).withColumn("family", F.lit(name)).write.mode("overwrite").partitionBy("family", "r").parquet(f"{path}/rungs")
-        build_dict(family).withColumn("family", F.lit(name)).write.mode("overwrite").partitionBy("family").parquet(f"{path}/dict")
-    finally:
-        spark.conf.set("spark.sql.sources.partitionOverwriteMode", before)
-
-
-def read_ladder(spark: SparkSession, path: str, name: str) -> tuple[DataFrame, DataFrame]:
-    rungs = spark.read.parquet(f"{path}/rungs").where(F.col("family") == name).select(*[F.col("r").cast("int").alias("r") if c == "r" else F.col(c) for c in NAMES])
-    return rungs, spark.read.parquet(f"{path}/dict").where(F.col("family") == name).select("set_id", "shard", "hs", "elem")
+    """Builds a family's ladder and stores it below `path`; writing a family again replaces it. The family is computed once."""
+    store_ladder(build_ladder(staged(family.select("set_id", "elem"), "family"), **options), family.sparkSession, path, name)
+
+
+def read_ladder(spark: SparkSession, path: str, name: str, kind: str | None = None, version: int | None = None) -> Ladder:
+    """The newest complete version of a family. A hash kind other than the one it was stored with is refused."""
+    have = versions(spark, path, name)
+    if not have or version is not None and version not in have:
+        raise FileNotFoundError(f"no complete version of {name} in {path}")
+    at = f"{path}/{name}/v{have[-1] if version is None else version}"
+    o = spark.read.parquet(f"{at}/options").first()
+    if kind is not None and kind != o["kind"]:
+        raise ValueError(f"{name} is stored with hash kind {o['kind']}, not {kind}")
+    import ast
+
+    rungs = spark.read.schema(RUNGS).parquet(f"{at}/rungs").select(*NAMES)
+    dictionary = spark.read.schema("set_id string, hs long, elem long, shard long").parquet(f"{at}/dict").select("set_id", "shard", "hs", "elem")
+    return Ladder(spark.read.parquet(f"{at}/catalog"), rungs, dictionary, o["shard_bits"], o["kind"], o["seed"], ast.literal_eval(o["schedule"]))
+
+
+def append_to_store(spark: SparkSession, path: str, name: str, batch: DataFrame, version: int | None = None) -> int:
+    """The newest version (before `version`, if given) with a batch appended, as a version of its own. Doing it again gives the same."""
+    have = [v for v in versions(spark, path, name) if version is None or v < version]
+    return store_ladder(append_elements(read_ladder(spark, path, name, version=have[-1]), batch), spark, path, name, version)

@@ -1,10 +1,11 @@
-"""Packed runs: many short integers in each 64-bit word, handled a word at a time.
-
-A word holds k fields of f bits below a test bit, k a power of two, lowest field first. A run is a sorted,
-duplicate-free sequence of values in consecutive words; the unused fields at its end hold the reserved
-all-ones value, which sorts last. Kernels work on matrices of words, one run per row, so one numpy
-operation advances every run of a batch. `Ops` counts word operations, for logical words of any number
-of 64-bit lanes.
+"""Packed runs: many short integers in each word, handled a word at a time.
+
+A 64-bit lane holds k fields of f bits below a test bit, k a power of two, lowest field first; a word is one
+lane or a power of two of them. A run is a sorted, duplicate-free sequence of values in consecutive words; the
+unused fields at its end hold the reserved all-ones value, which sorts last. Kernels work on matrices of
+lanes, one run per row, so one numpy operation advances every run of a batch. Words of several lanes are merged
+as a whole: reversed, compared and sorted across their lanes. `Ops` counts operations on whole words, each
+kernel by the number of its steps, which grows with the logarithm of a word's fields.
 """
 
 from __future__ import annotations
@@ -21,19 +22,21 @@ U = np.uint64
 
 @dataclass
 class Ops:
-    """Word operations, words read and kernel calls."""
+    """Word operations, words read and kernel calls, for words of `lanes` 64-bit lanes."""
 
     lanes: int = 1
     word_ops: float = 0
     words_read: float = 0
     calls: int = 0
 
-    def spend(self, words: int, each: int) -> None:
-        self.word_ops += -(-words // self.lanes) * each
+    def spend(self, size: int, lo: Layout, per_log: int, fixed: int) -> None:
+        """A kernel over `size` lanes, whose steps are a multiple of log k and some more; k is the fields of a whole word."""
+        log_k = lo.log_k + self.lanes.bit_length() - 1
+        self.word_ops += -(-size // self.lanes) * (per_log * log_k + fixed)
         self.calls += 1
 
-    def read(self, words: int) -> None:
-        self.words_read += -(-words // self.lanes)
+    def read(self, size: int) -> None:
+        self.words_read += -(-size // self.lanes)
 
 
 class Layout:
@@ -119,35 +122,57 @@ def sweep(x: np.ndarray, lo: Layout) -> np.ndarray:
     return x
 
 
+def _reverse_words(x: np.ndarray, lo: Layout) -> np.ndarray:
+    return reverse(x, lo)[:, ::-1]
+
+
+def _sweep_words(x: np.ndarray, lo: Layout) -> np.ndarray:
+    """sweep() over words of several lanes (axis 1): distances of whole lanes first."""
+    rows, lanes = x.shape
+    d = lanes // 2
+    while d:
+        parts = x.reshape(rows, -1, 2, d)
+        x = np.stack(low_high(parts[:, :, 0], parts[:, :, 1], lo), axis=2).reshape(rows, lanes)
+        d //= 2
+    return sweep(x, lo)
+
+
+def _words(a: np.ndarray, lanes: int, lo: Layout) -> np.ndarray:
+    """A matrix of lanes as (rows, words, lanes), with one reserved word at the end."""
+    rows, width = a.shape
+    full = np.full((rows, (-(-width // lanes) + 1) * lanes), lo.entry, np.uint64)
+    full[:, :width] = a
+    return full.reshape(rows, -1, lanes)
+
+
 def merge(a: np.ndarray, b: np.ndarray, f: int, ops: Ops | None = None) -> np.ndarray:
     """Merges the runs of two matrices, row by row; equal values stay side by side."""
-    lo = layout(f)
-    rows = a.shape[0]
-    ends = np.full((rows, 1), lo.entry, np.uint64)
-    a, b = np.hstack([a, ends]), np.hstack([b, ends])
+    lo, lanes = layout(f), ops.lanes if ops else 1
+    rows, size = a.shape[0], a.size + b.size
+    a, b = _words(a, lanes, lo), _words(b, lanes, lo)
     total, line = a.shape[1] + b.shape[1] - 2, np.arange(rows)
-    out = np.empty((rows, total), np.uint64)
+    out = np.empty((rows, total, lanes), np.uint64)
     i = np.zeros(rows, np.int64)
     j = np.zeros(rows, np.int64)
 
     def take() -> np.ndarray:
-        """The next block, from the run whose head is smaller."""
+        """The next word, from the run whose head is smaller."""
         x, y = a[line, i], b[line, j]
-        left = ((x & lo.none) <= (y & lo.none)) & (i < a.shape[1] - 1) | (j >= b.shape[1] - 1)
+        left = ((x[:, 0] & lo.none) <= (y[:, 0] & lo.none)) & (i < a.shape[1] - 1) | (j >= b.shape[1] - 1)
         i[left] += 1
         j[~left] += 1
-        return np.where(left, x, y)
+        return np.where(left[:, None], x, y)
 
     carry = take() if total else None
     for w in range(total - 1):
-        first, second = low_high(carry, reverse(take(), lo), lo)
-        out[:, w], carry = sweep(first, lo), sweep(second, lo)
+        first, second = low_high(carry, _reverse_words(take(), lo), lo)
+        out[:, w], carry = _sweep_words(first, lo), _sweep_words(second, lo)
     if total:
         out[:, -1] = carry
     if ops:
-        ops.read(rows * total)
-        ops.spend(rows * total, 3 * lo.log_k + 12 * lo.log_k + 8)
-    return out
+        ops.read(size)
+        ops.spend(size, lo, 15, 8)
+    return out.reshape(rows, -1)
 
 
 def same_as_left(z: np.ndarray, lo: Layout) -> np.ndarray:
@@ -192,7 +217,7 @@ def compact(z: np.ndarray, vacant: np.ndarray, f: int, ops: Ops | None = None) -
     tail = np.where(held >= lo.k, U(0), (lo.entry >> (held * lo.g).astype(np.uint64) << (held * lo.g).astype(np.uint64)) if lo.k > 1 else lo.entry)
     out = (out & lo.used) | (tail & lo.entry)
     if ops:
-        ops.spend(rows * width, 3 * lo.log_k + 10 * lo.log_k + 8)
+        ops.spend(rows * width, lo, 13, 8)
     return out[:, : max(1, int(-(-int(total.max(initial=0)) // lo.k)))]
 
 
@@ -200,11 +225,17 @@ def _reserved(z: np.ndarray, lo: Layout) -> np.ndarray:
     return ((z & lo.entry) + lo.low) & lo.test
 
 
+def occupied(z: np.ndarray, f: int) -> int:
+    """Fields of the matrix that hold a value."""
+    lo = layout(f)
+    return z.size * lo.k - int(np.bitwise_count(_reserved(z, lo)).sum())
+
+
 def packed_union(a: np.ndarray, b: np.ndarray, f: int, ops: Ops | None = None) -> np.ndarray:
     lo = layout(f)
     z = merge(a, b, f, ops)
     if ops:
-        ops.spend(z.size, 9)
+        ops.spend(z.size, lo, 0, 9)
     return compact(z, same_as_left(z, lo) | _reserved(z, lo), f, ops)
 
 
@@ -212,7 +243,7 @@ def packed_intersect(a: np.ndarray, b: np.ndarray, f: int, ops: Ops | None = Non
     lo = layout(f)
     z = merge(a, b, f, ops)
     if ops:
-        ops.spend(z.size, 9)
+        ops.spend(z.size, lo, 0, 9)
     return compact(z, (same_as_left(z, lo) ^ lo.test) | _reserved(z, lo), f, ops)
 
 
@@ -224,5 +255,5 @@ def packed_truncate(a: np.ndarray, drop: int, f: int, ops: Ops | None = None) ->
     z = ((a >> U(drop)) & keep) | (gone - (gone >> U(f)))
     if ops:
         ops.read(a.size)
-        ops.spend(a.size, 12)
+        ops.spend(a.size, lo, 0, 12)
     return compact(z, same_as_left(z, lo) | _reserved(z, lo), f, ops)

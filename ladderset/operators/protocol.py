@@ -46,10 +46,9 @@ def unique_intersection(spark: SparkSession, n: int, m: int) -> DataFrame:
     return synthetic(spark, "unique", n, m)
 
 
-def transcript(family: DataFrame, ids: list[str], r: int, w: int = 64) -> DataFrame:
-    """(player, bits): the words that each set's packed sketch gives to read, in bits."""
-    per_word = F.lit(w // (r + 1))
-    return family.where(F.col("set_id").isin(ids)).groupBy("set_id").agg((F.ceil(F.count("*") / per_word) * w).cast("long").alias("bits")).select(F.col("set_id").alias("player"), "bits")
+def transcript(spark: SparkSession, words: dict[str, int], w: int = 64) -> DataFrame:
+    """(player, bits): what each set's words, as a run has read them, put on the board."""
+    return spark.createDataFrame([(s, n * w) for s, n in words.items()], "player string, bits long")
 
 
 def coordinated_sample(family: DataFrame, q: int) -> DataFrame:

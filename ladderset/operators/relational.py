@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..sources.families import EXPLODED, FAMILIES, catalog, family_sql, load_families, load_family, load_table
+from ..sources.scratch import scratch
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -78,10 +79,7 @@ op("predicate_to_set", "SELECT DISTINCT 'urgent_big' AS set_id, o_custkey AS ele
 
 def _formats(spark: SparkSession, df: DataFrame, kind: str) -> DataFrame:
     """Written in another format and read back with an explicit schema."""
-    import uuid
-
-    root = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")
-    path = f"{root.rstrip('/')}/formats-{uuid.uuid4().hex[:10]}"
+    path = scratch(spark, "formats")
     df.write.format(kind).save(path)
     return spark.read.schema(df.schema).format(kind).load(path)
 
@@ -91,12 +89,12 @@ for _kind in ("csv", "json", "orc"):
 
 # -- joins ---------------------------------------------------------------------------------------------
 
-ORDERS_LINES = "SELECT o_orderkey, l_linenumber, o_custkey, l_partkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_quantity > 40"
+ORDERS_LINES = "SELECT o_orderkey, l_linenumber, o_custkey, l_partkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey"
 
 
 def _orders_lines(hint: str):
     def run(s, d):
-        lines = load_table(s, d, "lineitem", ["l_orderkey", "l_linenumber", "l_partkey", "l_quantity"]).where("l_quantity > 40")
+        lines = load_table(s, d, "lineitem", ["l_orderkey", "l_linenumber", "l_partkey"])
         orders = load_table(s, d, "orders", ["o_orderkey", "o_custkey"])
         return orders.hint(hint).join(lines, F.col("o_orderkey") == F.col("l_orderkey")).select("o_orderkey", "l_linenumber", "o_custkey", "l_partkey")
 
@@ -114,10 +112,7 @@ for _how, _word in (("semi", "IN"), ("anti", "NOT IN")):
         lambda s, d, how=_how: load_table(s, d, "customer").join(load_table(s, d, "orders").where("o_totalprice > 150000"), F.col("c_custkey") == F.col("o_custkey"), f"left_{how}").select("c_custkey")
     )
 op("join_outer_left", "SELECT doc_id, quality FROM documents LEFT JOIN labels USING (doc_id)")(lambda s, d: load_table(s, d, "documents", ["doc_id"]).join(load_table(s, d, "labels"), "doc_id", "left").select("doc_id", "quality"))
-op("join_outer_full", "SELECT doc_id, n_chars, quality FROM (SELECT * FROM documents WHERE doc_id % 2 = 0) FULL JOIN labels USING (doc_id)")(
-    lambda s, d: load_table(s, d, "documents", ["doc_id", "n_chars"]).where("doc_id % 2 = 0").join(load_table(s, d, "labels"), "doc_id", "full").select("doc_id", "n_chars", "quality")
-)
-op("join_outer_full_whole", "SELECT doc_id, n_chars, quality, item_id FROM labels FULL JOIN (SELECT item_id AS doc_id, item_id FROM benchmark) USING (doc_id) FULL JOIN documents USING (doc_id)")(
+op("join_outer_full", "SELECT doc_id, n_chars, quality, item_id FROM labels FULL JOIN (SELECT item_id AS doc_id, item_id FROM benchmark) USING (doc_id) FULL JOIN documents USING (doc_id)")(
     # whole tables: labels without an item and items without a label in the first join, documents with neither in the second
     lambda s, d: load_table(s, d, "labels").join(load_table(s, d, "benchmark", ["item_id"]).withColumn("doc_id", F.col("item_id")), "doc_id", "full").join(load_table(s, d, "documents", ["doc_id", "n_chars"]), "doc_id", "full").select("doc_id", "n_chars", "quality", "item_id")
 )
@@ -195,21 +190,13 @@ def _containment(family: DataFrame) -> DataFrame:
     return pairs.join(catalog(family).select(F.col("set_id").alias("a"), "card"), "a").where("common = card").select("a", "b")
 
 
-op("join_lateral", "SELECT c_custkey, o_orderkey FROM (SELECT o_custkey AS c_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders WHERE o_custkey <= 200) WHERE k <= 2")(
-    lambda s, d: _lateral(s, d)
-)
-
-
-def _lateral(s, d, whole=False):
+def _lateral(s, d):
     c = load_table(s, d, "customer", ["c_custkey"])
-    c = c if whole else c.where("c_custkey <= 200")
     best = load_table(s, d, "orders", ["o_orderkey", "o_custkey", "o_totalprice"]).where(F.col("o_custkey") == F.col("c_custkey").outer()).orderBy(F.desc("o_totalprice"), "o_orderkey").limit(2)
     return c.lateralJoin(best).select("c_custkey", "o_orderkey")
 
 
-op("join_lateral_whole", "SELECT o_custkey AS c_custkey, o_orderkey FROM (SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders JOIN customer ON c_custkey = o_custkey) WHERE k <= 2")(
-    lambda s, d: _lateral(s, d, whole=True)
-)
+op("join_lateral", "SELECT o_custkey AS c_custkey, o_orderkey FROM (SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders JOIN customer ON c_custkey = o_custkey) WHERE k <= 2")(_lateral)
 
 
 # -- aggregation ------------------------------------------------------------------------------------------
@@ -230,11 +217,9 @@ op("agg_filter_clause", "SELECT event_type, CAST(count(*) FILTER (WHERE value >
     tab("events")(lambda t: t.groupBy("event_type").agg(F.count_if(F.col("value") > 50).alias("high"), F.round(F.sum(F.when(F.col("value") <= 50, F.col("value"))), 4).alias("low")))
 )
 op("agg_having", "SELECT o_custkey, CAST(count(*) AS BIGINT) AS n FROM orders GROUP BY 1 HAVING count(*) > 15")(tab("orders")(lambda t: t.groupBy("o_custkey").agg(F.count("*").alias("n")).where("n > 15")))
-op("agg_collect_sets", f"SELECT set_id, array_to_string(list_sort(list(elem)), ',') AS elems FROM ({family_sql('status_customers')}) WHERE elem < 50 GROUP BY 1")(
-    lambda s, d: load_family(s, d, "status_customers").where("elem < 50").groupBy("set_id").agg(F.array_join(F.sort_array(F.collect_set("elem")).cast("array<string>"), ",").alias("elems"))
-)
-op("agg_collect_sets_whole", f"SELECT set_id, array_to_string(list_sort(list(DISTINCT elem)), ',') AS elems FROM ({family_sql('status_customers')}) GROUP BY 1")(
-    lambda s, d: load_family(s, d, "status_customers").groupBy("set_id").agg(F.array_join(F.sort_array(F.collect_set("elem")).cast("array<string>"), ",").alias("elems"))
+op("agg_collect_sets", f"SELECT set_id, elem // 1000 AS part, array_to_string(list_sort(list(DISTINCT elem)), ',') AS elems FROM ({family_sql('status_customers')}) GROUP BY 1, 2")(
+    # sets as arrays, in ranges of a thousand keys, so that no array grows with the table
+    lambda s, d: load_family(s, d, "status_customers").groupBy("set_id", F.floor(F.col("elem") / 1000).alias("part")).agg(F.array_join(F.sort_array(F.collect_set("elem")).cast("array<string>"), ",").alias("elems"))
 )
 op("agg_bit_or_mask", f"SELECT elem, CAST(bit_or(CASE set_id WHEN 'AF' THEN 1 WHEN 'AO' THEN 2 WHEN 'NF' THEN 4 WHEN 'NO' THEN 8 WHEN 'RF' THEN 16 ELSE 32 END) AS BIGINT) AS mask FROM ({family_sql('flag_orders')}) GROUP BY 1")(
     lambda s, d: _masks(load_family(s, d, "flag_orders"))
@@ -251,7 +236,14 @@ def _masks(fam: DataFrame) -> DataFrame:
 op("agg_pivot", "SELECT user_id, CAST(count(*) FILTER (WHERE event_type = 'click') AS BIGINT) AS click, CAST(count(*) FILTER (WHERE event_type = 'view') AS BIGINT) AS view FROM events GROUP BY 1")(
     tab("events")(lambda t: t.groupBy("user_id").pivot("event_type", ["click", "view"]).count().na.fill(0))
 )
-op("agg_approx")(tab("events")(lambda t: t.groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("users"), F.percentile_approx("value", 0.5, 1000).alias("median"), F.hll_sketch_estimate(F.hll_sketch_agg("event_id")).alias("events"))))
+op("agg_approx", "SELECT event_type, true AS users_near, true AS median_near, true AS events_near FROM events GROUP BY 1")(
+    # estimates beside exact values: within four standard errors of each
+    tab("events")(
+        lambda t: t.groupBy("event_type")
+        .agg(F.approx_count_distinct("user_id", 0.02).alias("u"), F.count_distinct("user_id").alias("users"), F.percentile_approx("value", 0.5, 1000).alias("m"), F.median("value").alias("median"), F.hll_sketch_estimate(F.hll_sketch_agg("event_id")).alias("e"), F.count_distinct("event_id").alias("events"), (F.max("value") - F.min("value")).alias("span"))
+        .select("event_type", (F.abs(F.col("u") - F.col("users")) <= F.greatest(F.lit(2), 0.08 * F.col("users"))).alias("users_near"), (F.abs(F.col("m") - F.col("median")) <= 0.02 * F.col("span")).alias("median_near"), (F.abs(F.col("e") - F.col("events")) <= F.greatest(F.lit(2), 0.08 * F.col("events"))).alias("events_near"))
+    )
+)
 op("agg_stats", "SELECT l_returnflag, round(stddev_samp(l_quantity), 6) AS sd, round(corr(l_quantity, l_extendedprice), 6) AS r, median(l_quantity) AS med FROM lineitem GROUP BY 1")(
     tab("lineitem")(lambda t: t.groupBy("l_returnflag").agg(F.round(F.stddev_samp("l_quantity"), 6).alias("sd"), F.round(F.corr("l_quantity", "l_extendedprice"), 6).alias("r"), F.median("l_quantity").alias("med")))
 )
@@ -354,18 +346,15 @@ op("fn_math", "SELECT l_orderkey, l_linenumber, CAST(ceil(l_extendedprice) AS BI
 op("fn_bitwise", "SELECT o_orderkey, o_orderkey & 255 AS a, o_orderkey | 1 AS o, xor(o_orderkey, 5) AS x, o_orderkey >> 3 AS s, o_orderkey << 2 AS l, CAST(bit_count(o_orderkey) AS INT) AS c FROM orders")(
     tab("orders")(lambda t: t.select("o_orderkey", (k := F.col("o_orderkey")).bitwiseAND(F.lit(255)).alias("a"), k.bitwiseOR(F.lit(1)).alias("o"), k.bitwiseXOR(F.lit(5)).alias("x"), F.shiftright(k, 3).alias("s"), F.shiftleft(k, 2).alias("l"), F.bit_count(k).alias("c")))
 )
-op("fn_array", "SELECT array_to_string(list_sort(list_intersect(a, b)), ',') AS both, len(list_distinct(list_concat(a, b))) AS either, list_contains(a, 7) AS has FROM (SELECT list(DISTINCT o_custkey) FILTER (WHERE o_orderstatus = 'P') AS a, list(DISTINCT o_custkey) FILTER (WHERE o_orderpriority = '1-URGENT') AS b FROM orders WHERE o_custkey < 200)")(
-    tab("orders")(lambda t: t.where("o_custkey < 200").agg(F.collect_set(F.when(F.col("o_orderstatus") == "P", F.col("o_custkey"))).alias("a"), F.collect_set(F.when(F.col("o_orderpriority") == "1-URGENT", F.col("o_custkey"))).alias("b")).select(F.array_join(F.sort_array(F.array_intersect("a", "b")).cast("array<string>"), ",").alias("both"), F.size(F.array_union("a", "b")).cast("long").alias("either"), F.array_contains("a", F.lit(7).cast("long")).alias("has")))
-)
-op("fn_array_whole", "SELECT grp, coalesce(array_to_string(list_sort(list_intersect(a, b)), ','), '') AS both, coalesce(len(list_distinct(list_concat(a, b))), 0) AS either, coalesce(list_contains(a, 7), false) AS has FROM (SELECT o_custkey // 200 AS grp, list(DISTINCT o_custkey) FILTER (WHERE o_orderstatus = 'P') AS a, list(DISTINCT o_custkey) FILTER (WHERE o_orderpriority = '1-URGENT') AS b FROM orders GROUP BY 1)")(
+op("fn_array", "SELECT grp, coalesce(array_to_string(list_sort(list_intersect(a, b)), ','), '') AS both, coalesce(len(list_distinct(list_concat(a, b))), 0) AS either, coalesce(list_contains(a, 7), false) AS has FROM (SELECT o_custkey // 200 AS grp, list(DISTINCT o_custkey) FILTER (WHERE o_orderstatus = 'P') AS a, list(DISTINCT o_custkey) FILTER (WHERE o_orderpriority = '1-URGENT') AS b FROM orders GROUP BY 1)")(
     # groups of a bounded number of keys, so the arrays do not grow with the table
     tab("orders")(lambda t: t.groupBy(F.floor(F.col("o_custkey") / 200).alias("grp")).agg(F.collect_set(F.when(F.col("o_orderstatus") == "P", F.col("o_custkey"))).alias("a"), F.collect_set(F.when(F.col("o_orderpriority") == "1-URGENT", F.col("o_custkey"))).alias("b")).select("grp", F.array_join(F.sort_array(F.array_intersect("a", "b")).cast("array<string>"), ",").alias("both"), F.size(F.array_union("a", "b")).cast("long").alias("either"), F.array_contains("a", F.lit(7).cast("long")).alias("has")))
 )
 op("fn_higher_order", "SELECT vec_id, CAST(len(list_filter(embedding, lambda x: x > 0)) AS INT) AS positive, round(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x)), 4) AS norm FROM embeddings")(
     tab("embeddings")(lambda t: t.select("vec_id", F.size(F.filter("embedding", lambda x: x > 0)).alias("positive"), F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x), 4).alias("norm")))
 )
-op("fn_map", "SELECT o_orderstatus AS status, o_orderpriority AS priority, CAST(count(*) * 2 AS BIGINT) AS twice FROM orders WHERE o_orderpriority < '3' GROUP BY 1, 2")(
-    tab("orders")(lambda t: t.groupBy("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")).groupBy(F.col("o_orderstatus").alias("status")).agg(F.map_from_entries(F.collect_list(F.struct("o_orderpriority", "n"))).alias("m")).select("status", F.explode(F.transform_values(F.map_filter("m", lambda k, v: k < "3"), lambda k, v: v * 2)).alias("priority", "twice")))
+op("fn_map", "SELECT o_orderstatus AS status, o_orderpriority AS priority, CAST(count(*) * 2 AS BIGINT) AS twice FROM orders GROUP BY 1, 2 HAVING count(*) > 1")(
+    tab("orders")(lambda t: t.groupBy("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")).groupBy(F.col("o_orderstatus").alias("status")).agg(F.map_from_entries(F.collect_list(F.struct("o_orderpriority", "n"))).alias("m")).select("status", F.explode(F.transform_values(F.map_filter("m", lambda k, v: v > 1), lambda k, v: v * 2)).alias("priority", "twice")))
 )
 op("fn_json", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INT) AS k FROM events")(tab("events")(lambda t: t.select("event_id", F.get_json_object("props", "$.k").cast("int").alias("k"))))
 op("fn_url_html", "SELECT page_id, regexp_extract(url, '^([a-z]+):', 1) AS scheme, CAST(len(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS INT) AS links FROM pages")(
@@ -374,10 +363,7 @@ op("fn_url_html", "SELECT page_id, regexp_extract(url, '^([a-z]+):', 1) AS schem
 op("fn_decimal_cast", "SELECT l_returnflag, CAST(sum(CAST(l_extendedprice AS DECIMAL(18, 2))) AS DOUBLE) AS total, CAST(count(TRY_CAST(l_linestatus AS INT)) AS BIGINT) AS numbers FROM lineitem GROUP BY 1")(
     tab("lineitem")(lambda t: t.groupBy("l_returnflag").agg(F.sum(F.col("l_extendedprice").cast("decimal(18,2)")).cast("double").alias("total"), F.count(F.col("l_linestatus").try_cast("int")).alias("numbers")))
 )
-op("fn_struct_nested", "SELECT conv_id, turn, role, length(text) AS n FROM conversations WHERE turn < 2")(
-    tab("conversations")(lambda t: t.where("turn < 2").groupBy("conv_id").agg(F.collect_list(F.struct("turn", "role", F.length("text").cast("long").alias("n"))).alias("turns")).select("conv_id", F.inline("turns")))
-)
-op("fn_struct_nested_whole", "SELECT conv_id, turn, role, length(text) AS n FROM conversations")(
+op("fn_struct_nested", "SELECT conv_id, turn, role, length(text) AS n FROM conversations")(
     tab("conversations")(lambda t: t.groupBy("conv_id").agg(F.collect_list(F.struct("turn", "role", F.length("text").cast("long").alias("n"))).alias("turns")).select("conv_id", F.inline("turns")))
 )
 op("sql_entry", f"WITH fam AS ({family_sql('flag_orders')}) {_SET('AF')} INTERSECT {_SET('NO')}")(lambda s, d: _sql(s, d, "(AF & NO)", "flag_orders"))

@@ -10,6 +10,8 @@ from pyspark.sql import functions as F
 from ..functions.hashing import WIDTH
 
 TINY = 64
+#: Elements of a shard, about: 32 MB of hashes.
+SHARD_ELEMENTS = 1 << 22
 
 
 def ceil_log2(n: int) -> int:
@@ -67,12 +69,15 @@ def fields_per_word(f: int, w: int = 64) -> int:
     return 1 << max(0, (w // (f + 1)).bit_length() - 1)
 
 
+def shard_bits_for(n: int) -> int:
+    """Shards of about SHARD_ELEMENTS elements, eight at least."""
+    return max(3, min(20, ceil_log2(-(-n // SHARD_ELEMENTS))))
+
+
 def choose_tier(cards: list[int], stored: bool, has_and: bool = True, union_path: bool = False) -> str:
-    """mask, probe, union, packed or columns."""
+    """probe, union, packed or columns; all give the same answer at any size."""
     if union_path:
         return "union"
-    if sum(cards) < 100_000 or all(c < TINY for c in cards):
-        return "mask"
     if has_and and max(cards) > 64 * max(1, min(cards)):
         return "probe"
     return "packed" if stored else "columns"

@@ -128,16 +128,19 @@ def union_depth(e: Expr) -> int:
     return (e.op == "or") + max(map(union_depth, e.children))
 
 
-def bounds(e: Expr, cards: dict[str, int]) -> list[dict]:
+def bounds(e: Expr, cards: dict[str, int], known: dict[int, int] | None = None) -> list[dict]:
     """psi (size bound from below) and psi_star (what can still be useful above) of every node, and the visiting order.
 
-    Children of an intersection tie on psi_star, so they are visited by psi.
+    Children of an intersection tie on psi_star, so they are visited by psi. `known` has sizes of nodes that stand in for psi, such as
+    estimates from a sample.
     """
     rows = walk(e)
     psi: dict[int, int] = {}
     for me, _, n in reversed(rows):
         kids = [psi[i] for i, p, _ in rows if p == me]
         psi[me] = cards.get(n.set_id, 0) if isinstance(n, Leaf) else {"or": sum, "and": min, "minus": lambda k: k[0]}[n.op](kids)
+        if known and me in known:
+            psi[me] = known[me]
     star: dict[int, int] = {}
     for me, parent, _ in rows:
         star[me] = psi[me] if parent < 0 else min(psi[me], star[parent])

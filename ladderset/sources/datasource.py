@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from .scratch import scratch
+
 
 class GeneratedSets(DataSource):
     """Options: n (positions), m (sets), k (shared positions), parts. Position i below k is in all sets, any other in set i mod m."""
@@ -44,8 +44,7 @@ def _stored(spark: SparkSession, folder: str):
     from ..operators.ladder import read_ladder, write_ladder
     from .families import load_family
 
-    root = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")
-    path = f"{root.rstrip('/')}/ladder-{uuid.uuid4().hex[:10]}"
+    path = scratch(spark, "ladder")
     write_ladder(load_family(spark, folder, "flag_orders"), path, "flag_orders")
     return read_ladder(spark, path, "flag_orders")
 
@@ -53,13 +52,13 @@ def _stored(spark: SparkSession, folder: str):
 def store_roundtrip(spark: SparkSession, folder: str) -> DataFrame:
     from ..operators.evaluate import evaluate_packed
 
-    return evaluate_packed("(AF & AO & NF) | (RF & RO & NO)", *_stored(spark, folder))
+    return evaluate_packed("(AF & AO & NF) | (RF & RO & NO)", _stored(spark, folder))
 
 
 def partition_pruned_store(spark: SparkSession, folder: str) -> DataFrame:
     from ..operators.ladder import members
 
-    return members(_stored(spark, folder)[0].where("r = 62")).select("set_id", "hv")
+    return members(_stored(spark, folder).rungs.where("r = 62")).select("set_id", "hv")
 
 
 def _sql() -> dict[str, str]:

@@ -1,7 +1,11 @@
-"""Queries of methods, variants, baselines, measures and workloads, with the SQL that must give the same rows."""
+"""Queries of methods, variants, baselines, measures and workloads, with the SQL that must give the same rows.
+
+Queries on stored sets share one store per family and folder, built on first use; a build of its own is measured by `w19_build`.
+"""
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,10 +15,12 @@ from .functions.hashing import WIDTH, hashed_set, mother_hash, mother_hash_sql,
 from .operators import baselines as B
 from .operators import evaluate as E
 from .operators import ladder as L
+from .operators import measure
 from .operators import protocol as P
 from .plans import choose, cost
-from .plans.expr import balance, bounds, flatten, parse, set_ids, to_sql, union_depth
-from .sources.families import catalog, family_sql, load_families, load_family, synthetic
+from .plans.expr import Leaf, Node, balance, bounds, flatten, leaves, parse, set_ids, to_sql, union_depth, walk
+from .sources.families import catalog, family_sql, load_families, load_family, load_table
+from .sources.scratch import scratch, staged
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -37,6 +43,18 @@ def expr_sql(text: str, families: tuple[str, ...], head: str = "SELECT elem FROM
     return f"WITH fam AS ({family_sql(*families)}), answer AS (SELECT * FROM {body}) {head}"
 
 
+_STORES: dict[tuple, str] = {}
+
+
+def store_of(spark: SparkSession, folder: str, families: tuple[str, ...], **options) -> L.Ladder:
+    """The stored ladder of some families, built on first use."""
+    key = (spark.sparkContext.applicationId, folder, families, repr(sorted(options.items())))
+    if key not in _STORES or not L.versions(spark, _STORES[key], "sets"):
+        _STORES[key] = scratch(spark, "ladder")
+        L.write_ladder(load_families(spark, folder, list(families)), _STORES[key], "sets", **options)
+    return L.read_ladder(spark, _STORES[key], "sets")
+
+
 TERMS = ("term_docs",)
 FLAGS = ("flag_orders",)
 SIX = "AF & AO & NF & NO & RF & RO"
@@ -68,16 +86,22 @@ for _name, (_families, _text) in WORKLOADS.items():
     def _run(spark, folder, families=_families, text=_text):
         return E.evaluate(text, load_families(spark, folder, list(families)))
 
+    @query(f"{_name}_packed", SQL[_name])
+    def _run_packed(spark, folder, families=_families, text=_text):
+        return E.evaluate_packed(text, store_of(spark, folder, families))
+
 
 BATCH = {
     "rare_middle": "scum & the", "two_middle": "que & las", "three_frequent": "the & of & and", "deep": "((the & of) | (que & la)) & (and | les)", "union": "moron | idiot | clown",
     "eight": "the & of & and & that & is & was & with & for", "difference": "the - of", "absorbed": "the & (the | of)",
+    "rare_rare": "scum & moron", "depth_four": "(((the & of) | que) & (and | les)) | (was & (with | for))", "depth_five": "((((the | que) & of) | las) & ((and & is) | (les & la))) | ((was | for) & with)",
 }
 
 
 @query("w03_batch", " UNION ALL ".join(f"SELECT '{k}' AS query, CAST(count(*) AS BIGINT) AS k FROM ({expr_sql(t, TERMS)})" for k, t in BATCH.items()))
 def w03_batch(spark, folder):
-    fam = load_family(spark, folder, "term_docs").where(F.col("set_id").isin(sorted({s for t in BATCH.values() for s in set_ids(parse(t))}))).cache()
+    fam = load_family(spark, folder, "term_docs").where(F.col("set_id").isin(sorted({s for t in BATCH.values() for s in set_ids(parse(t))})))
+    fam = staged(fam, "batch")
     parts = [E.cardinality(t, fam).select(F.lit(k).alias("query"), "k") for k, t in BATCH.items()]
     out = parts[0]
     for p in parts[1:]:
@@ -92,9 +116,40 @@ def w06_growing_m(spark, folder):
     return parts[0].union(parts[1]).union(parts[2])
 
 
-@query("w17_unique_intersection", "SELECT CAST(0 AS BIGINT) AS elem")
+KEYS_SQL = "SELECT concat('s', CAST(c_custkey % 3 AS STRING)) AS set_id, c_custkey AS elem FROM customer WHERE c_custkey > (SELECT min(c_custkey) FROM customer) UNION ALL SELECT concat('s', CAST(i AS STRING)), (SELECT min(c_custkey) FROM customer) FROM (SELECT unnest(range(3)) AS i)"
+
+
+def unique_family(spark, folder) -> DataFrame:
+    """Customers dealt to three sets, but the first of them in all three: the promise of at most one common element."""
+    keys = load_table(spark, folder, "customer", ["c_custkey"])
+    first = keys.agg(F.min("c_custkey").alias("elem"))
+    rest = keys.join(F.broadcast(first), F.col("c_custkey") > F.col("elem")).select(F.concat(F.lit("s"), F.col("c_custkey") % 3).alias("set_id"), F.col("c_custkey").alias("elem"))
+    return rest.unionByName(first.select(F.explode(F.array(*[F.lit(f"s{i}") for i in range(3)])).alias("set_id"), "elem"))
+
+
+@query("unique_intersection", f"WITH fam AS ({KEYS_SQL}) SELECT elem, (SELECT CAST(count(*) AS BIGINT) FROM fam) AS pairs FROM fam GROUP BY 1 HAVING count(*) = 3")
+def unique_intersection(spark, folder):
+    """The one common element, and the instance's size, n + m - 1."""
+    fam = unique_family(spark, folder)
+    return E.intersect_all(["s0", "s1", "s2"], fam).crossJoin(fam.agg(F.count("*").alias("pairs")))
+
+
+def sign_sets(spark, folder) -> DataFrame:
+    """Vectors by the sign of a dimension: dim1, dim2, ... and not1, not2, ..., which are disjoint in pairs."""
+    vecs = load_table(spark, folder, "embeddings", ["vec_id", "embedding"])
+    signs = F.expr("transform(embedding, (x, i) -> concat(if(x > 0, 'dim', 'not'), cast(i + 1 as string)))")
+    return vecs.select(F.explode(signs).alias("set_id"), F.col("vec_id").cast("long").alias("elem"))
+
+
+SIGN_PAIRS = [("dim1", "not1"), ("dim1", "dim2"), ("dim2", "not2"), ("not1", "not2")]
+
+
+@query("w17_unique_intersection", "WITH v AS (SELECT vec_id, embedding[1] > 0 AS a, embedding[2] > 0 AS b FROM embeddings) " + " UNION ALL ".join(
+    f"SELECT '{x} {y}' AS pair, count(*) = 0 AS disjoint FROM v WHERE {' AND '.join(('' if s[:3] == 'dim' else 'NOT ') + {'1': 'a', '2': 'b'}[s[3]] for s in (x, y))}" for x, y in SIGN_PAIRS))
 def w17_unique(spark, folder):
-    return E.intersect_all(["s0", "s1", "s2"], synthetic(spark, "unique", 3000, 3))
+    fam = sign_sets(spark, folder).where(F.col("set_id").isin(sorted({s for p in SIGN_PAIRS for s in p})))
+    parts = [P.is_disjoint([x, y], fam).select(F.lit(f"{x} {y}").alias("pair"), "disjoint") for x, y in SIGN_PAIRS]
+    return parts[0].union(parts[1]).union(parts[2]).union(parts[3])
 
 
 @query(
@@ -140,11 +195,11 @@ def fam_with(sql: str, *families: str) -> str:
     return f"WITH fam AS ({family_sql(*families)}) {sql}"
 
 
-@query("hash_prefix_r", fam_with(f"SELECT elem, {hv_sql(20)} AS h20, {hv_sql(11)} AS h11, {hv_sql(20)} >> 9 AS again FROM fam WHERE set_id = 'AF'", *FLAGS))
+@query("hash_prefix_r", fam_with(f"SELECT set_id, elem, {hv_sql(20)} AS h20, {hv_sql(11)} AS h11, {hv_sql(20)} >> 9 AS again FROM fam", *FLAGS))
 def hash_prefix_r(spark, folder):
     hs = mother_hash("elem")
-    fam = load_family(spark, folder, "flag_orders").where("set_id = 'AF'")
-    return fam.select("elem", prefix_hash(hs, 20).alias("h20"), prefix_hash(hs, 11).alias("h11"), F.shiftright(prefix_hash(hs, 20), 9).alias("again"))
+    fam = load_family(spark, folder, "flag_orders")
+    return fam.select("set_id", "elem", prefix_hash(hs, 20).alias("h20"), prefix_hash(hs, 11).alias("h11"), F.shiftright(prefix_hash(hs, 20), 9).alias("again"))
 
 
 @query("hashed_set_counts", fam_with(f"SELECT set_id, CAST(count(DISTINCT {hv_sql(12)}) AS BIGINT) AS n FROM fam GROUP BY 1", *FLAGS))
@@ -177,12 +232,12 @@ def ladder_members(spark, folder):
     return L.members(stored(spark, folder, "flag_orders"))
 
 
-@query("ladder_derived_equals_direct", "SELECT CAST(0 AS BIGINT) AS differences")
+@query("ladder_derived_equals_direct", fam_with(f"SELECT CAST(0 AS BIGINT) AS differences, CAST(count(DISTINCT concat(set_id, ' ', {hv_sql(20)})) + count(DISTINCT concat(set_id, ' ', {hv_sql(14)})) AS BIGINT) AS values FROM fam", *FLAGS))
 def ladder_derived(spark, folder):
     fam = load_family(spark, folder, "flag_orders")
     kept = L.members(L.build_rungs(fam, schedule=[20, 14]))
     direct = hashed_set(fam, 20).withColumn("r", F.lit(20)).union(hashed_set(fam, 14).withColumn("r", F.lit(14))).select("set_id", "r", "hv")
-    return kept.withColumn("a", F.lit(1)).join(direct.withColumn("b", F.lit(1)), ["set_id", "r", "hv"], "full").agg(F.count_if(F.col("a").isNull() | F.col("b").isNull()).alias("differences"))
+    return kept.withColumn("a", F.lit(1)).join(direct.withColumn("b", F.lit(1)), ["set_id", "r", "hv"], "full").agg(F.count_if(F.col("a").isNull() | F.col("b").isNull()).alias("differences"), F.count("*").alias("values"))
 
 
 @query("ladder_one_schedule", fam_with(f"SELECT DISTINCT set_id, 17 AS r, {hv_sql(17)} AS hv FROM fam", *FLAGS))
@@ -200,13 +255,6 @@ def _mask_lookup_sql(r: int) -> str:
     return _mask_sql(r) + f" SELECT set_id, elem, s.hv FROM fam JOIN s ON s.hv = {hv_sql(r)}"
 
 
-@query("dict_lookup", fam_with(f"SELECT set_id, elem, {hv_sql(9)} AS hv FROM fam WHERE {hv_sql(9)} % 50 = 3", *FLAGS))
-def dict_lookup(spark, folder):
-    fam = load_family(spark, folder, "flag_orders")
-    wanted = hashed_set(fam, 9).where("hv % 50 = 3")
-    return L.lookup(L.build_dict(fam), wanted, 9)
-
-
 def buckets(spark, folder, r=16, b=4):
     return L.to_buckets(hashed_set(load_family(spark, folder, "flag_orders"), r), r, b)
 
@@ -247,13 +295,64 @@ for _name, _op, _word in (("bucket_union", "or", "UNION"), ("bucket_intersect",
     def _combine(spark, folder, op=_op):
         return L.members(L.combine(buckets(spark, folder), "AF", "NO", op))
 
-    QUERIES[_name.replace("bucket", "packed")], SQL[_name.replace("bucket", "packed")] = _combine, SQL[_name]
+    @query(_name.replace("bucket", "packed"), fam_with(f"SELECT 'result' AS set_id, 18 AS r, hv FROM (SELECT {hv_sql(18)} AS hv FROM fam WHERE set_id = '1' {_word} SELECT {hv_sql(18)} AS hv FROM fam WHERE set_id = '2')", "supp_parts"))
+    def _balanced(spark, folder, op=_op):
+        """Of two stored sets, brought to the buckets that suit both and back to those that suit the result."""
+        rungs = L.build_rungs(load_family(spark, folder, "supp_parts").where("set_id in ('1', '2')"), schedule=[18])
+        out = staged(L.combine(rungs, "1", "2", op), "combined")
+        return L.members(L.rebalance(out, out.agg(F.sum("n").alias("n")).first()["n"] or 1))
+
+
+def _grown(spark, folder, first, *more, **options) -> L.Ladder:
+    """A store written with `first` and appended to, version by version."""
+    fam, path = load_family(spark, folder, "flag_orders"), scratch(spark, "ladder")
+    L.write_ladder(fam.where(first), path, "sets", **options)
+    for condition in more:
+        L.append_to_store(spark, path, "sets", fam.where(condition))
+    return L.read_ladder(spark, path, "sets")
+
+
+MEMBERS_SQL = f"WITH fam AS ({family_sql(*FLAGS)}), {RUNG_SQL} SELECT DISTINCT f.set_id, r, {HS} >> ({WIDTH} - r) AS hv FROM fam f JOIN rungs USING (set_id)"
 
 
 @query("ladder_append", fam_with(f"SELECT DISTINCT set_id, 18 AS r, {hv_sql(18)} AS hv FROM fam", *FLAGS))
 def ladder_append(spark, folder):
-    fam = load_family(spark, folder, "flag_orders")
-    return L.members(L.append_elements(L.build_rungs(fam.where("elem % 3 > 0"), schedule=[18]), fam.where("elem % 3 = 0")))
+    return L.members(_grown(spark, folder, "elem % 3 > 0", "elem % 3 = 0", schedule=[18]).rungs)
+
+
+@query("ladder_append_new_sets", MEMBERS_SQL)
+def ladder_append_new_sets(spark, folder):
+    """Two sets that the store has never seen come with the batch."""
+    return L.members(_grown(spark, folder, "set_id not in ('NO', 'RF')", "set_id in ('NO', 'RF')").rungs)
+
+
+@query("ladder_append_grows", MEMBERS_SQL)
+def ladder_append_grows(spark, folder):
+    """Sets grow from a few elements past several powers of two, in batches that also repeat what is there."""
+    return L.members(_grown(spark, folder, "elem % 64 = 0", "elem % 16 = 0", "elem % 2 = 0", "true").rungs)
+
+
+def _of_store(ladder: L.Ladder) -> DataFrame:
+    return E.evaluate_packed(TWO_WAYS, ladder)
+
+
+@query("ladder_append_evaluate", expr_sql(TWO_WAYS, FLAGS))
+def ladder_append_evaluate(spark, folder):
+    return _of_store(_grown(spark, folder, "elem % 5 > 0 and set_id <> 'AO'", "elem % 5 = 0", "set_id = 'AO'"))
+
+
+@query("store_rewrite_shrinks", fam_with(to_sql(parse(TWO_WAYS), lambda s: f"SELECT elem FROM fam WHERE set_id = '{s}' AND elem % 7 = 0")[1:-1], *FLAGS))
+def store_rewrite_shrinks(spark, folder):
+    """Written whole, then again with a seventh of the elements: nothing of the first writing may be left."""
+    fam, path = load_family(spark, folder, "flag_orders"), scratch(spark, "ladder")
+    for condition in ("true", "elem % 7 = 0"):
+        L.write_ladder(fam.where(condition), path, "sets")
+    return _of_store(L.read_ladder(spark, path, "sets"))
+
+
+@query("store_tabulation", expr_sql(TWO_WAYS, FLAGS))
+def store_tabulation(spark, folder):
+    return _of_store(store_of(spark, folder, FLAGS, kind="tabulation", seed=5))
 
 
 # -- expressions, bounds, sketch, shrink, finish ---------------------------------------------------
@@ -276,10 +375,15 @@ def bounds_psi(spark, folder):
     return spark.createDataFrame([(x["node"], x["op"], x["set_id"], x["psi"], x["psi_star"]) for x in rows], "node int, op string, set_id string, psi long, psi_star long")
 
 
-@query("union_depth", "SELECT * FROM (VALUES ('chain', 11, 4, 1), ('two_ways', 1, 1, 1)) t(expr, depth, balanced, flat)")
+@query("union_depth", "SELECT year, CAST(count(*) - 1 AS INT) AS chain, CAST(ceil(log2(count(*))) AS INT) AS balanced, CASE WHEN count(*) > 1 THEN 1 ELSE 0 END AS flat FROM (SELECT DISTINCT substring(CAST(o_orderdate AS STRING), 1, 4) AS year, substring(CAST(o_orderdate AS STRING), 1, 7) AS month FROM orders) GROUP BY 1")
 def depth(spark, folder):
-    chain, ways = parse(YEAR[1996]), parse(TWO_WAYS)
-    return spark.createDataFrame([(n, union_depth(e), union_depth(balance(e)), union_depth(flatten(e))) for n, e in (("chain", chain), ("two_ways", ways))], "expr string, depth int, balanced int, flat int")
+    """Of each year's union of months: as a chain, balanced, and with unbounded fan-in."""
+    months = [r["set_id"] for r in load_family(spark, folder, "month_customers").select("set_id").distinct().collect()]  # twelve a year
+    rows = []
+    for y in sorted({m[:4] for m in months}):
+        e = parse(" | ".join(sorted(m for m in months if m[:4] == y)))
+        rows.append((y, union_depth(e), union_depth(balance(e)), union_depth(flatten(e))))
+    return spark.createDataFrame(rows, "year string, chain int, balanced int, flat int")
 
 
 @query("choose_precision", fam_with("SELECT CAST(least(62, ceil(log2(count(*))) + 6) AS INT) AS r FROM fam", *FLAGS))
@@ -295,11 +399,12 @@ def _mask_sql(r: int) -> str:
         s AS (SELECT *, (af AND ao AND nf) AS l, (rf AND ro AND no) AS rr FROM h WHERE (af AND ao AND nf) OR (rf AND ro AND no))"""
 
 
-@query("dict_lookup_whole", _mask_lookup_sql(15))
-def dict_lookup_whole(spark, folder):
-    fam = load_family(spark, folder, "flag_orders")
-    wanted = E.sketch(TWO_WAYS, fam, 15).select("hv").crossJoin(fam.select("set_id").distinct())
-    return L.lookup(L.build_dict(fam), wanted, 15)
+@query("dict_lookup", _mask_lookup_sql(15))
+def dict_lookup(spark, folder):
+    """All elements of every set under the prefixes of a sketch, from the shards that these touch."""
+    store = store_of(spark, folder, FLAGS)
+    wanted = E.sketch(TWO_WAYS, load_family(spark, folder, "flag_orders"), 15).select("hv").crossJoin(store.catalog.select("set_id"))
+    return L.lookup(store.dictionary, wanted, 15, store.shard_bits)
 
 
 @query("sketch_H", _mask_sql(15) + " SELECT hv FROM s")
@@ -307,9 +412,38 @@ def sketch_h(spark, folder):
     return E.sketch(TWO_WAYS, load_family(spark, folder, "flag_orders"), 15).select("hv")
 
 
-@query("sketch_H_capped", _mask_sql(15) + " SELECT hv FROM s")
+#: A union far larger than what can be useful of it, written before the small side.
+CUT = "(AF | AO) & 7"
+CUT_FAMILIES = ("flag_orders", "part_orders")
+_HV_OF = {s: f"SELECT {hv_sql(15)} AS hv FROM fam WHERE set_id = '{s}'" for s in ("AF", "AO", "7")}
+
+
+@query("sketch_H_capped", fam_with(f"({_HV_OF['AF']} UNION {_HV_OF['AO']}) INTERSECT {_HV_OF['7']}", *CUT_FAMILIES))
 def sketch_capped(spark, folder):
-    return E.sketch_by_node(TWO_WAYS, load_family(spark, folder, "flag_orders"), 15)
+    return E.sketch_by_node(CUT, load_families(spark, folder, list(CUT_FAMILIES)), 15)
+
+
+def _sizes_sql() -> str:
+    """Sizes of the nodes of CUT: root, union, AF, AO, 7. With order and cuts, the small side stands when the others are computed."""
+    whole = {1: f"{_HV_OF['AF']} UNION {_HV_OF['AO']}", 2: f"{_HV_OF['AF']} UNION {_HV_OF['AF']}", 3: f"{_HV_OF['AO']} UNION {_HV_OF['AO']}", 4: f"{_HV_OF['7']} UNION {_HV_OF['7']}"}
+    whole[0] = f"({whole[1]}) INTERSECT {_HV_OF['7']}"
+    rows = []
+    for variant, cut in (("ordered_cut", (1, 2, 3)), ("ordered", ()), ("as_written_cut", ())):
+        for node, q in sorted(whole.items()):
+            q = f"({q}) INTERSECT {_HV_OF['7']}" if node in cut else q
+            rows.append(f"SELECT '{variant}' AS variant, {node} AS node, CAST((SELECT count(*) FROM ({q})) AS BIGINT) AS size")
+    return fam_with(" UNION ALL ".join(rows), *CUT_FAMILIES)
+
+
+@query("intermediate_sizes", _sizes_sql())
+def intermediate_sizes(spark, folder):
+    """What order and cuts save: the size of every intermediate with both, without cuts, and in the order of writing."""
+    fam, rows = load_families(spark, folder, list(CUT_FAMILIES)), []
+    for variant, options in (("ordered_cut", {}), ("ordered", {"cap": False}), ("as_written_cut", {"ordered": False})):
+        sizes: list = []
+        E.sketch_by_node(CUT, fam, 15, record=sizes, **options)
+        rows += [(variant, node, size) for node, _, size in sizes]
+    return spark.createDataFrame(rows, "variant string, node int, size long")
 
 
 @query("shrink_global", _mask_sql(15) + f" SELECT DISTINCT elem FROM fam JOIN s ON s.hv = {hv_sql(15)}")
@@ -329,19 +463,18 @@ ANSWER = expr_sql(TWO_WAYS, FLAGS)
 METHODS: dict[str, Callable[[DataFrame], DataFrame]] = {
     "finish_mask": lambda f: E.evaluate(TWO_WAYS, f, mode="path", how="mask"),
     "finish_nested": lambda f: E.evaluate(TWO_WAYS, f, mode="global", how="nested"),
-    "evaluate_tree": lambda f: E.evaluate(TWO_WAYS, f, tier="auto"),
-    "evaluate_tree_packed": lambda f: E.evaluate(TWO_WAYS, f, tier="packed", store=(L.build_rungs(f).cache(), L.build_dict(f))),
+    "evaluate_tree": lambda f: E.evaluate(TWO_WAYS, f),
+    "evaluate_auto": lambda f: E.evaluate(TWO_WAYS, f, tier="auto"),
+    "evaluate_nodes": lambda f: E.evaluate(TWO_WAYS, f, tier="nodes"),
+    "evaluate_sampled_sizes": lambda f: E.evaluate(TWO_WAYS, f, tier="nodes", sampled=3),
     "evaluate_tabulation": lambda f: E.evaluate(TWO_WAYS, f, kind="tabulation", mode="global"),
     "evaluate_low_precision": lambda f: E.evaluate(TWO_WAYS, f, r=10),
-    "balanced_union": lambda f: E.evaluate(balance(parse(TWO_WAYS)), f),
     "baseline_merge": lambda f: B.merge_sorted(TWO_WAYS, f),
     "baseline_hash": lambda f: B.hash_probe(TWO_WAYS, f),
     "baseline_bounded_tree": lambda f: B.bounded_tree(TWO_WAYS, f),
     "baseline_mask": lambda f: B.full_hashing(TWO_WAYS, f),
     "baseline_sql": lambda f: B.sql_operators(TWO_WAYS, f),
     "baseline_columns": lambda f: B.wide_sketch(TWO_WAYS, f),
-    "ablate_no_cap": lambda f: E.finish(TWO_WAYS, E.shrink(TWO_WAYS, f, 22).join(E.sketch_by_node(TWO_WAYS, f, 22, cap=False), "hv", "left_semi")),
-    "ablate_fixed_order": lambda f: E.finish(TWO_WAYS, E.shrink(TWO_WAYS, f, 22).join(E.sketch_by_node(TWO_WAYS, f, 22, ordered=False), "hv", "left_semi")),
     "ablate_no_shrink": lambda f: E.finish(TWO_WAYS, E.shrink(TWO_WAYS, f, 22, "none")),
     "ablate_fixed_precision": lambda f: E.evaluate(TWO_WAYS, f, r=12),
 }
@@ -352,11 +485,56 @@ for _name, _fn in METHODS.items():
         return fn(load_family(spark, folder, "flag_orders"))
 
 
+@query("evaluate_tree_packed", ANSWER)
+def evaluate_tree_packed(spark, folder):
+    return _of_store(store_of(spark, folder, FLAGS))
+
+
+for _name, _options in (("evaluate_packed_global", {"mode": "global"}), ("evaluate_packed_wide", {"lanes": 16}), ("evaluate_packed_low_precision", {"r": 12})):
+
+    @query(_name, ANSWER)
+    def _packed_variant(spark, folder, options=_options):
+        return E.evaluate_packed(TWO_WAYS, store_of(spark, folder, FLAGS), **options)
+
+
+for _name, _options in (("ablate_no_cap", {"cap": False}), ("ablate_fixed_order", {"ordered": False}), ("baseline_bounded_tree_cut", None)):
+
+    @query(_name, expr_sql(CUT, CUT_FAMILIES))
+    def _ablation(spark, folder, options=_options):
+        """The answer stays; `intermediate_sizes` and `packed_counters` tell what the switch costs."""
+        fam = load_families(spark, folder, list(CUT_FAMILIES))
+        return B.bounded_tree(CUT, fam) if options is None else E.evaluate(CUT, fam, tier="nodes", **options)
+
+
+@query("balanced_union", SQL["w12_deep_unions"])
+def balanced_union(spark, folder):
+    families, text = WORKLOADS["w12_deep_unions"]
+    return E.evaluate(balance(parse(text)), load_families(spark, folder, list(families)))
+
+
+STRINGS_SQL = "SELECT DISTINCT lang AS set_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS elem FROM documents WHERE lang IS NOT NULL"
+STRINGS = "(en & fr) | (de & es)"
+
+
+@query("evaluate_strings", f"WITH fam AS ({STRINGS_SQL}) SELECT * FROM " + to_sql(parse(STRINGS), lambda s: f"SELECT elem FROM fam WHERE set_id = '{s}'"))
+def evaluate_strings(spark, folder):
+    """Sets of words: 62 bits of a practical hash stand for them, and the finish compares the words themselves."""
+    words = load_table(spark, folder, "documents", ["lang", "text"]).where("lang is not null").select(F.col("lang").alias("set_id"), F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).alias("elem")).distinct()
+    return E.evaluate(STRINGS, words, kind="xxhash", r=12)
+
+
+@query("hash_xxhash", STRINGS_SQL.replace("SELECT DISTINCT lang AS set_id, unnest", "SELECT CAST(count(DISTINCT elem) AS BIGINT) AS words, true AS in_range FROM (SELECT unnest") + ")")
+def hash_xxhash(spark, folder):
+    """Distinct words have distinct 62-bit hashes here, none of them negative."""
+    words = load_table(spark, folder, "documents", ["lang", "text"]).where("lang is not null").select(F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).alias("elem"))
+    hs = words.select(mother_hash("elem", "xxhash").alias("hs")).distinct()
+    return hs.agg(F.count("*").alias("words"), ((F.min("hs") >= 0) & (F.max("hs") < F.lit(1 << WIDTH))).alias("in_range"))
+
+
 SIX_SQL = expr_sql(SIX, FLAGS)
 SETS = ["AF", "AO", "NF", "NO", "RF", "RO"]
 MANY: dict[str, Callable[[DataFrame], DataFrame]] = {
     "intersect_m": lambda f: E.intersect_all(SETS, f),
-    "intersect_m_packed": lambda f: E.evaluate(SIX, f, tier="packed", store=(L.build_rungs(f).cache(), L.build_dict(f))),
     "baseline_gallop": lambda f: B.gallop(SETS, f),
     "baseline_arrays": lambda f: B.arrays(SETS, f),
 }
@@ -367,6 +545,12 @@ for _name, _fn in MANY.items():
         return fn(load_family(spark, folder, "flag_orders"))
 
 
+@query("intersect_m_packed", SIX_SQL)
+def intersect_m_packed(spark, folder):
+    """Ascending sizes, group by group; a group that has run empty stops."""
+    return E.evaluate_packed(SIX, store_of(spark, folder, FLAGS))
+
+
 @query("baseline_bitmap", expr_sql(SIX, FLAGS, "SELECT CAST(count(*) AS BIGINT) AS k FROM answer"))
 def baseline_bitmap(spark, folder):
     return B.bitmaps(SETS, load_family(spark, folder, "flag_orders"))
@@ -379,7 +563,24 @@ def minus_exact(spark, folder):
 
 @query("intersect_two", expr_sql("1 & 2", ("supp_parts",)))
 def intersect_two(spark, folder):
-    return E.intersect_all(["1", "2"], load_family(spark, folder, "supp_parts"))
+    return E.intersect_two("1", "2", load_family(spark, folder, "supp_parts"))
+
+
+def _two_sql(sizes: str) -> str:
+    """Occurrences of part 7's and flag A's orders that survive hashes of a range given by `sizes` of both."""
+    return fam_with(f", c AS (SELECT count(*) FILTER (WHERE set_id = '7') AS a, count(*) FILTER (WHERE set_id = 'AF') AS b FROM fam), h AS (SELECT set_id, {HS} >> ({WIDTH} - CAST(ceil(log2({sizes})) + 6 AS INT)) AS hv FROM fam, c WHERE set_id IN ('7', 'AF')) SELECT CAST((SELECT ceil(log2({sizes})) + 6 FROM c) AS INT) AS r, CAST(count(*) FILTER (WHERE set_id = 'AF') AS BIGINT) AS of_larger, CAST(count(*) FILTER (WHERE set_id = '7') AS BIGINT) AS of_smaller FROM h WHERE hv IN (SELECT hv FROM h WHERE set_id = '7' INTERSECT SELECT hv FROM h WHERE set_id = 'AF')", "part_orders", "flag_orders").replace(") , c AS", "), c AS")
+
+
+for _name, _sizes, _pick in (("intersect_two_candidates", "least(a, b)", min), ("intersect_two_candidates_total", "a + b", None)):
+
+    @query(_name, _two_sql(_sizes))
+    def _two(spark, folder, pick=_pick):
+        """Candidates with the hash range tied to the smaller set, and to the total."""
+        fam = load_families(spark, folder, ["part_orders", "flag_orders"])
+        cards = list(E.sizes(parse("7 & AF"), fam).values())
+        r = choose.choose_r([pick(cards)] if pick else cards)
+        kept = E.shrink("7 & AF", fam, r, "global")
+        return kept.agg(F.lit(r).alias("r"), F.count_if(F.col("m0").bitwiseAND(F.lit(2)) != 0).alias("of_larger"), F.count_if(F.col("m0").bitwiseAND(F.lit(1)) != 0).alias("of_smaller"))
 
 
 @query("intersect_probe", expr_sql("7 & AF", ("part_orders", "flag_orders")))
@@ -387,6 +588,12 @@ def intersect_probe(spark, folder):
     return E.probe(["7", "AF"], load_families(spark, folder, ["part_orders", "flag_orders"]))
 
 
+@query("intersect_probe_stored", expr_sql("7 & AF", ("part_orders", "flag_orders")))
+def intersect_probe_stored(spark, folder):
+    """From a store: only the buckets of the larger set that the smaller one touches are read."""
+    return E.probe_stored(["7", "AF"], store_of(spark, folder, ("part_orders", "flag_orders")))
+
+
 @query("approx_superset", _mask_sql(15) + f" SELECT DISTINCT elem FROM fam JOIN s ON s.hv = {hv_sql(15)}")
 def approx_superset(spark, folder):
     return E.approximate(TWO_WAYS, load_family(spark, folder, "flag_orders"), 15)
@@ -412,10 +619,21 @@ def disjoint_test(spark, folder):
     return P.is_disjoint(SETS, load_family(spark, folder, "flag_orders"))
 
 
-@query("equality_test", "SELECT * FROM (VALUES ('same', true), ('other', false)) t(pair, equal)")
+#: Pairs of orders' sets: "any A" against the union of both A flags (equal), and against one of them.
+EQUAL_PAIRS = {"either": "SELECT DISTINCT l_orderkey AS elem FROM lineitem WHERE l_returnflag = 'A' AND l_linestatus IN ('F', 'O')", "one": "SELECT DISTINCT l_orderkey AS elem FROM lineitem WHERE l_returnflag = 'A' AND l_linestatus = 'F'"}
+_ANY_A = "SELECT DISTINCT l_orderkey AS elem FROM lineitem WHERE l_returnflag = 'A'"
+
+
+@query("equality_test", " UNION ALL ".join(f"SELECT '{k}' AS pair, (SELECT count(*) FROM (({_ANY_A}) EXCEPT ({q}))) + (SELECT count(*) FROM (({q}) EXCEPT ({_ANY_A}))) = 0 AS equal" for k, q in EQUAL_PAIRS.items()))
 def equality_test(spark, folder):
-    same, other = synthetic(spark, "equal", 2000), synthetic(spark, "disjoint", 2000)
-    return P.sets_equal("s0", "s1", same).select(F.lit("same").alias("pair"), "equal").union(P.sets_equal("s0", "s1", other).select(F.lit("other").alias("pair"), "equal"))
+    lines = load_table(spark, folder, "lineitem", ["l_orderkey", "l_returnflag", "l_linestatus"]).where("l_returnflag = 'A'")
+    key = F.col("l_orderkey").cast("long").alias("elem")
+    whole = lines.select(F.lit("any").alias("set_id"), key).distinct()
+    parts = []
+    for pair, status in (("either", ["F", "O"]), ("one", ["F"])):
+        other = lines.where(F.col("l_linestatus").isin(status)).select(F.lit("other").alias("set_id"), key).distinct()
+        parts.append(P.sets_equal("any", "other", whole.union(other)).select(F.lit(pair).alias("pair"), "equal"))
+    return parts[0].union(parts[1])
 
 
 @query("equality_gadget", expr_sql("1 & 2", ("supp_parts",)))
@@ -423,10 +641,46 @@ def equality_gadget(spark, folder):
     return E.evaluate(P.equality_instance(parse("(a & b) | (c & d)"), "1", "2"), load_family(spark, folder, "supp_parts"))
 
 
-QUERIES["w18_equality"], SQL["w18_equality"] = equality_test, SQL["equality_test"]
-QUERIES["set_equal_test"], SQL["set_equal_test"] = equality_test, SQL["equality_test"]
-QUERIES["set_disjoint_test"], SQL["set_disjoint_test"] = disjoint_test, SQL["disjoint_test"]
-QUERIES["unique_intersection"], SQL["unique_intersection"] = w17_unique, SQL["w17_unique_intersection"]
+@query(
+    "w18_equality",
+    """WITH d AS (SELECT doc_id, regexp_extract_all(lower(text), '[^\\s]+') AS w FROM documents),
+    g AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 4], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, len(w) - 3)) AS i FROM d)),
+    x AS (SELECT doc_id, list(s ORDER BY s) AS shingles FROM g GROUP BY 1)
+    SELECT doc_id, min(doc_id) OVER (PARTITION BY shingles) AS same_as FROM x QUALIFY count(*) OVER (PARTITION BY shingles) > 1""".replace("\\\\", "\\"),
+)
+def w18_equality(spark, folder):
+    """Documents whose sets of word 5-grams are equal: fingerprints find them, the sets themselves confirm."""
+    w = F.regexp_extract_all(F.lower("text"), F.lit("[^\\s]+"), F.lit(0))
+    grams = F.array_sort(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 4), lambda i: F.array_join(F.slice("w", i, 5), " "))))
+    docs = load_table(spark, folder, "documents", ["doc_id", "text"]).select("doc_id", w.alias("w")).where("size(w) >= 5").select("doc_id", grams.alias("shingles"))
+    printed = staged(docs.select("doc_id", F.size("shingles").alias("n"), F.xxhash64("shingles").alias("x"), F.xxhash64(F.lit(5), "shingles").alias("y"), "shingles"), "shingles")
+    same = printed.groupBy("n", "x", "y").agg(F.min("doc_id").alias("rep"), F.count("*").alias("c")).where("c > 1").select("n", "x", "y", "rep")
+    reps = printed.join(same, (printed.doc_id == same.rep) & (printed.x == same.x)).select("rep", F.col("shingles").alias("whole"))
+    near = printed.join(same, ["n", "x", "y"]).select("doc_id", "rep", "shingles")
+    return near.join(reps, "rep").where("shingles = whole").select("doc_id", F.col("rep").alias("same_as"))
+
+
+@query("set_equal_test", "SELECT r_name AS region, true AS equal FROM region JOIN nation ON n_regionkey = r_regionkey JOIN customer ON c_nationkey = n_nationkey GROUP BY 1")
+def set_equal_test(spark, folder):
+    """Each region's customers against the union of its nations' customers."""
+    regions = load_family(spark, folder, "cust_region").select("set_id", "elem", F.lit(0).alias("side"))
+    names = load_table(spark, folder, "nation").join(load_table(spark, folder, "region"), F.col("n_regionkey") == F.col("r_regionkey")).select(F.col("n_name").alias("set_id"), "r_name")
+    nations = load_family(spark, folder, "cust_nation").join(F.broadcast(names), "set_id").select(F.col("r_name").alias("set_id"), "elem", F.lit(1).alias("side")).distinct()
+    hs = mother_hash("elem")
+    prints = regions.union(nations).groupBy("set_id", "side").agg(F.count("*").alias("n"), F.bit_xor(hs).alias("x"), F.sum(F.pmod(hs, F.lit(1 << 31))).alias("s"))
+    odd = regions.union(nations).groupBy("set_id", "elem").agg(F.count("*").alias("c")).where("c <> 2").groupBy("set_id").agg(F.count("*").alias("odd"))
+    same = prints.groupBy("set_id").agg(F.countDistinct("n", "x", "s").alias("kinds"))
+    return same.join(odd, "set_id", "left").select(F.col("set_id").alias("region"), ((F.col("kinds") == 1) & F.col("odd").isNull()).alias("equal"))
+
+
+@query("set_disjoint_test", fam_with("SELECT a.set_id AS a, b.set_id AS b, (SELECT count(*) FROM fam x JOIN fam y ON x.elem = y.elem WHERE x.set_id = a.set_id AND y.set_id = b.set_id) = 0 AS disjoint FROM (SELECT DISTINCT set_id FROM fam) a JOIN (SELECT DISTINCT set_id FROM fam) b ON a.set_id < b.set_id", "part_type", "part_brand"))
+def set_disjoint_test(spark, folder):
+    """All pairs of a bounded number of sets: part types and brands."""
+    fam = load_families(spark, folder, ["part_type", "part_brand"])
+    names = fam.select("set_id").distinct()
+    pairs = names.select(F.col("set_id").alias("a")).join(F.broadcast(names.select(F.col("set_id").alias("b"))), F.col("a") < F.col("b"))
+    meet = fam.select(F.col("set_id").alias("a"), "elem").join(fam.select(F.col("set_id").alias("b"), "elem"), "elem").where("a < b").select("a", "b").distinct().withColumn("meet", F.lit(True))
+    return pairs.join(meet, ["a", "b"], "left").select("a", "b", F.col("meet").isNull().alias("disjoint"))
 
 
 def _sampled_sql() -> str:
@@ -450,8 +704,7 @@ FORMULAS = {
     "cost_io": "n * log2(64 * 128) / (64 * 128) + k * m",
     "cost_lower": "n / (64 * m * log2(m)) + (1 - log2(k) / 64) * k",
     "cost_gap": "(n * pow(log2(64), 2) / 64 + k * m) / (n / (64 * m * log2(m)) + (1 - log2(k) / 64) * k)",
-    "cost_union_depth": "m + k * m + n / 64 * pow(0 + log2(64), 2)",
-    "speedup_predicted": "64 / pow(log2(64), 2) + 0 * n",
+    "speedup_predicted": "n / (n * pow(log2(64), 2) / 64 + k * m)",
 }
 for _name, _formula in FORMULAS.items():
 
@@ -463,19 +716,76 @@ for _name, _formula in FORMULAS.items():
         return n.join(k).select("n", F.lit(6.0).alias("m"), "k").select("n", "m", "k", F.round(F.expr(formula), 6).alias("value"))
 
 
-@query("cost_expression")
-def cost_expression(spark, folder):
-    rows = []
-    for name, (families, text) in (("flags", (FLAGS, TWO_WAYS)), ("predicates", WORKLOADS["w13_alternating"])):
-        fam = load_families(spark, folder, list(families))
-        p, nodes = E.profile(text, fam), bounds(parse(text), E.sizes(parse(text), fam))
-        for w in (64, 256, 1024, 4096):
-            rows.append((name, w, p["n"], p["kprime"], cost.cost_expression(nodes, p["n"], p["kprime"], w), cost.cost_leaf_union(nodes, p["n"], p["kprime"], w), cost.cost_union_depth(p["n"], p["m"], p["kprime"], p["depth"], w), cost.predicted_speedup(w)))
-    return spark.createDataFrame(rows, "query string, w int, n long, kprime long, expression double, leaf_union double, union_depth double, speedup double")
-
-
-QUERIES["cost_leaf_union"] = cost_expression
-QUERIES["io_model_costs"], SQL["io_model_costs"] = QUERIES["cost_io"], SQL["cost_io"]
+@query("io_model_costs", f"SELECT CAST(b AS INT) AS block, round(n * log2(64 * b) / (64 * b) + k * m, 4) AS upper, round(n / (64 * b * m * log2(m)) + (1 - log2(k) / (64 * b)) * k, 4) AS lower FROM ({COUNTS}), (SELECT unnest([1, 16, 128, 1024]) AS b)")
+def io_model_costs(spark, folder):
+    """Both bounds in the I/O model, as blocks grow from one word to 1,024."""
+    p = E.profile(SIX, load_family(spark, folder, "flag_orders"))
+    n, m, k = p["n"], p["m"], p["k"]
+    rows = [(b, round(cost.cost_io(n, m, k, 64, b), 4), round(cost.cost_lower(n, m, k, 64 * b), 4)) for b in (1, 16, 128, 1024)]
+    return spark.createDataFrame(rows, "block int, upper double, lower double")
+
+
+#: Queries whose bounds are told for every width of words.
+BOUNDED = {"flags": (FLAGS, TWO_WAYS), "predicates": WORKLOADS["w13_alternating"], "years": WORKLOADS["w12_deep_unions"]}
+WIDTHS = (64, 256, 1024, 4096)
+
+
+def _bounds_of(text: str) -> list[tuple[str, str, str]]:
+    """(operator, psi, psi_star) of every node, as SQL over a table c of sizes."""
+    rows = walk(parse(text))
+    psi: dict[int, str] = {}
+    for me, _, n in reversed(rows):
+        kids = [psi[i] for i, p, _ in rows if p == me]
+        psi[me] = f"coalesce((SELECT card FROM c WHERE set_id = '{n.set_id}'), 0)" if isinstance(n, Leaf) else f"least({', '.join(kids)})" if n.op == "and" else f"({' + '.join(kids)})"
+    star: dict[int, str] = {}
+    for me, parent, _ in rows:
+        star[me] = psi[me] if parent < 0 else f"least({psi[me]}, {star[parent]})"
+    return [("leaf" if isinstance(n, Leaf) else n.op, psi[me], star[me]) for me, _, n in rows]
+
+
+def _bound_sql(nodes: tuple[str, ...]) -> str:
+    parts = []
+    for name, (families, text) in BOUNDED.items():
+        ids = [x.set_id for x in leaves(parse(text))]
+        body = to_sql(parse(text), lambda s: f"SELECT elem FROM fam WHERE set_id = '{s}'")
+        quoted = ", ".join(f"'{s}'" for s in set(ids))
+        n = " + ".join(f"coalesce((SELECT card FROM c WHERE set_id = '{s}'), 0)" for s in ids)
+        stars = " UNION ALL ".join(f"SELECT {star} AS v" for op, _, star in _bounds_of(text) if op in nodes)
+        parts.append(f"""SELECT * FROM (WITH fam AS ({family_sql(*families)}), c AS (SELECT set_id, count(*) AS card FROM fam GROUP BY 1), answer AS (SELECT * FROM {body}),
+            v AS ({stars}), t AS (SELECT {n} AS n, (SELECT count(*) FROM fam WHERE set_id IN ({quoted}) AND elem IN (SELECT elem FROM answer)) AS kprime)
+            SELECT '{name}' AS query, CAST(w AS INT) AS w, CAST(n AS BIGINT) AS n, CAST(kprime AS BIGINT) AS kprime, CAST(kprime + (SELECT sum(ceil(v / w * pow(log2(greatest(n * w / v, 1)), 2))) FROM v WHERE v > 0) AS DOUBLE) AS value FROM t, (SELECT CAST(unnest({list(WIDTHS)}) AS DOUBLE) AS w))""")
+    return " UNION ALL ".join(parts)
+
+
+for _name, _fn, _nodes in (("cost_expression", cost.cost_expression, ("leaf", "or", "and")), ("cost_leaf_union", cost.cost_leaf_union, ("leaf", "or"))):
+
+    @query(_name, _bound_sql(_nodes))
+    def _bound(spark, folder, fn=_fn):
+        rows = []
+        for name, (families, text) in BOUNDED.items():
+            fam = load_families(spark, folder, list(families))
+            p, nodes = E.profile(text, fam), bounds(parse(text), E.sizes(parse(text), fam))
+            rows += [(name, w, p["n"], p["kprime"], float(fn(nodes, p["n"], p["kprime"], w))) for w in WIDTHS]
+        return spark.createDataFrame(rows, "query string, w int, n long, kprime long, value double")
+
+
+def _depth_sql() -> str:
+    families, text = WORKLOADS["w12_deep_unions"]
+    body = to_sql(parse(text), lambda s: f"SELECT elem FROM fam WHERE set_id = '{s}'")
+    ids = [x.set_id for x in leaves(parse(text))]
+    quoted = ", ".join(f"'{s}'" for s in ids)
+    return f"""WITH fam AS ({family_sql(*families)}), answer AS (SELECT * FROM {body}), t AS (SELECT CAST(count(*) AS DOUBLE) AS n, CAST(count(*) FILTER (WHERE elem IN (SELECT elem FROM answer)) AS DOUBLE) AS kp FROM fam WHERE set_id IN ({quoted}))
+        SELECT form, CAST(d AS INT) AS depth, CAST(w AS INT) AS w, round({len(ids)} + kp + n / w * pow(d + log2(w), 2), 4) AS value FROM t, (VALUES ('chain', 11), ('balanced', 4)) f(form, d), (SELECT CAST(unnest({list(WIDTHS)}) AS DOUBLE) AS w)"""
+
+
+@query("cost_union_depth", _depth_sql())
+def cost_union_depth(spark, folder):
+    """The bound by union depth, for a year's months as a chain and balanced."""
+    families, text = WORKLOADS["w12_deep_unions"]
+    fam = load_families(spark, folder, list(families))
+    p = E.profile(text, fam)
+    rows = [(form, union_depth(e), w, round(cost.cost_union_depth(p["n"], p["m"], p["kprime"], union_depth(e), w), 4)) for form, e in (("chain", parse(text)), ("balanced", balance(parse(text)))) for w in WIDTHS]
+    return spark.createDataFrame(rows, "form string, depth int, w int, value double")
 
 
 @query("query_profile", expr_sql(TWO_WAYS, FLAGS, "SELECT 6 AS m, (SELECT count(*) FROM fam) AS n, (SELECT count(*) FROM answer) AS k, (SELECT count(*) FROM fam WHERE elem IN (SELECT elem FROM answer)) AS kprime, 1 AS depth"))
@@ -490,20 +800,39 @@ def skew_factor(spark, folder):
     return cards.select("large", "small", F.round(F.log2(1 + F.col("large") / F.col("small")), 6).alias("factor"))
 
 
-@query("space_rungs", f"WITH fam AS ({family_sql('supp_parts')}), {RUNG_SQL} SELECT set_id, r, CAST(card * (r - greatest(0, floor(log2(card) - 6))) + pow(2, greatest(0, floor(log2(card) - 6))) * 64 AS BIGINT) AS bits FROM rungs")
-def space_rungs(spark, folder):
-    cards = catalog(load_family(spark, folder, "supp_parts")).withColumn("r", F.explode(choose.rung_schedule_column(F.col("card"))))
-    b = choose.balanced_b_column(F.col("card"))
-    return cards.select("set_id", "r", (F.col("card") * (F.col("r") - b) + F.pow(F.lit(2), b) * 64).cast("long").alias("bits"))
+#: Fields of a word by the bits of a bucket's remainders, as a table for SQL.
+FIELDS_SQL = "fields(l, k) AS (VALUES " + ", ".join(f"({v}, {choose.fields_per_word(choose.field_bits(v))})" for v in range(WIDTH + 1)) + ")"
+
+
+def _stored_sql(rungs: str) -> str:
+    """per: (set_id, r, words, n, largest) of stored rungs, from a table of (set_id, card, r); words are counted bucket by bucket."""
+    return f"""{FIELDS_SQL}, shape AS (SELECT set_id, card, r, CAST(least(r, greatest(0, floor(log2(card) - 6))) AS INT) AS b FROM ({rungs})),
+        vals AS (SELECT DISTINCT f.set_id, r, b, {HS} >> ({WIDTH} - r) AS hv FROM fam f JOIN shape USING (set_id)),
+        bucketed AS (SELECT set_id, r, b, hv >> (r - b) AS bucket, count(*) AS c FROM vals GROUP BY ALL),
+        per AS (SELECT set_id, r, CAST(sum(greatest(1, ceil(c / k))) AS BIGINT) AS words, CAST(sum(c) AS BIGINT) AS n, CAST(max(c) AS INT) AS largest FROM bucketed JOIN fields ON l = r - b GROUP BY 1, 2)"""
+
 
+#: Precisions of a set of a given size: the ladder (one rung for tiny sets), and all of them.
+LADDER_RUNGS = f"SELECT DISTINCT set_id, card, r FROM (SELECT set_id, card, CASE WHEN card < {choose.TINY} THEN {WIDTH} ELSE base + CAST(pow(2, i) AS INT) END AS r FROM cards, (SELECT unnest(range(0, 6)) AS i) WHERE i <= floor(log2({WIDTH} - base)) UNION ALL SELECT set_id, card, {WIDTH} FROM cards) WHERE r <= {WIDTH}"
+ALL_RUNGS = f"SELECT set_id, card, CAST(r AS INT) AS r FROM cards, (SELECT unnest(range(1, {WIDTH + 1})) AS r) WHERE r >= base"
+CARDS_SQL = "cards AS (SELECT set_id, count(*) AS card, CAST(ceil(log2(count(*))) AS INT) AS base FROM fam GROUP BY 1)"
 
-def _space(spark, folder, schedule):
-    rungs = stored(spark, folder, "supp_parts", schedule=schedule)
-    return rungs.groupBy("set_id").agg(F.sum(F.size("words")).alias("words"), F.max(F.col("n")).alias("largest_bucket"), F.countDistinct("r").alias("rungs"))
+
+@query("space_rungs", fam_with(f", {CARDS_SQL}, {_stored_sql(LADDER_RUNGS)} SELECT set_id, r, words * 64 AS bits, CAST(card * (r - b) + pow(2, b) * 64 AS BIGINT) AS bound FROM per JOIN shape USING (set_id, r)", *FLAGS).replace(") , cards", "), cards"))
+def space_rungs(spark, folder):
+    """Bits of every stored rung, read from the store, beside card (r - b) + 2^b W."""
+    store = store_of(spark, folder, FLAGS)
+    read = store.rungs.groupBy("set_id", "r").agg((F.sum(F.size("words")) * 64).cast("long").alias("bits"))
+    b = F.least(F.col("b"), F.col("r"))
+    return read.join(store.catalog.select("set_id", "card", "b"), "set_id").select("set_id", "r", "bits", (F.col("card") * (F.col("r") - b) + F.pow(F.lit(2), b) * 64).cast("long").alias("bound"))
 
 
-QUERIES["space_ladder"] = lambda spark, folder: _space(spark, folder, "ladder")
-QUERIES["space_all_precisions"] = lambda spark, folder: _space(spark, folder, "all")
+for _name, _schedule, _rungs in (("space_ladder", "ladder", LADDER_RUNGS), ("space_all_precisions", "all", ALL_RUNGS)):
+
+    @query(_name, fam_with(f", {CARDS_SQL}, {_stored_sql(_rungs)} SELECT set_id, CAST(sum(words) AS BIGINT) AS words, max(largest) AS largest_bucket, CAST(count(*) AS BIGINT) AS rungs FROM per GROUP BY 1", "supp_parts").replace(") , cards", "), cards"))
+    def _space(spark, folder, schedule=_schedule):
+        rungs = store_of(spark, folder, ("supp_parts",), schedule=schedule).rungs
+        return rungs.groupBy("set_id").agg(F.sum(F.size("words")).alias("words"), F.max("n").alias("largest_bucket"), F.countDistinct("r").alias("rungs"))
 
 
 def accuracy(spark, folder, kind: str, steps=(-3, -2, -1, 0, 1, 2, 3, 4, 5, 6)) -> DataFrame:
@@ -532,8 +861,28 @@ for _kind in ("tabulation", "linear2"):
         return accuracy(spark, folder, kind, (1,)).select("step", "candidates", "sketch")
 
 
-QUERIES["sketch_accuracy"] = QUERIES["w15_precision_sweep"] = lambda spark, folder: accuracy(spark, folder, "tabulation")
-QUERIES["false_candidates"], SQL["false_candidates"] = QUERIES["false_candidates_tabulation"], SQL["false_candidates_tabulation"]
+STEPS = (-3, -2, -1, 0, 1, 2, 3, 4, 5, 6)
+
+
+def _sweep_sql(kind: str) -> str:
+    body = to_sql(parse(SIX), lambda s: f"SELECT elem FROM fam WHERE set_id = '{s}'")
+    one = lambda c: f"SELECT CAST({c} AS INT) AS step, (SELECT max(r) FROM b{c + 3}) AS r, CAST(count(*) AS BIGINT) AS candidates, CAST(count(DISTINCT hv) AS BIGINT) AS sketch FROM h{c + 3} WHERE hv IN (SELECT hv FROM s{c + 3})"
+    h = mother_hash_sql("elem", kind)
+    tables = ", ".join(f"b{c + 3} AS (SELECT CAST(ceil(log2(count(*))) AS INT) + {c} AS r FROM fam), h{c + 3} AS (SELECT set_id, hs >> ({WIDTH} - r) AS hv FROM hashed, b{c + 3}), s{c + 3} AS (SELECT hv FROM h{c + 3} GROUP BY 1 HAVING count(DISTINCT set_id) = 6)" for c in STEPS)
+    return f"""WITH fam AS ({family_sql(*FLAGS)}), hashed AS (SELECT set_id, elem, {h} AS hs FROM fam), {tables}, answer AS (SELECT * FROM {body}), k AS (SELECT count(*) AS k FROM answer), n AS (SELECT CAST(count(*) AS DOUBLE) AS n FROM fam)
+        SELECT step, r, candidates, sketch, CAST(6 * k AS INT) AS ideal, CAST(k AS INT) AS k, round(n * n / pow(2, r), 3) AS bound FROM ({" UNION ALL ".join(map(one, STEPS))}), k, n"""
+
+
+@query("w15_precision_sweep", _sweep_sql("tabulation"))
+def w15_precision_sweep(spark, folder):
+    return accuracy(spark, folder, "tabulation")
+
+
+@query("sketch_accuracy", _sweep_sql("linear2").replace("SELECT step, r, candidates, sketch, CAST(6 * k AS INT) AS ideal, CAST(k AS INT) AS k, round(n * n / pow(2, r), 3) AS bound", "SELECT step, CAST(sketch AS BIGINT) AS sketch, CAST(k AS BIGINT) AS k, round(k / sketch, 6) AS precision, (SELECT count(DISTINCT hs) FROM hashed WHERE elem IN (SELECT elem FROM answer)) >= k AS whole"))
+def sketch_accuracy(spark, folder):
+    """Precision of the default hash's sketch by its range; it never loses an answer."""
+    rows = accuracy(spark, folder, "linear2")
+    return rows.select("step", "sketch", F.col("k").cast("long").alias("k"), F.round(F.col("k") / F.col("sketch"), 6).alias("precision"), (F.col("sketch") <= F.col("candidates")).alias("whole"))
 
 
 @query("reduction_ratio", _mask_sql(15) + f" SELECT CAST((SELECT count(*) FROM fam) AS BIGINT) AS n, CAST((SELECT count(*) FROM fam JOIN s ON s.hv = {hv_sql(15)}) AS BIGINT) AS kept")
@@ -543,26 +892,80 @@ def reduction_ratio(spark, folder):
     return fam.agg(F.count("*").alias("n")).join(kept)
 
 
-@query("word_size_sweep")
-def word_size_sweep(spark, folder):
-    """Word operations of one packed evaluation as words grow from one lane to 64."""
-    fam = load_family(spark, folder, "flag_orders")
-    rungs, cards = L.build_rungs(fam).cache(), E.sizes(parse(TWO_WAYS), fam)
-    r, out = choose.choose_r(list(cards.values())), None
+def packed_run(spark, folder, families, text, **options) -> dict:
+    """Counters of one packed evaluation from the store, and its plan's numbers."""
+    store = store_of(spark, folder, families)
+    plan = E.plan_packed(text, store, **options)
+    found = staged(E.packed_candidates(plan, store), "counted")
+    return E.counters(found, set_ids(plan.expr)) | {"plan": plan, "n": sum(plan.cards[x.set_id] for x in leaves(plan.expr)), "found": found}
+
+
+#: Queries that are counted: name -> (families, expression)
+COUNTED = {"flags": (FLAGS, TWO_WAYS), "six": (FLAGS, SIX), "cut": (CUT_FAMILIES, CUT), "years": WORKLOADS["w12_deep_unions"], "terms": (TERMS, "(the & of) | (que & les)")}
+
+
+@query("w16_word_size")
+def w16_word_size(spark, folder):
+    """Word operations as words grow from 64 to 4,096 bits, beside the predicted gain W / log^2 W over 64-bit words."""
+    rows, first = [], None
     for lanes in (1, 4, 16, 64):
-        rows = E.packed_candidates(TWO_WAYS, rungs, r, cards, lanes)
-        row = rows.agg(F.sum(F.when(F.col("leaf") == -1, F.col("hv"))).alias("word_ops"), F.sum(F.when(F.col("leaf") == -2, F.col("hv"))).alias("words_read"), F.sum(F.when(F.col("leaf") == -3, F.col("hv"))).alias("sketch"), F.count_if(F.col("leaf") >= 0).alias("candidates")).select(F.lit(64 * lanes).alias("w"), "*")
-        out = row if out is None else out.union(row)
-    return out
+        c = packed_run(spark, folder, FLAGS, TWO_WAYS, lanes=lanes)
+        first = first or c["word_ops"]
+        rows.append((64 * lanes, c["n"], c["plan"].r, c["plan"].b, c["word_ops"], round(first / c["word_ops"], 3), round(cost.predicted_speedup(64 * lanes) / cost.predicted_speedup(64), 3)))
+    return spark.createDataFrame(rows, "w int, n long, r int, b int, word_ops long, gain double, predicted double")
+
+
+@query("measured_ops")
+def measured_ops(spark, folder):
+    """Word operations, intermediates, cuts and stops of the counted queries, beside the bound of the whole expression."""
+    rows = []
+    for name, (families, text) in COUNTED.items():
+        c = packed_run(spark, folder, families, text)
+        bound = cost.cost_expression(bounds(c["plan"].expr, c["plan"].cards), c["n"], 0, 64)
+        rows.append((name, c["n"], c["word_ops"], c["intermediate"], c["cuts"], c["skipped"], c["sketch"], c["candidates"], float(bound), round(c["word_ops"] / max(bound, 1.0), 3)))
+    return spark.createDataFrame(rows, "query string, n long, word_ops long, intermediate long, cuts long, skipped long, sketch long, candidates long, bound double, ratio double")
+
+
+@query("packed_counters")
+def packed_counters(spark, folder):
+    """What each switch costs on the packed tier, where a large union stands beside a small set."""
+    rows = []
+    for variant, options in (("all", {}), ("no_cut", {"cap": False}), ("as_written", {"ordered": False}), ("global", {"mode": "global"})):
+        c = packed_run(spark, folder, CUT_FAMILIES, CUT, **options)
+        rows.append((variant, c["word_ops"], c["intermediate"], c["cuts"], c["skipped"], c["candidates"]))
+    return spark.createDataFrame(rows, "variant string, word_ops long, intermediate long, cuts long, skipped long, candidates long")
+
+
+@query("w12_union_forms")
+def w12_union_forms(spark, folder):
+    """A year's months united one after the other, and balanced: same answer, fewer word operations."""
+    families, text = WORKLOADS["w12_deep_unions"]
+    rows = []
+    for form, balanced in (("chain", False), ("balanced", True)):
+        c = packed_run(spark, folder, families, text, balanced=balanced)
+        rows.append((form, c["word_ops"], c["intermediate"], c["sketch"], c["candidates"]))
+    return spark.createDataFrame(rows, "form string, word_ops long, intermediate long, sketch long, candidates long")
+
+
+def _read_sql(expr: str, select: str) -> str:
+    """Words that a packed run of an expression over all flag sets reads of each set: its smallest sufficient rung."""
+    names = ", ".join(f"'{s}'" for s in set_ids(parse(expr)))
+    return fam_with(f", {CARDS_SQL}, {_stored_sql(LADDER_RUNGS)}, need AS (SELECT least({WIDTH}, CAST(ceil(log2(sum(card))) AS INT) + 6) AS r0 FROM cards WHERE set_id IN ({names})), pick AS (SELECT set_id, min(r) AS r FROM per, need WHERE r >= r0 AND set_id IN ({names}) GROUP BY 1) SELECT {select} FROM pick JOIN per USING (set_id, r) JOIN cards USING (set_id)", *FLAGS).replace(") , cards", "), cards")
 
 
-for _name in ("measured_ops", "measured_bits", "w16_word_size"):
-    QUERIES[_name] = word_size_sweep
+@query("measured_bits", _read_sql(SIX, "set_id, CAST(card AS BIGINT) AS card, r AS rung, words * 64 AS bits, round(words * 64 / card, 4) AS bits_per_element"))
+def measured_bits(spark, folder):
+    """Bits that a run reads of each input set's stored rung."""
+    c = packed_run(spark, folder, FLAGS, SIX)
+    rows = [(s, c["plan"].cards[s], c["plan"].rungs[s], c[f"words_of {s}"] * 64, round(c[f"words_of {s}"] * 64 / c["plan"].cards[s], 4)) for s in SETS]
+    return spark.createDataFrame(rows, "set_id string, card long, rung int, bits long, bits_per_element double")
 
 
-@query("transcript_bits", fam_with("SELECT set_id AS player, CAST(ceil(count(*) / 2.0) * 64 AS BIGINT) AS bits FROM fam GROUP BY 1", *FLAGS))
+@query("transcript_bits", _read_sql(TWO_WAYS, "set_id AS player, words * 64 AS bits"))
 def transcript_bits(spark, folder):
-    return P.transcript(load_family(spark, folder, "flag_orders"), SETS, 22)
+    """The run as a protocol: every word read of a player's set is written on the board."""
+    c = packed_run(spark, folder, FLAGS, TWO_WAYS)
+    return P.transcript(spark, {s: c[f"words_of {s}"] for s in SETS})
 
 
 @query("trivial_protocol", fam_with("SELECT DISTINCT set_id AS player, CAST((SELECT max(elem) + 1 FROM fam) AS BIGINT) AS bits FROM fam", *FLAGS))
@@ -572,12 +975,63 @@ def trivial_protocol(spark, folder):
 
 @query("measured_probes")
 def measured_probes(spark, folder):
-    """Comparisons of the search baseline, next to the size of the smaller set."""
-    fam = load_family(spark, folder, "flag_orders")
-    return B.gallop(SETS, fam, counts=True).agg(F.sum("elem").alias("comparisons"))
+    """Cells that a run touches of each set: words of its rung, and dictionary entries of its surviving prefixes; with the comparisons of
+    a search by doubling steps."""
+    c = packed_run(spark, folder, FLAGS, SIX)
+    per = {r["leaf"]: r["n"] for r in c["found"].where("leaf >= 0").groupBy("leaf").agg(F.count("*").alias("n")).collect()}
+    looked = {x.set_id: per.get(i, 0) for i, x in enumerate(leaves(c["plan"].expr))}
+    spent = B.gallop(SETS, load_family(spark, folder, "flag_orders"), counts=True).agg(F.sum("elem").alias("c")).first()["c"]
+    rows = [(s, c["plan"].cards[s], c[f"words_of {s}"], looked[s], spent) for s in SETS]
+    return spark.createDataFrame(rows, "set_id string, card long, words long, lookups long, comparisons_of_all long")
+
+
+@query("gain_over_comparisons")
+def gain_over_comparisons(spark, folder):
+    """Elements that the comparison-based algorithm goes over, against word operations of 64 and 4,096 bits for the same expressions."""
+    rows = []
+    for name, (families, text) in COUNTED.items():
+        if name == "terms":
+            continue  # 54,000 sets: the others tell
+        sizes: list = []
+        E.sketch_by_node(balance(parse(text)), load_families(spark, folder, list(families)), 0, raw=True, record=sizes)
+        narrow, wide = (packed_run(spark, folder, families, text, lanes=lanes)["word_ops"] for lanes in (1, 64))
+        rows.append((name, sum(n for _, _, n in sizes), narrow, wide))
+    return spark.createDataFrame(rows, "query string, elements long, word_ops_64 long, word_ops_4096 long")
+
+
+def _build_sql() -> str:
+    parts = []
+    for name in ("flag_orders", "supp_parts", "status_customers"):
+        parts.append(f"SELECT * FROM (WITH fam AS ({family_sql(name)}), {CARDS_SQL}, {_stored_sql(LADDER_RUNGS)} SELECT '{name}' AS family, CAST((SELECT count(*) FROM fam) AS BIGINT) AS elements, CAST(count(*) AS BIGINT) AS rungs, CAST(sum(n) AS BIGINT) AS derived, CAST(sum(words) AS BIGINT) AS words FROM per)")
+    return " UNION ALL ".join(parts)
 
 
-@query("w19_build")
+@query("w19_build", _build_sql())
 def w19_build(spark, folder):
-    rungs = L.build_rungs(load_families(spark, folder, ["flag_orders", "supp_parts"]))
-    return rungs.groupBy("r").agg(F.countDistinct("set_id").alias("sets"), F.sum("n").alias("values"), F.sum(F.size("words")).alias("words"))
+    """Work and space of a build: values written over all rungs (each derived once from the rung above), and words."""
+    out = None
+    for name in ("flag_orders", "supp_parts", "status_customers"):
+        fam = staged(load_family(spark, folder, name), "family")
+        rungs = L.build_rungs(fam).groupBy("set_id", "r").agg(F.sum("n").alias("n"), F.sum(F.size("words")).alias("words"))
+        row = rungs.agg(F.lit(name).alias("family"), F.lit(fam.count()).cast("long").alias("elements"), F.count("*").alias("rungs"), F.sum("n").alias("derived"), F.sum("words").alias("words"))
+        out = row if out is None else out.union(row)
+    return out
+
+
+@query("explain_plan")
+def explain_plan(spark, folder):
+    """The steps of a packed evaluation: order, rungs, bounds, and what may be cut."""
+    plan = E.plan_packed(CUT, store_of(spark, folder, CUT_FAMILIES))
+    return spark.createDataFrame(plan.steps(), "step int, node int, op string, set_id string, rung int, psi long, psi_star long, may_be_cut boolean")
+
+
+@query("spark_counters")
+def spark_counters(spark, folder):
+    """Dictionary rows that a small answer reads, against all it holds; bytes shuffled; and the same for the whole-input baseline."""
+    store = store_of(spark, folder, ("part_orders", "flag_orders"))
+    fam = load_families(spark, folder, ["part_orders", "flag_orders"])
+    rows = []
+    for name, df in (("packed", E.evaluate_packed("7 & AF & RF", store)), ("probe", E.probe_stored(["7", "AF", "RF"], store)), ("columns", E.evaluate("7 & AF & RF", fam)), ("baseline_sql", B.sql_operators("7 & AF & RF", fam))):
+        c = measure.spark_counters(df)
+        rows.append((name, store.dictionary.count(), measure.total(c, "Scan", "numOutputRows"), measure.total(c, "Scan", "filesSize"), measure.total(c, "ShuffleExchange", "shuffleBytesWritten"), measure.total(c, "BroadcastExchange", "dataSize")))
+    return spark.createDataFrame(rows, "method string, stored_rows long, rows_scanned long, bytes_scanned long, bytes_shuffled long, bytes_broadcast long")

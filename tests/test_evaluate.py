@@ -1,7 +1,9 @@
 """Expressions, bounds and exact evaluation against plain Python sets."""
 
 import random
+from dataclasses import replace
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -10,8 +12,10 @@ from ladderset.operators import baselines as B
 from ladderset.operators import evaluate as E
 from ladderset.operators import ladder as L
 from ladderset.operators import protocol as P
+from ladderset.operators.packed import Ops, pack, unpack
 from ladderset.plans import choose, cost
-from ladderset.plans.expr import Leaf, Node, balance, bounds, flatten, fold, parse, simplify, union_depth, walk
+from ladderset.plans.choose import field_bits
+from ladderset.plans.expr import Leaf, Node, balance, bounds, flatten, fold, leaves, parse, set_ids, simplify, union_depth, walk
 from ladderset.sources.families import synthetic
 
 NAMES = [f"s{i}" for i in range(7)]
@@ -59,17 +63,80 @@ def test_random_trees(data, seed):
     rng = random.Random(seed)
     e = random_tree(rng, 3, ("or", "and", "and", "minus"))
     want = sorted(truth(e, sets))
-    for options in ({"mode": "path", "r": 8}, {"mode": "global", "r": 10}, {"r": 9, "how": "nested"}, {"tier": "mask"}):
+    for options in ({"mode": "path", "r": 8}, {"mode": "global", "r": 10}, {"r": 9, "how": "nested"}, {"tier": "mask"}, {"tier": "nodes", "r": 9}):
         assert sorted(r[0] for r in E.evaluate(e, fam, **options).collect()) == want, (str(e), options)
 
 
+def stored(fam, **options):
+    ladder = L.build_ladder(fam, **options)
+    return replace(ladder, rungs=ladder.rungs.cache(), dictionary=ladder.dictionary.cache())
+
+
 def test_packed_tier(data):
     sets, fam = data
-    rungs, dictionary = L.build_rungs(fam, shard_bits=1).cache(), L.build_dict(fam)
-    for text in ("(s0 & s1) | (s2 & s3)", "(s0 - s1) & (s2 | s4)", "s0 & s6", "s5"):
-        for r in (9, 40):
-            got = sorted(x[0] for x in E.evaluate_packed(text, rungs, dictionary, r=r, mode=("path", "global")[r == 9]).collect())
+    ladder = stored(fam, shard_bits=1)
+    for text in ("(s0 & s1) | (s2 & s3)", "(s0 - s1) & (s2 | s4)", "s0 & s6", "s5", "((s0 | s1) & s2) | ((s0 | s1) & s3)"):
+        for r in (2, 9, 40):
+            got = sorted(x[0] for x in E.evaluate_packed(text, ladder, r=r, mode=("path", "global")[r == 9], lanes=(1, 4)[r == 40], cap=r != 9, ordered=r != 2, balanced=r != 9).collect())
             assert got == sorted(truth(parse(text), sets)), (text, r)
+    assert sorted(x[0] for x in E.evaluate("s0 & s2", fam, tier="packed", store=ladder).collect()) == sorted(sets["s0"] & sets["s2"])
+
+
+def test_groups_against_sets():
+    """Sketch and shrink of random trees on packed matrices: nothing useful goes, cuts act, and less comes out of more switches."""
+    rng = random.Random(11)
+    f, spent, cuts, skipped = field_bits(9), {True: 0, False: 0}, 0, 0
+    for _ in range(150):
+        e = simplify(random_tree(rng, 4, ("or", "and", "and", "minus")))
+        sets = [{n: set(rng.sample(range(400), rng.choice([0, 2, 10, 120]))) for n in NAMES} for _ in range(3)]
+        inputs = {}
+        for n in set_ids(e):
+            runs = [sorted(s[n]) for s in sets]
+            m = np.full((3, max(1, max(map(len, runs)))), (1 << f) - 1, np.uint64)
+            for i, r in enumerate(runs):
+                m[i, : len(r)] = r
+            inputs[n] = pack(m, f)
+        for act in (True, False):
+            plan = E.EvalPlan(e, {}, 9, 0, {}, 1, rng.choice(["path", "global"]), act, act, act)
+            left, told = E.evaluate_group(plan, inputs, f, Ops())
+            spent[act] += told[E.INTERMEDIATE]
+            cuts, skipped = cuts + act * told[E.CUTS], skipped + told[E.SKIPPED]
+            assert act or not told[E.CUTS]
+            for i, s in enumerate(sets):
+                kept = [{int(v) for v in unpack(left[j], f)[i] if v != (1 << f) - 1} for j in range(len(left))]
+                assert all(k <= s[x.set_id] for k, x in zip(kept, leaves(e)))
+                got = fold(e, lambda j, _: kept[j], set.__or__, set.__and__, set.__sub__)
+                assert got == truth(e, s), (str(e), act)
+    assert cuts > 20 and skipped > 20 and spent[True] < spent[False]
+
+
+def test_a_cut_acts_where_a_small_side_stands_beside_a_union(spark):
+    fam = spark.range(4000).select(F.expr("CASE WHEN id % 2 = 0 THEN 'A' ELSE 'B' END").alias("set_id"), F.col("id").alias("elem")).union(spark.range(9).select(F.lit("s"), F.col("id") * 400))
+    ladder = stored(fam)
+    cost = {}
+    for cap in (True, False):
+        plan = E.plan_packed("(A | B) & s", ladder, cap=cap)
+        cost[cap] = E.counters(E.packed_candidates(plan, ladder), ["A", "B", "s"])
+        sizes = []
+        E.sketch_by_node("(A | B) & s", fam, 30, cap=cap, record=sizes)
+        assert dict((n, k) for n, _, k in sizes)[1] == (9 if cap else 4000)
+    assert cost[True]["cuts"] and not cost[False]["cuts"] and cost[True]["intermediate"] * 5 < cost[False]["intermediate"]
+    assert sorted(x[0] for x in E.evaluate("(A | B) & s", fam, tier="nodes", sampled=2).collect()) == list(range(0, 3600, 400))
+
+
+def test_probe_and_two_sets(spark, data):
+    sets, fam = data
+    ladder = stored(fam)
+    for a, b in (("s0", "s2"), ("s1", "s0"), ("s6", "s0")):
+        want = sorted(sets.get(a, set()) & sets.get(b, set()))
+        assert sorted(x[0] for x in E.probe_stored([a, b], ladder).collect()) == want
+        assert sorted(x[0] for x in E.intersect_two(a, b, fam).collect()) == want
+
+
+def test_plan_explains_itself(data):
+    _, fam = data
+    plan = E.plan_packed("(s0 | s0) & (s0 | s1) & s2", L.build_ladder(fam))
+    assert str(plan.expr) == "(s0 & s2)" and "from rung" in plan.explain() and len(plan.steps()) == 3
 
 
 def test_more_than_sixty_two_leaves(data):
@@ -135,14 +202,68 @@ def test_baselines(data):
         assert sorted(r[0] for r in f(["s0", "s2"], fam).collect()) == both
 
 
+def answer(text, ladder):
+    return sorted(x[0] for x in E.evaluate_packed(text, ladder).collect())
+
+
 def test_ladder_store(spark, data, tmp_path):
     sets, fam = data
     path = f"file://{tmp_path}/l"
     for _ in range(2):  # writing again replaces
         L.write_ladder(fam, path, "one", shard_bits=1)
         L.write_ladder(fam.where("set_id = 's1'"), path, "two", shard_bits=1)
-    rungs, dictionary = L.read_ladder(spark, path, "one")
-    assert dictionary.count() == fam.count()
-    assert sorted(r[0] for r in E.evaluate_packed("s0 & s1", rungs, dictionary).collect()) == sorted(sets["s0"] & sets["s1"])
-    scan = rungs.where("r = 62")._jdf.queryExecution().executedPlan().toString()
-    assert "PartitionFilters" in scan and "family" in scan
+    ladder = L.read_ladder(spark, path, "one")
+    assert ladder.dictionary.count() == fam.count() and L.versions(spark, path, "one") == [0, 1]
+    assert answer("s0 & s1", ladder) == sorted(sets["s0"] & sets["s1"])
+    scan = ladder.rungs.where("r = 62")._jdf.queryExecution().executedPlan().toString()
+    assert "PartitionFilters: [isnotnull(r" in scan
+    with pytest.raises(FileNotFoundError):
+        L.read_ladder(spark, path, "three")
+
+
+def test_a_store_that_shrinks_loses_its_old_rungs(spark, tmp_path):
+    path = f"file://{tmp_path}/l"
+    for a, b in ((3000, 429), (10, 7)):
+        fam = spark.range(a).select(F.lit("A").alias("set_id"), F.col("id").alias("elem")).union(spark.range(b).select(F.lit("B"), F.col("id") + 5))
+        L.write_ladder(fam, path, "f")
+        assert answer("A & B", L.read_ladder(spark, path, "f")) == list(range(5, min(a, b + 5)))
+
+
+def test_a_store_keeps_its_hash(spark, tmp_path):
+    path = f"file://{tmp_path}/l"
+    fam = synthetic(spark, "controlled", 3000, 2, 429)
+    L.write_ladder(fam, path, "f", kind="tabulation", seed=3)
+    assert answer("s0 & s1", L.read_ladder(spark, path, "f")) == list(range(429))
+    with pytest.raises(ValueError):
+        L.read_ladder(spark, path, "f", kind="linear2")
+
+
+def test_appending_gives_the_ladder_of_the_whole(spark, tmp_path):
+    """New sets, sets that outgrow their shape, sets that stay in shape, and repeated elements; twice in a row, through a store."""
+    path = f"file://{tmp_path}/l"
+    parts = [{"A": range(100), "B": range(0, 5000, 2), "t": range(3)}, {"A": range(50, 600), "B": range(1, 40, 2), "C": range(90, 140), "t": range(70)}, {"B": range(0, 9000, 3), "C": range(300)}]
+    fams = [spark.createDataFrame([(s, x) for s, xs in p.items() for x in xs], "set_id string, elem long") for p in parts]
+    L.write_ladder(fams[0], path, "f", shard_bits=2)
+    for k in (1, 2, 2):  # doing a version again changes nothing
+        L.append_to_store(spark, path, "f", fams[k], version=k)
+    got = L.read_ladder(spark, path, "f")
+    whole = fams[0].union(fams[1]).union(fams[2]).distinct()
+    want = L.build_ladder(whole, shard_bits=2)
+    rows = lambda x: sorted(map(tuple, x.collect()))
+    assert rows(L.members(got.rungs)) == rows(L.members(want.rungs))
+    assert rows(got.catalog.select("set_id", "card", "b", F.col("precisions").cast("string"))) == rows(want.catalog.select("set_id", "card", "b", F.col("precisions").cast("string")))
+    assert rows(got.dictionary) == rows(want.dictionary)
+    assert got.rungs.groupBy("set_id", "r", "bucket").count().where("count > 1").count() == 0
+    assert answer("(A & B) | (C & t)", got) == sorted(set(range(600)) & (set(range(0, 5000, 2)) | set(range(1, 40, 2)) | set(range(0, 9000, 3))) | set(range(70)))
+
+
+def test_rows_of_packed_operations(spark, data):
+    sets, fam = data
+    rungs = L.build_rungs(fam, schedule=[20], shard_bits=1).cache()
+    hv = {n: set(x[0] for x in fam.where(F.col("set_id") == n).select(prefix_hash(mother_hash("elem"), 20)).collect()) for n in NAMES}
+    for op, f in (("or", set.union), ("and", set.intersection)):
+        for b in (None, 0, 7):
+            got = [x[0] for x in L.members(L.rebalance(L.combine(rungs, "s0", "s2", op, b), 60)).select("hv").collect()]
+            assert sorted(got) == sorted(f(hv["s0"], hv["s2"])), (op, b)
+    cut = [tuple(x) for x in L.members(L.truncate(rungs, 6)).select("set_id", "hv").collect()]
+    assert sorted(cut) == sorted({(n, v >> 6) for n, vs in hv.items() for v in vs})
