@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .support import quoted, table
+from .support import plainly_named, quoted, table
 from .textscan import SPACE, Words, buffer_of, mix, per_row_sum, range_hash, slices, window_hash, words_of
 
 SLICE_BYTES = 6 << 20
@@ -213,8 +213,8 @@ def apply_rules(docs: DataFrame, text_col: str = "text", rules: list[Rule] | Non
                 cols = [*batch.slice(lo, hi - lo).columns, pa.array(kept), *(told if digest else [])]
                 yield pa.RecordBatch.from_arrays(cols, [*names, *added])
 
-    carried = docs.select(*[F.col(quoted(n)) for n in names])
-    schema = ", ".join(f"{quoted(f.name)} {f.dataType.simpleString()}" for f in carried.schema) + ", kept boolean"
+    carried, kinds = plainly_named(docs, names)
+    schema = ", ".join(f"{quoted(n)} {kind}" for n, kind in zip(names, kinds, strict=True)) + ", kept boolean"
     return carried.mapInArrow(run, schema + (f", {DIGEST}" if digest else ""))
 
 

@@ -76,6 +76,12 @@ def quoted(name: str) -> str:
     return "`" + name.replace("`", "``") + "`"
 
 
+def plainly_named(df: DataFrame, names: list[str]) -> tuple[DataFrame, list[str]]:
+    """Some columns as c0, c1, ..., which mapInArrow takes whatever their names hold, and their types."""
+    out = df.select(*[F.col(quoted(n)).alias(f"c{i}") for i, n in enumerate(names)])
+    return out, [f.dataType.simpleString() for f in out.schema]
+
+
 def text_or_empty(col: str) -> Column:
     return F.coalesce(F.col(quoted(col)).cast("string"), F.lit(""))
 
