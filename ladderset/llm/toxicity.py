@@ -26,11 +26,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .support import table
+from .support import plainly_named, quoted, table
 from .textscan import LOWER, SPACE, buffer_of, mix, range_hash, slices, unique_per_row, words_of
 
 BITS = 18
 MAX_ROWS = 12_000
+TRAIN_TEXT_BYTES = 1 << 15
 FOLDS = 3
 #: Standard errors that a word's log odds must be away from nothing.
 MIN_Z = 3.0
@@ -148,13 +149,15 @@ def fit_chain(row: np.ndarray, slot: np.ndarray, labels: np.ndarray, categories:
 def train_toxicity(
     docs: DataFrame, labels: DataFrame, categories: list[str], id_col: str = "doc_id", text_col: str = "text", max_rows: int = MAX_ROWS, folds: int = FOLDS
 ) -> Chain:
-    """Fits the chain on at most `max_rows` labelled documents; labels has id_col and one 0/1 column per category."""
+    """Fits the chain on at most `max_rows` labelled documents, drawn by hash, of at most TRAIN_TEXT_BYTES each (so what the driver gathers
+    is bounded in rows and in bytes); labels has id_col and one 0/1 column per category."""
     labelled = labels.select(F.col(id_col).alias("doc_id"), *[F.col(c).cast("int").alias(c) for c in categories]).dropna()
     total = labelled.count()
     share = min(1.0, max_rows / max(1, total))
     draw = F.pmod(F.xxhash64(F.lit(11), "doc_id"), F.lit(1_000_000))
-    chosen = labelled.where(draw < int(share * 1_000_000)).limit(max_rows)
-    texts = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")
+    chosen = labelled.where(draw < int(min(1.0, 1.1 * share) * 1_000_000)).orderBy(draw, "doc_id").limit(max_rows)
+    short = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).where(F.coalesce(F.octet_length("text"), F.lit(0)) <= TRAIN_TEXT_BYTES)
+    texts = short.join(F.broadcast(chosen), "doc_id")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -192,8 +195,8 @@ def score_toxicity(docs: DataFrame, chain: Chain, text_col: str = "text") -> Dat
                 cols = [pa.array(p[:, k]) for k in range(p.shape[1])] + [pa.array(p[:, k] >= t) for k, t in enumerate(model.thresholds)]
                 yield pa.RecordBatch.from_arrays([*batch.slice(lo, hi - lo).columns, *cols], [*names, *extra])
 
-    chosen = docs.select(*[f"`{n}`" for n in names])
-    schema = [f"`{f.name}` {f.dataType.simpleString()}" for f in chosen.schema] + [f"`{e}` {'double' if e.startswith('p_') else 'boolean'}" for e in extra]
+    chosen, kinds = plainly_named(docs, names)
+    schema = [f"{quoted(n)} {kind}" for n, kind in zip(names, kinds, strict=True)] + [f"{quoted(e)} {'double' if e.startswith('p_') else 'boolean'}" for e in extra]
     return chosen.mapInArrow(run, ", ".join(schema))
 
 
