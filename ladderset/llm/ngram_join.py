@@ -432,10 +432,6 @@ def similar_pairs(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, id
 
 
 def op5_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return similar_groups(table(spark, sf_dir, "documents"), k=3, num=90, den=100)
-
-
-def op5_ngram_jaccard_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     return similar_links(table(spark, sf_dir, "documents"), k=3, num=90, den=100)
 
 
@@ -447,13 +443,10 @@ ORACLE = {
         c AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
         common AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS k FROM s x JOIN s y USING (g) WHERE x.doc_id <> y.doc_id GROUP BY 1, 2),
         link AS (SELECT a, b FROM common JOIN c x ON x.doc_id = a JOIN c y ON y.doc_id = b WHERE 100 * k >= 90 * (x.n + y.n - k)),
+        linked AS (SELECT a, CAST(count(*) AS BIGINT) AS n_links FROM link GROUP BY 1),
         reach AS (SELECT DISTINCT a AS doc_id, a AS other FROM link UNION SELECT reach.doc_id, link.b FROM reach JOIN link ON link.a = reach.other),
         smallest AS (SELECT doc_id, min(other) AS component_id FROM reach GROUP BY 1)
-        SELECT w.doc_id, CAST(coalesce(c.n, 0) AS BIGINT) AS n_shingles, coalesce(component_id, w.doc_id) AS component_id
-        FROM w LEFT JOIN c USING (doc_id) LEFT JOIN smallest USING (doc_id)
+        SELECT w.doc_id, CAST(coalesce(c.n, 0) AS BIGINT) AS n_shingles, coalesce(component_id, w.doc_id) AS component_id, coalesce(n_links, 0) AS n_links
+        FROM w LEFT JOIN c USING (doc_id) LEFT JOIN smallest USING (doc_id) LEFT JOIN linked ON linked.a = w.doc_id
     """
 }
-ORACLE["op5_ngram_jaccard_links"] = f"""
-        SELECT doc_id, n_shingles, component_id, coalesce(n_links, 0) AS n_links
-        FROM ({ORACLE["op5_ngram_jaccard"].replace("reach AS (", "linked AS (SELECT a, CAST(count(*) AS BIGINT) AS n_links FROM link GROUP BY 1), reach AS (", 1).replace("AS component_id\n        FROM w", "AS component_id, n_links\n        FROM w LEFT JOIN linked ON linked.a = w.doc_id", 1)}) o
-    """
