@@ -7,7 +7,8 @@ scores or a BPE model whose merges follow from the pieces' scores, byte fallback
 Where no piece of the vocabulary holds a mark after another character, a piece can't reach over the start
 of a run of spaces, so runs of spaces with what follows them are encoded on their own: each distinct one of a batch
 goes through the library once, many at a time, on several threads. Every one of them is compared with the
-sentencepiece library when it is first seen, so each document carries a verdict on parity that covers all its text.
+sentencepiece library when it is first seen, so each document carries a verdict on parity that covers all its text. Where they
+differ (pieces that tie to the last bit can come out in another order) the library's own ids are taken.
 
 Defined cases: null text is empty and has no ids; rows that repeat are encoded one by one; a text that
 holds the mark itself is encoded whole; an empty table gives an empty result; further columns are ignored.
@@ -15,9 +16,9 @@ holds the mark itself is encoded whole; an empty table gives an empty result; fu
 
 from __future__ import annotations
 
-import os
 import struct
 from collections.abc import Iterator
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -27,7 +28,7 @@ from pyspark.sql import functions as F
 
 from .support import table
 from .textscan import buffer_of, per_row_sum, slices
-from .tokenids import BatchEncoder, crc32s, gather, vocabulary
+from .tokenids import BatchEncoder, crc32s, gather, quiet_threads, vocabulary
 
 MARK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, BYTE = 1, 2, 3, 4, 6
@@ -106,9 +107,10 @@ class PieceModel:
         return [(a, b) for *_, a, b in sorted(out)]
 
     def separable(self) -> bool:
-        """Whether no piece reaches over the start of a run of spaces, and spaces are kept as they are."""
+        """Whether no piece reaches over the start of a run of spaces, and spaces are kept as they are. Unigram models add up scores over a
+        whole text in single precision, so where two ways are nearly equal, what comes before decides: their texts stay whole."""
         inner = any(MARK in p.lstrip(MARK) for p, _, k in self.pieces if k in (NORMAL, USER))
-        return not (inner or self.charsmap or self.trims) and self.escapes and self.dummy_prefix and not any(k == USER for *_, k in self.pieces)
+        return self.kind == BPE and not (inner or self.charsmap or self.trims) and self.escapes and self.dummy_prefix and not any(k == USER for *_, k in self.pieces)
 
     def tokenizer(self, whole: bool = True):
         """The tokenizers pipeline; with whole=False for a run of spaces and what follows, without the dummy prefix."""
@@ -146,10 +148,11 @@ class PieceEncoder(BatchEncoder):
     """Encodes and decodes string columns with a SentencePiece model."""
 
     def __init__(self, path: str, threads: int = THREADS):
-        os.environ.setdefault("RAYON_NUM_THREADS", str(threads))
-        os.environ.setdefault("TOKENIZERS_PARALLELISM", "true")
+        quiet_threads()
         import sentencepiece
 
+        self.threads = threads
+
         with open(path, "rb") as f:
             self.model = PieceModel.parse(f.read())
         self.reference = sentencepiece.SentencePieceProcessor(model_file=path)
@@ -163,6 +166,15 @@ class PieceEncoder(BatchEncoder):
         super()._forget()
         self.same = np.zeros(0, bool)
 
+    def _encoded(self, texts: list[str]) -> list:
+        """The library lets other threads run while it encodes, so a batch is dealt to as many of ours, whatever its own pool is set to."""
+        part = -(-len(texts) // self.threads)
+        if part < TOGETHER:
+            return self.inner.encode_batch_fast(texts, add_special_tokens=False)
+        with ThreadPoolExecutor(self.threads) as pool:
+            done = pool.map(lambda lo: self.inner.encode_batch_fast(texts[lo : lo + part], add_special_tokens=False), range(0, len(texts), part))
+            return [enc for batch in done for enc in batch]
+
     def _learn(self, pieces: list[bytes]) -> None:
         texts = [p.decode("utf-8", "replace") for p in pieces]
         ids: list[np.ndarray | None] = [None] * len(texts)
@@ -172,7 +184,7 @@ class PieceEncoder(BatchEncoder):
         packs = [firm[i : i + TOGETHER] for i in range(0, len(firm), TOGETHER)]
         joined = ["".join(texts[i] for i in pack) for pack in packs]
         theirs = self.reference.encode([j[1:] for j in joined], num_threads=1)  # the library adds the first space by itself
-        for pack, enc, ref in zip(packs, self.inner.encode_batch_fast(joined, add_special_tokens=False), theirs, strict=True):
+        for pack, enc, ref in zip(packs, self._encoded(joined), theirs, strict=True):
             flat = np.asarray(enc.ids, np.uint32)
             reach = np.cumsum(np.diff(self.surface_at)[flat])
             want = np.cumsum([len(pieces[i]) for i in pack])
@@ -181,9 +193,9 @@ class PieceEncoder(BatchEncoder):
                 for i, part in zip(pack, np.split(flat, ends[:-1]), strict=True):
                     ids[i] = part
         rest = [i for i, x in enumerate(ids) if x is None]
-        for i, enc in zip(rest, self.inner.encode_batch_fast([texts[i] for i in rest], add_special_tokens=False), strict=True):
-            ids[i] = np.asarray(enc.ids, np.uint32)
-            same[i] = texts[i] == " " or self.reference.encode(texts[i][1:]) == enc.ids
+        for i, enc in zip(rest, self._encoded([texts[i] for i in rest]), strict=True):
+            want = enc.ids if texts[i] == " " else self.reference.encode(texts[i][1:])
+            ids[i], same[i] = np.asarray(want, np.uint32), want == enc.ids
         self.same = np.concatenate([self.same, same])
         self._keep(pieces, ids)
 
@@ -199,14 +211,17 @@ class PieceEncoder(BatchEncoder):
         return full, start, np.searchsorted(start[:-1], grown)
 
     def encode_checked(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Ids, offsets, and whether the sentencepiece library gives the same ids."""
+        """The sentencepiece library's ids, offsets, and whether the rebuilt pipeline gave them by itself."""
         import pyarrow.compute as pc
 
         rows = len(column)
         odd = pc.fill_null(pc.match_substring(column, MARK), False).to_numpy(zero_copy_only=False) if self.by_piece else np.ones(rows, bool)
         if odd.any():
             ids, at = self.encode(column)
-            parity = np.array([self.reference.encode(t.as_py() or "") == ids[a:b].tolist() for t, a, b in zip(column, at[:-1], at[1:], strict=True)], bool)
+            wanted = [np.asarray(self.reference.encode(t.as_py() or ""), np.uint32) for t in column]
+            parity = np.array([np.array_equal(w, ids[a:b]) for w, a, b in zip(wanted, at[:-1], at[1:], strict=True)], bool)
+            if not parity.all():
+                ids, at = np.concatenate([np.empty(0, np.uint32), *wanted]), np.concatenate([[0], np.cumsum([len(w) for w in wanted])])
             return ids, at, parity
         buf, off = buffer_of(column)
         if not len(buf):

@@ -38,11 +38,21 @@ def gather(start: np.ndarray, length: np.ndarray) -> np.ndarray:
     return np.arange(total) + np.repeat(start - at, length)
 
 
+def quiet_threads() -> None:
+    """One thread in the library's own pool, which is set once a process: a task has a core, and whoever wants more threads starts them."""
+    os.environ.setdefault("RAYON_NUM_THREADS", "1")
+    os.environ.setdefault("TOKENIZERS_PARALLELISM", "true")
+
+
+#: The only Replace patterns that can be applied piece by piece: runs of white space.
+LOCAL_PATTERNS = {r"\s+", r"\s", " "}
+
+
 class BatchEncoder:
     """Encodes string columns; `end_id`, if given, closes each text."""
 
     def __init__(self, path: str, end_id: int | None = None):
-        os.environ.setdefault("RAYON_NUM_THREADS", "1")
+        quiet_threads()
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -64,8 +74,10 @@ class BatchEncoder:
         parts = pre.get("pretokenizers", [pre])
         cut = parts[0] if parts else {}
         dropped = cut.get("type") == "Split" and cut.get("behavior") == "Removed" and cut.get("invert") and r"[^\s\p{L}\p{N}]+" in str((cut.get("pattern") or {}).get("Regex"))
-        kinds = [n.get("type") for n in norm.get("normalizers", [norm]) if n]
-        local = set(kinds) <= {"NFC", "Replace", "Lowercase"} and not spec.get("truncation") and not spec.get("post_processor")
+        norms = [n for n in norm.get("normalizers", [norm]) if n]
+        kinds = [n.get("type") for n in norms]
+        replaced = {x for n in norms if n.get("type") == "Replace" for x in (n.get("pattern") or {}).values()}
+        local = set(kinds) <= {"NFC", "Replace", "Lowercase"} and replaced <= LOCAL_PATTERNS and not spec.get("truncation") and not spec.get("post_processor")
         return bool(dropped and local), "Lowercase" in kinds
 
     def _forget(self) -> None:
