@@ -268,5 +268,42 @@ def read_warc_files(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.format("binaryFile").load(path).select(F.lit(None).cast("long").alias("page_id"), F.col("content").alias("record"))
 
 
+SEPARATOR = b"\r\n\r\nWARC/1."
+
+
+def read_warc_records(spark: SparkSession, path: str) -> DataFrame:
+    """(page_id, record) with one record in each row, streamed, for files of any size; page_id is null.
+
+    Lines end where the next record's version line begins. A block that holds such a line itself is put together again by its
+    Content-Length, from the pieces that follow in the same task: a compressed file is one task. (Where an uncompressed file is cut
+    between two tasks inside such a block, its halves come out as broken records.)
+    """
+    lines = spark.read.text(path, lineSep=SEPARATOR.decode()).select(F.col("value").cast("binary").alias("piece"))
+
+    def missing(raw: bytes) -> bool:
+        head, _, block = raw.partition(b"\r\n\r\n")
+        length = next((x.split(b":", 1)[1] for x in head.split(b"\r\n") if x.lower().startswith(b"content-length:")), b"")
+        return length.strip().isdigit() and len(block) < int(length)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = b""
+        for batch in batches:
+            whole = []
+            for piece in batch.column(0).to_pylist():
+                starts = piece.startswith(b"WARC/1.")
+                raw = piece if starts else SEPARATOR[4:] + piece
+                if held and missing(held) and not starts:
+                    held += SEPARATOR + piece
+                    continue
+                if held:
+                    whole.append(held + b"\r\n\r\n")
+                held = raw
+            yield pa.RecordBatch.from_arrays([pa.nulls(len(whole), pa.int64()), pa.array(whole, pa.binary())], ["page_id", "record"])
+        if held.strip():
+            yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.array([held.rstrip(b"\r\n") + b"\r\n\r\n" if not missing(held) else held], pa.binary())], ["page_id", "record"])
+
+    return lines.mapInArrow(run, RESPONSES)
+
+
 def op6_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
     return derivatives(response_records(table(spark, sf_dir, "pages")))

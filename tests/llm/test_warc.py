@@ -50,6 +50,45 @@ def test_files(spark, tmp_path):
     assert len(got) == 5
 
 
+def test_records_are_streamed(spark, tmp_path):
+    """The same derivatives as from whole files, a page that quotes a record and empty blocks among them."""
+    quoting = "<pre>text\r\n\r\nWARC/1.0\r\nWARC-Type: response\r\n\r\n</pre>"
+    records = [warc.response_record(i, f"http://e/{i}", quoting if i % 5 == 2 else f"<p>{i}" if i % 5 else "") for i in range(40)]
+    for name, squeeze in (("a.warc", False), ("b.warc.gz", True)):
+        (tmp_path / name).write_bytes(b"".join(r.to_bytes(squeeze) for r in records))
+        path = f"file://{tmp_path}/{name}"
+        whole, streamed = (sorted((r["record_id"], r["kind"], r["refers_to"], r["block_digest"]) for r in warc.derivatives(f(spark, path)).collect()) for f in (warc.read_warc_files, warc.read_warc_records))
+        assert whole == streamed and len(whole) == 80
+
+
+def test_derivatives_against_a_plain_reading(spark):
+    """Every page of the table: links, digests, headers and text, found again with regular expressions and the standard library."""
+    import base64
+    import hashlib
+    import html as entities
+    import re
+
+    sha = lambda b: "sha1:" + base64.b32encode(hashlib.sha1(b).digest()).decode()
+    pages = {r["page_id"]: r for r in spark.read.parquet("/root/testdata/sf0.001/pages.parquet").collect()}
+    got = warc.derivatives(warc.response_records(spark.read.parquet("/root/testdata/sf0.001/pages.parquet"))).collect()
+    assert len(got) == 2 * len(pages)
+    responses = {r["page_id"]: next(warc.parse_records(bytes(r["record"]))) for r in warc.response_records(spark.read.parquet("/root/testdata/sf0.001/pages.parquet")).collect()}
+    for r in got:
+        page, response = pages[r["page_id"]], responses[r["page_id"]]
+        record = next(warc.parse_records(bytes(r["record"])))
+        assert r["refers_to"] == response.get("WARC-Record-ID") and r["target_uri"] == response.get("WARC-Target-URI")
+        assert r["block_digest"] == sha(record.block) and r["source_payload_digest"] == sha(page["html"].encode())
+        body = record.block.decode()
+        if r["kind"] == "metadata":
+            assert f"source-WARC-Record-ID: {response.get('WARC-Record-ID')}\r\n" in body and "http-Content-Type: text/html" in body
+            links = re.findall(r"<a\b[^>]*?\bhref=\"([^\"]*)\"", re.sub(r"(?s)<!--.*?-->|<(script|style)\b.*?</\1>", "", page["html"]))
+            assert body.count("outlink: ") == len(links)
+        else:
+            bare = re.sub(r"(?s)<!--.*?-->|<(script|style|title|head)\b.*?</\1>|<[^>]*>", " ", page["html"])
+            mine, theirs = (set(re.findall(r"\w+", x)) for x in (body, entities.unescape(bare)))
+            assert len(mine ^ theirs) <= 0.02 * len(theirs) + 2, (r["page_id"], mine ^ theirs)
+
+
 def test_a_bad_response_ends_only_itself(spark, tmp_path):
     good = [warc.response_record(i, f"http://e/{i}", f"<p>{i}") for i in range(4)]
     dns = warc.make_record("response", "<urn:uuid:dns>", b"e. 60 IN A 127.0.0.1\n", "text/dns", [("WARC-Target-URI", "dns:e")])
