@@ -44,7 +44,7 @@ SKETCH_BITS = 18
 CHUNK = 1 << 12
 RANGES = 128
 BLOCK = 1024
-SLICE_BYTES = 6 << 20
+SLICE_BYTES = 2 << 20
 PROPOSALS = 2
 TILE = 64
 

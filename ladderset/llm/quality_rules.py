@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from .support import plainly_named, quoted, table
 from .textscan import SPACE, Words, buffer_of, mix, per_row_sum, range_hash, slices, window_hash, words_of
 
-SLICE_BYTES = 6 << 20
+SLICE_BYTES = 2 << 20
 #: The sample that orders the rules: so many whole texts of at most so many bytes, one in so many by hash.
 SAMPLE_ROWS = 400
 SAMPLE_TEXT_BYTES = 1 << 16

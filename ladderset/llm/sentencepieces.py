@@ -33,7 +33,7 @@ from .tokenids import BatchEncoder, crc32s, gather, quiet_threads, vocabulary
 MARK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, BYTE = 1, 2, 3, 4, 6
 UNIGRAM, BPE = 1, 2
-SLICE_BYTES = 6 << 20
+SLICE_BYTES = 3 << 20
 THREADS = 2
 #: Pieces encoded in one call.
 TOGETHER = 128

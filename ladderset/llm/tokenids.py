@@ -19,9 +19,9 @@ import pyarrow.compute as pc
 from .textscan import LOWER, SPACE, buffer_of
 
 #: Distinct pieces that a worker remembers before it starts afresh (about 150 bytes each).
-MEMORY_PIECES = 450_000
+MEMORY_PIECES = 350_000
 #: Bytes of text encoded at a time; a longer single text makes a batch of its own.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 2 << 20
 
 _LETTER = np.zeros(256, bool)
 _LETTER[[*range(65, 91), *range(97, 123)]] = True

@@ -39,7 +39,7 @@ MIN_Z = 3.0
 MIN_TEXTS = 6
 #: No verdict below this probability, whatever the out-of-fold cut.
 MIN_CUT = 0.2
-SLICE_BYTES = 6 << 20
+SLICE_BYTES = 2 << 20
 
 _INNER = np.zeros(256, bool)
 _INNER[[*range(48, 58), *range(97, 123), *range(128, 256), 39]] = True
