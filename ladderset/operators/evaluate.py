@@ -454,9 +454,9 @@ def evaluate_packed(e: Expr | str, store: L.Ladder, r: int | None = None, mode:
     bits = [(i, x.set_id, *[1 << (i % MASK_BITS) if i // MASK_BITS == j else 0 for j in range(len(cols))]) for i, x in enumerate(leaves(e))]
     table = store.rungs.sparkSession.createDataFrame(bits, "leaf int, set_id string, " + ", ".join(f"{c} long" for c in cols))
     prefixes = found.join(F.broadcast(table), "leaf").groupBy("set_id", "hv").agg(*_or(cols))
-    mine = L.pruned(store.dictionary.where(F.col("set_id").isin(ids)), found, plan.r, store.shard_bits).withColumn("hv", prefix_hash("hs", plan.r))
-    prefixes = F.broadcast(prefixes) if found.count() <= L.BROADCAST_ROWS else prefixes.hint("merge")
-    return finish(e, mine.join(prefixes, ["set_id", "hv"]).select("hv", "elem", *cols))
+    mine, rows = L.pruned(store.dictionary.where(F.col("set_id").isin(ids)), found, plan.r, store.shard_bits)
+    prefixes = F.broadcast(prefixes) if rows <= L.BROADCAST_ROWS else prefixes.hint("merge")
+    return finish(e, mine.withColumn("hv", prefix_hash("hs", plan.r)).join(prefixes, ["set_id", "hv"]).select("hv", "elem", *cols))
 
 
 def profile(e: Expr | str, family: DataFrame) -> dict:

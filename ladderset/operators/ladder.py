@@ -10,13 +10,16 @@ The dictionary (set, hash, element) is placed by shard and sorted by hash, so th
 range of one shard; a lookup reads the shards that its prefixes touch.
 
 A store keeps versions: a write makes a new folder and names it complete when all is there, a read takes the
-newest complete one, so writing again replaces a family, shrunk sets and lost rungs included.
+newest complete one, so writing again replaces a family, shrunk sets and lost rungs included. A batch that is
+appended makes a version of only what is new: slices of buckets, which every reader unites with the stored
+ones, and whole rungs of sets that have outgrown their shape. After a few of those a whole version is written.
 """
 
 from __future__ import annotations
 
+import ast
 from collections.abc import Callable, Iterator
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -265,14 +268,21 @@ class Ladder:
     kind: str = "linear2"
     seed: int = 0
     schedule: object = "ladder"
+    _shapes: dict = field(default_factory=dict, init=False, repr=False)
+
+    def shapes(self, ids: list[str]) -> dict[str, tuple[int, list[int]]]:
+        """Size and precisions of the named sets, as many rows as an expression has sets; read once."""
+        if new := [s for s in ids if s not in self._shapes]:
+            got = {x["set_id"]: (x["card"], sorted(x["precisions"])) for x in self.catalog.where(F.col("set_id").isin(new)).select("set_id", "card", "precisions").collect()}
+            self._shapes |= {s: got.get(s, (0, [])) for s in new}
+        return {s: self._shapes[s] for s in ids}
 
     def cards(self, ids: list[str]) -> dict[str, int]:
-        """Sizes of the named sets: as many rows as an expression has sets."""
-        got = {x["set_id"]: x["card"] for x in self.catalog.where(F.col("set_id").isin(ids)).select("set_id", "card").collect()}
-        return {s: got.get(s, 0) for s in ids}
+        return {s: card for s, (card, _) in self.shapes(ids).items()}
 
     def precisions(self, ids: list[str]) -> dict[str, list[int]]:
-        return {x["set_id"]: sorted(x["precisions"]) for x in self.catalog.where(F.col("set_id").isin(ids)).select("set_id", "precisions").collect()}
+        """Of the sets that are there."""
+        return {s: p for s, (_, p) in self.shapes(ids).items() if p}
 
 
 def catalog_of(cards: DataFrame, schedule="ladder") -> DataFrame:
@@ -294,29 +304,30 @@ RANGES = 128
 BROADCAST_ROWS = 1 << 20
 
 
-def pruned(dictionary: DataFrame, prefixes: DataFrame, r: int, shard_bits: int) -> DataFrame:
-    """The part of the dictionary that r-bit prefixes (hv) can be in: their shards (at most 2^shard_bits numbers), or few ranges of hashes."""
-    few = [x["hv"] for x in prefixes.select("hv").distinct().limit(RANGES + 1).collect()]
-    if not few:
-        return dictionary.where(F.lit(False))
+def pruned(dictionary: DataFrame, prefixes: DataFrame, r: int, shard_bits: int) -> tuple[DataFrame, int]:
+    """The part of the dictionary that r-bit prefixes (hv) can be in: their shards (at most 2^shard_bits numbers), or few ranges of
+    hashes. Also the number of rows of `prefixes`."""
+    shard = F.shiftrightunsigned("hv", r - shard_bits) if r >= shard_bits else F.lit(None).cast("long")
+    told = prefixes.agg(F.count("*").alias("n"), F.collect_set(shard).alias("shards")).first()
+    if not told["n"]:
+        return dictionary.where(F.lit(False)), 0
     if r >= shard_bits:
-        shard = F.shiftrightunsigned("hv", r - shard_bits)
-        touched = sorted({v >> (r - shard_bits) for v in few}) if len(few) <= RANGES else [x["s"] for x in prefixes.select(shard.alias("s")).distinct().collect()]
-        dictionary = dictionary.where(F.col("shard").isin(touched))
-    if len(few) <= RANGES:
+        dictionary = dictionary.where(F.col("shard").isin(sorted(told["shards"])))
+    few = [x["hv"] for x in prefixes.select("hv").distinct().limit(RANGES + 1).collect()] if told["n"] <= 64 * RANGES else []
+    if 0 < len(few) <= RANGES:
         low = WIDTH - r
         some = F.lit(False)
         for v in sorted(few):
             some = some | ((F.col("hs") >= F.lit(v << low)) & (F.col("hs") <= F.lit(((v + 1) << low) - 1)))
         dictionary = dictionary.where(some)
-    return dictionary
+    return dictionary, told["n"]
 
 
 def lookup(dictionary: DataFrame, hv: DataFrame, r: int, shard_bits: int | None = None) -> DataFrame:
     """All elements (set_id, elem, hv) whose r-bit prefix is among (set_id, hv). With shard_bits, only touched shards are read."""
     wanted = hv.select("set_id", "hv").distinct()
     if shard_bits is not None:
-        dictionary = pruned(dictionary, wanted, r, shard_bits)
+        dictionary, _ = pruned(dictionary, wanted, r, shard_bits)
     return dictionary.withColumn("hv", F.shiftrightunsigned("hs", WIDTH - r)).join(wanted, ["set_id", "hv"], "left_semi").select("set_id", "elem", "hv")
 
 
@@ -324,7 +335,7 @@ def lookup(dictionary: DataFrame, hv: DataFrame, r: int, shard_bits: int | None
 
 
 def members(rungs: DataFrame) -> DataFrame:
-    """(set_id, r, hv): stored rungs unpacked."""
+    """(set_id, r, hv): stored rungs unpacked. In a grown store a value may stand in several slices of its bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -445,29 +456,63 @@ def combine(rungs: DataFrame, left: str, right: str, op: str, b: int | None = No
 # -- growth ---------------------------------------------------------------------------------------------
 
 
-def append_elements(ladder: Ladder, batch: DataFrame) -> Ladder:
-    """The ladder after new (set_id, elem) pairs; pairs that it holds already change nothing.
+@dataclass
+class Growth:
+    """What a batch of new (set_id, elem) pairs changes: pairs that are really new, and the sets they meet.
 
-    Where size, precisions and bucket parameter of a set stay in shape, its touched buckets take the new prefixes by a packed
-    union. New sets, and sets that have outgrown their shape, are built anew from the dictionary.
+    Where size, precisions and bucket parameter of a set stay in shape (`same`), its buckets take new prefixes; new sets, and sets that
+    have outgrown their shape (`other`), are built anew from the dictionary.
     """
-    fresh = batch.select("set_id", "elem").distinct().join(ladder.dictionary.select("set_id", "elem"), ["set_id", "elem"], "left_anti")
-    more = fresh.groupBy("set_id").agg(F.count("*").alias("more"))
-    before = ladder.catalog.select("set_id", F.col("card").alias("old"), F.col("b").alias("old_b"), F.col("precisions").alias("old_p"))
-    grown = more.join(before, "set_id", "left").withColumn("card", F.col("more") + F.coalesce("old", F.lit(0)))
-    shape = grown.select("set_id", "card", "old_b", "old_p", balanced_b_column(F.col("card")).alias("b"), precisions_column(F.col("card"), ladder.schedule).alias("p"))
-    # a set that is large enough for another kind of place changes b as well
-    keeps = F.coalesce((F.col("b") == F.col("old_b")) & (F.col("p") == F.col("old_p")), F.lit(False))
-    same, other = shape.where(keeps).select("set_id", "b", "p"), shape.where(~keeps).select("set_id")
-
-    new = with_hash(fresh, ladder.kind, ladder.seed)
-    prefixes = new.join(same, "set_id").select("set_id", "hs", "b", F.explode("p").alias("r")).select("set_id", "r", "b", F.call_function("shiftrightunsigned", F.col("hs"), F.lit(WIDTH) - F.col("r")).alias("hv"))
-    b_of_rung = F.least("b", "r")
-    prefixes = prefixes.select("set_id", "r", b_of_rung.alias("b"), "hv", F.call_function("shiftrightunsigned", F.col("hv"), F.col("r") - b_of_rung).alias("bucket"))
+
+    ladder: Ladder
+    fresh: DataFrame
+    same: DataFrame
+    other: DataFrame
+    cards: DataFrame
+
+    @staticmethod
+    def of(ladder: Ladder, batch: DataFrame) -> Growth:
+        pairs = staged(with_hash(batch.select("set_id", "elem").distinct(), ladder.kind, ladder.seed), "batch")
+        # of the dictionary, only the shards that the batch touches are read, and a small batch is broadcast to them
+        known = lookup(ladder.dictionary, pairs.select("set_id", F.col("hs").alias("hv")), WIDTH, ladder.shard_bits)
+        fresh = staged(pairs.select("set_id", "elem").join(known.select("set_id", "elem"), ["set_id", "elem"], "left_anti"), "fresh")
+        more = fresh.groupBy("set_id").agg(F.count("*").alias("more"))
+        before = ladder.catalog.select("set_id", F.col("card").alias("old"), F.col("b").alias("old_b"), F.col("precisions").alias("old_p"))
+        grown = more.join(before, "set_id", "left").withColumn("card", F.col("more") + F.coalesce("old", F.lit(0)))
+        shape = grown.select("set_id", "card", "old_b", "old_p", balanced_b_column(F.col("card")).alias("b"), precisions_column(F.col("card"), ladder.schedule).alias("p"))
+        # a set that is large enough for another kind of place changes b as well
+        keeps = F.coalesce((F.col("b") == F.col("old_b")) & (F.col("p") == F.col("old_p")), F.lit(False))
+        return Growth(ladder, fresh, shape.where(keeps).select("set_id", "b", "p"), shape.where(~keeps).select("set_id"), grown.select("set_id", "card"))
+
+    def prefixes(self) -> DataFrame:
+        """(set_id, r, b, hv, bucket) that sets in shape take."""
+        new = with_hash(self.fresh, self.ladder.kind, self.ladder.seed)
+        every = new.join(self.same, "set_id").select("set_id", "hs", "b", F.explode("p").alias("r")).select("set_id", "r", F.least("b", "r").alias("b"), F.call_function("shiftrightunsigned", F.col("hs"), F.lit(WIDTH) - F.col("r")).alias("hv"))
+        return every.withColumn("bucket", F.call_function("shiftrightunsigned", F.col("hv"), F.col("r") - F.col("b")))
+
+    def rebuilt(self) -> DataFrame:
+        """All rungs of the sets that are built anew."""
+        held = self.ladder.dictionary.select("set_id", "elem").join(self.other, "set_id", "left_semi")
+        whole = held.union(self.fresh.join(self.other, "set_id", "left_semi"))
+        return build_rungs(whole, self.ladder.schedule, self.ladder.shard_bits, self.ladder.kind, self.ladder.seed)
+
+    def entries(self) -> DataFrame:
+        return build_dict(self.fresh, self.ladder.shard_bits, self.ladder.kind, self.ladder.seed)
+
+    def catalog(self) -> DataFrame:
+        old = self.ladder.catalog.select("set_id", "card").join(self.cards.select("set_id"), "set_id", "left_anti")
+        return catalog_of(old.union(self.cards), self.ladder.schedule)
+
+
+def append_elements(ladder: Ladder, batch: DataFrame) -> Ladder:
+    """The ladder after new (set_id, elem) pairs; pairs that it holds already change nothing. Touched buckets take the new prefixes by a
+    packed union, all others go along as they are."""
+    growth = Growth.of(ladder, batch)
+    prefixes = growth.prefixes()
     group = F.shiftrightunsigned("bucket", GROUP_BITS).alias("g")
     touched = prefixes.select("set_id", "r", "bucket").distinct()
     old = ladder.rungs.select(*NAMES)
-    stay = old.join(touched, ["set_id", "r", "bucket"], "left_anti").join(other, "set_id", "left_anti").select(*NAMES)
+    stay = old.join(touched, ["set_id", "r", "bucket"], "left_anti").join(growth.other, "set_id", "left_anti").select(*NAMES)
     take = old.join(touched, ["set_id", "r", "bucket"], "left_semi").select(*NAMES)
 
     def unite(key: tuple, rows: pa.Table, more: pa.Table) -> pa.Table:
@@ -482,30 +527,56 @@ def append_elements(ladder: Ladder, batch: DataFrame) -> Ladder:
         return pa.Table.from_batches([rung_batch(parts)])
 
     united = take.groupBy("set_id", "r", group).cogroup(prefixes.groupBy("set_id", "r", group)).applyInArrow(unite, RUNGS)
-    whole = ladder.dictionary.select("set_id", "elem").join(other, "set_id", "left_semi").union(fresh.join(other, "set_id", "left_semi"))
-    rebuilt = build_rungs(whole, ladder.schedule, ladder.shard_bits, ladder.kind, ladder.seed)
-    cards = ladder.catalog.select("set_id", "card").join(more.select("set_id"), "set_id", "left_anti").union(grown.select("set_id", "card"))
-    entries = build_dict(fresh, ladder.shard_bits, ladder.kind, ladder.seed)
-    return replace(ladder, catalog=catalog_of(cards, ladder.schedule), rungs=stay.union(united).union(rebuilt), dictionary=ladder.dictionary.union(entries))
+    return replace(ladder, catalog=growth.catalog(), rungs=stay.union(united).union(growth.rebuilt()), dictionary=ladder.dictionary.union(growth.entries()))
+
+
+def delta_of(ladder: Ladder, batch: DataFrame) -> tuple[Ladder, DataFrame]:
+    """Only what a batch adds, as slices of buckets beside the stored ones, with the whole catalog; and the sets that it replaces."""
+    growth = Growth.of(ladder, batch)
+
+    def slices(rows: pa.Table) -> pa.Table:
+        r, b = rows["r"][0].as_py(), rows["b"][0].as_py()
+        hv = np.unique(rows["hv"].to_numpy()).astype(np.uint64)
+        return pa.Table.from_batches([rung_batch([(rows["set_id"][0].as_py(), -1, r, b, *encode(hv, r, b))])])
+
+    added = growth.prefixes().groupBy("set_id", "r", F.shiftrightunsigned("bucket", GROUP_BITS).alias("g")).applyInArrow(slices, RUNGS)
+    return replace(ladder, catalog=growth.catalog(), rungs=added.union(growth.rebuilt()), dictionary=growth.entries()), growth.other
 
 
 # -- the store --------------------------------------------------------------------------------------------
 
+#: Versions that a read puts together at most: an append to a longer chain writes a whole version again.
+CHAIN = 8
 
-def versions(spark: SparkSession, path: str, name: str) -> list[int]:
-    """Complete versions of a family, oldest first."""
+
+def _complete(spark: SparkSession, path: str, name: str) -> dict[int, int]:
+    """Complete versions and what each stands on (itself, if it is whole), from the names of their marks."""
     fs, folder = file_system(spark, f"{path}/{name}")
     if not fs.exists(folder):
-        return []
-    found = [str(s.getPath().getName()) for s in fs.listStatus(folder)]
-    return sorted(int(x.removeprefix("complete-")) for x in found if x.startswith("complete-"))
+        return {}
+    names = [str(s.getPath().getName()) for s in fs.listStatus(folder)]
+    return dict(tuple(map(int, x.split("-")[1:])) for x in names if x.startswith("complete-"))
+
+
+def versions(spark: SparkSession, path: str, name: str) -> list[int]:
+    """Complete versions of a family, oldest first."""
+    return sorted(_complete(spark, path, name))
+
+
+def _chain(base: dict[int, int], version: int) -> list[int]:
+    """A version and those it stands on, down to a whole one."""
+    out = [version]
+    while base[out[-1]] != out[-1]:
+        out.append(base[out[-1]])
+    return out
 
 
-def store_ladder(ladder: Ladder, spark: SparkSession, path: str, name: str, version: int | None = None, keep: int = 2) -> int:
-    """Writes a ladder as the next version of a family (or as a given one, over what an interrupted write left), and drops versions older
-    than the last `keep`. Readers see it when all of it is there."""
-    have = versions(spark, path, name)
-    number = version if version is not None else (have[-1] + 1 if have else 0)
+def store_ladder(ladder: Ladder, spark: SparkSession, path: str, name: str, version: int | None = None, keep: int = 2, base: int | None = None, replaced: DataFrame | None = None) -> int:
+    """Writes a ladder as the next version of a family (or as a given one, over what an interrupted write left), and drops versions that
+    none of the last `keep` stands on. With `base` it holds only what that version lacks, and `replaced` names the sets whose earlier
+    rungs don't count any more. Readers see it when all of it is there."""
+    have = _complete(spark, path, name)
+    number = version if version is not None else (max(have) + 1 if have else 0)
     at = f"{path}/{name}/v{number}"
     ladder.rungs.write.mode("overwrite").partitionBy("r").parquet(f"{at}/rungs")
     # small pages, so that a range of hashes skips most of a shard
@@ -513,12 +584,15 @@ def store_ladder(ladder: Ladder, spark: SparkSession, path: str, name: str, vers
     options = [F.lit(ladder.shard_bits).alias("shard_bits"), F.lit(ladder.kind).alias("kind"), F.lit(ladder.seed).alias("seed"), F.lit(repr(ladder.schedule)).alias("schedule")]
     ladder.catalog.coalesce(1).write.mode("overwrite").parquet(f"{at}/catalog")
     spark.range(1).select(*options).coalesce(1).write.mode("overwrite").parquet(f"{at}/options")
-    fs, done = file_system(spark, f"{path}/{name}/complete-{number}")
+    if replaced is not None:
+        replaced.coalesce(1).write.mode("overwrite").parquet(f"{at}/replaced")
+    fs, done = file_system(spark, f"{path}/{name}/complete-{number}-{number if base is None else base}")
     fs.create(done, True).close()
-    for old in have:
-        if old <= number - keep:
-            for part in (f"complete-{old}", f"v{old}"):
-                fs.delete(file_system(spark, f"{path}/{name}/{part}")[1], True)
+    have[number] = number if base is None else base
+    needed = {v for last in sorted(have)[-keep:] for v in _chain(have, last)}
+    for old in set(have) - needed:
+        for part in (f"complete-{old}-{have[old]}", f"v{old}"):
+            fs.delete(file_system(spark, f"{path}/{name}/{part}")[1], True)
     return number
 
 
@@ -529,21 +603,34 @@ def write_ladder(family: DataFrame, path: str, name: str, **options) -> None:
 
 def read_ladder(spark: SparkSession, path: str, name: str, kind: str | None = None, version: int | None = None) -> Ladder:
     """The newest complete version of a family. A hash kind other than the one it was stored with is refused."""
-    have = versions(spark, path, name)
+    have = _complete(spark, path, name)
     if not have or version is not None and version not in have:
         raise FileNotFoundError(f"no complete version of {name} in {path}")
-    at = f"{path}/{name}/v{have[-1] if version is None else version}"
+    chain = _chain(have, max(have) if version is None else version)
+    at = f"{path}/{name}/v{chain[0]}"
     o = spark.read.parquet(f"{at}/options").first()
     if kind is not None and kind != o["kind"]:
         raise ValueError(f"{name} is stored with hash kind {o['kind']}, not {kind}")
-    import ast
-
-    rungs = spark.read.schema(RUNGS).parquet(f"{at}/rungs").select(*NAMES)
-    dictionary = spark.read.schema("set_id string, hs long, elem long, shard long").parquet(f"{at}/dict").select("set_id", "shard", "hs", "elem")
+    rungs = dictionary = gone = None
+    for v in chain:  # newest first: a version's replaced sets hide the rungs of all before it
+        folder = f"{path}/{name}/v{v}"
+        part = spark.read.schema(RUNGS).parquet(f"{folder}/rungs").select(*NAMES)
+        entries = spark.read.schema("set_id string, hs long, elem long, shard long").parquet(f"{folder}/dict").select("set_id", "shard", "hs", "elem")
+        part = part if gone is None else part.join(gone, "set_id", "left_anti").select(*NAMES)
+        rungs, dictionary = (part, entries) if rungs is None else (rungs.union(part), dictionary.union(entries))
+        if have[v] != v:
+            names = spark.read.schema("set_id string").parquet(f"{folder}/replaced")
+            gone = names if gone is None else gone.union(names)
     return Ladder(spark.read.parquet(f"{at}/catalog"), rungs, dictionary, o["shard_bits"], o["kind"], o["seed"], ast.literal_eval(o["schedule"]))
 
 
-def append_to_store(spark: SparkSession, path: str, name: str, batch: DataFrame, version: int | None = None) -> int:
-    """The newest version (before `version`, if given) with a batch appended, as a version of its own. Doing it again gives the same."""
-    have = [v for v in versions(spark, path, name) if version is None or v < version]
-    return store_ladder(append_elements(read_ladder(spark, path, name, version=have[-1]), batch), spark, path, name, version)
+def append_to_store(spark: SparkSession, path: str, name: str, batch: DataFrame, version: int | None = None, most: int = CHAIN) -> int:
+    """The newest version (before `version`, if given) with a batch appended, as a version of its own that holds only what is new; after
+    `most` of those, a whole one. Doing it again gives the same."""
+    have = {v: b for v, b in _complete(spark, path, name).items() if version is None or v < version}
+    last = max(have)
+    old = read_ladder(spark, path, name, version=last)
+    if len(_chain(have, last)) >= most:
+        return store_ladder(append_elements(old, batch), spark, path, name, version)
+    delta, replaced = delta_of(old, batch)
+    return store_ladder(delta, spark, path, name, version, base=last, replaced=replaced)

@@ -274,8 +274,32 @@ def _per_user():
     return Window.partitionBy("user_id").orderBy("ts", "event_id")
 
 
+def ranked_in_ranges(df: DataFrame, part: str, key: str, width: int) -> DataFrame:
+    """Adds rk and dr, rank and dense rank by an integer key within a part, where a part may be a large share of all rows.
+
+    Rows are ranked inside ranges of `width` keys; what comes before a range is added from a table of ranges, which is as much smaller
+    than the rows as a range has rows.
+    """
+    cut = df.withColumn("range", F.floor(F.col(key) / width))
+    sums = cut.groupBy(part, "range").agg(F.count("*").alias("n"), F.countDistinct(key).alias("d"))
+    so_far = Window.partitionBy(part).orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
+    before = sums.select(part, "range", *[F.coalesce(F.sum(c).over(so_far), F.lit(0)).alias(f"{c}_before") for c in "nd"])
+    inside = Window.partitionBy(part, "range").orderBy(key)
+    ranked = cut.join(before, [part, "range"]).withColumns({"rk": F.rank().over(inside) + F.col("n_before"), "dr": F.dense_rank().over(inside) + F.col("d_before")})
+    return ranked.drop("range", "n_before", "d_before")
+
+
+def counted_in_ranges(df: DataFrame, part: str, key: str, span: int) -> DataFrame:
+    """Adds `hour`, the rows of the same part at most `span` before a row. Ranges as wide as the span: a row goes to its own and, to be
+    counted only, to the next."""
+    own = df.withColumn("range", F.floor(F.col(key) / span)).withColumn("here", F.lit(True))
+    copies = own.withColumn("range", F.col("range") + 1).withColumn("here", F.lit(False))
+    window = Window.partitionBy(part, "range").orderBy(key).rangeBetween(-span, 0)
+    return own.unionByName(copies).withColumn("hour", F.count("*").over(window)).where("here").drop("range", "here")
+
+
 op("win_rank", f"SELECT o_orderkey, CAST(row_number() {_W}) AS INT) AS rn, CAST(rank() OVER (PARTITION BY o_orderpriority ORDER BY o_custkey) AS INT) AS rk, CAST(dense_rank() OVER (PARTITION BY o_orderpriority ORDER BY o_custkey) AS INT) AS dr, CAST(ntile(4) {_W}) AS INT) AS nt, round(percent_rank() {_W}), 6) AS pr, round(cume_dist() {_W}), 6) AS cd FROM orders")(
-    tab("orders")(lambda t: t.select("o_orderkey", F.row_number().over(_cust()).alias("rn"), F.rank().over(w := Window.partitionBy("o_orderpriority").orderBy("o_custkey")).alias("rk"), F.dense_rank().over(w).alias("dr"), F.ntile(4).over(_cust()).alias("nt"), F.round(F.percent_rank().over(_cust()), 6).alias("pr"), F.round(F.cume_dist().over(_cust()), 6).alias("cd")))
+    tab("orders")(lambda t: ranked_in_ranges(t, "o_orderpriority", "o_custkey", 100).select("o_orderkey", F.row_number().over(_cust()).alias("rn"), F.col("rk").cast("int").alias("rk"), F.col("dr").cast("int").alias("dr"), F.ntile(4).over(_cust()).alias("nt"), F.round(F.percent_rank().over(_cust()), 6).alias("pr"), F.round(F.cume_dist().over(_cust()), 6).alias("cd")))
 )
 _EW = "OVER (PARTITION BY user_id ORDER BY ts, event_id"
 op("win_lag_lead", f"SELECT event_id, lag(event_id) {_EW}) AS before, lead(event_id, 2) {_EW}) AS after, first_value(event_id) {_EW}) AS first, nth_value(event_id, 2) {_EW} ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second FROM events")(
@@ -285,7 +309,7 @@ op("win_rows_frame", f"SELECT o_orderkey, round(sum(o_totalprice) {_W} ROWS UNBO
     tab("orders")(lambda t: t.select("o_orderkey", F.round(F.sum("o_totalprice").over(_cust().rowsBetween(Window.unboundedPreceding, 0)), 2).alias("running"), F.round(F.sum("o_totalprice").over(_cust().rowsBetween(-2, 0)), 2).alias("moving")))
 )
 op("win_range_frame", "SELECT event_id, CAST(count(*) OVER (PARTITION BY event_type ORDER BY CAST(floor(epoch(ts)) AS BIGINT) RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS BIGINT) AS hour FROM events")(
-    tab("events")(lambda t: t.withColumn("sec", F.unix_timestamp(F.col("ts").cast("timestamp"))).select("event_id", F.count("*").over(Window.partitionBy("event_type").orderBy("sec").rangeBetween(-3600, 0)).alias("hour")))
+    tab("events")(lambda t: counted_in_ranges(t.select("event_id", "event_type", F.unix_timestamp(F.col("ts").cast("timestamp")).alias("sec")), "event_type", "sec", 3600).select("event_id", "hour"))
 )
 _M3 = "month_customers"
 _SET = lambda m: f"SELECT elem FROM fam WHERE set_id = '{m}'"

@@ -144,8 +144,8 @@ op("stream_stream_join", "SELECT a.event_id AS error_id, b.event_id AS purchase_
 
 
 def grow_ladder(stream: DataFrame, r: int = 18, path: str | None = None) -> DataFrame:
-    """Rungs of the sets event_type -> user_id, taken up batch by batch. Each batch stores the next version, under its own number, on top of
-    the newest one before it, so a repeated batch or a restart from the checkpoint gives the same."""
+    """Rungs of the sets event_type -> user_id, taken up batch by batch. Each batch stores what is new as a version under its own number, on
+    top of the newest one before it, so a repeated batch or a restart from the checkpoint gives the same."""
     spark, path = stream.sparkSession, path or scratch(stream.sparkSession, "stream")
 
     def take(batch: DataFrame, number: int) -> None:
@@ -156,7 +156,7 @@ def grow_ladder(stream: DataFrame, r: int = 18, path: str | None = None) -> Data
             L.store_ladder(L.build_ladder(pairs, schedule=[r]), spark, path, "sets", version=number)
 
     stream.writeStream.foreachBatch(take).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start().awaitTermination()
-    return L.members(L.read_ladder(spark, path, "sets").rungs)
+    return L.members(L.read_ladder(spark, path, "sets").rungs).distinct()
 
 
 op("stream_ladder", f"SELECT DISTINCT event_type AS set_id, CAST(18 AS INT) AS r, {mother_hash_sql('user_id')} >> {WIDTH - 18} AS hv FROM events")(lambda s, d: grow_ladder(cut_stream(s, d)))

@@ -317,19 +317,19 @@ MEMBERS_SQL = f"WITH fam AS ({family_sql(*FLAGS)}), {RUNG_SQL} SELECT DISTINCT f
 
 @query("ladder_append", fam_with(f"SELECT DISTINCT set_id, 18 AS r, {hv_sql(18)} AS hv FROM fam", *FLAGS))
 def ladder_append(spark, folder):
-    return L.members(_grown(spark, folder, "elem % 3 > 0", "elem % 3 = 0", schedule=[18]).rungs)
+    return L.members(_grown(spark, folder, "elem % 3 > 0", "elem % 3 = 0", schedule=[18]).rungs).distinct()
 
 
 @query("ladder_append_new_sets", MEMBERS_SQL)
 def ladder_append_new_sets(spark, folder):
     """Two sets that the store has never seen come with the batch."""
-    return L.members(_grown(spark, folder, "set_id not in ('NO', 'RF')", "set_id in ('NO', 'RF')").rungs)
+    return L.members(_grown(spark, folder, "set_id not in ('NO', 'RF')", "set_id in ('NO', 'RF')").rungs).distinct()
 
 
 @query("ladder_append_grows", MEMBERS_SQL)
 def ladder_append_grows(spark, folder):
     """Sets grow from a few elements past several powers of two, in batches that also repeat what is there."""
-    return L.members(_grown(spark, folder, "elem % 64 = 0", "elem % 16 = 0", "elem % 2 = 0", "true").rungs)
+    return L.members(_grown(spark, folder, "elem % 64 = 0", "elem % 16 = 0", "elem % 2 = 0", "true").rungs).distinct()
 
 
 def _of_store(ladder: L.Ladder) -> DataFrame:
