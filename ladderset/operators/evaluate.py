@@ -43,6 +43,13 @@ def precision(e: Expr, family: DataFrame, r: int | None, c: int = 1) -> int:
     return choose_r(list(sizes(e, family).values()), c) if r is None else r
 
 
+def planned_precision(family: DataFrame) -> int:
+    """A precision that is enough, without a pass over the sets: from the optimiser's estimate of their bytes, of which every row takes one at
+    least. Too large a precision only costs bits of a column; sizes are counted where the estimate knows nothing."""
+    size = int(str(family._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return choose_r([size]) if size < 1 << 50 else choose_r([family.count()])
+
+
 def marked(e: Expr, family: DataFrame) -> DataFrame:
     """(elem, m0, m1, ...): inputs of the expression with the leaves each belongs to, as bits. The table of leaves is as small as the expression."""
     masks: dict[str, list[int]] = {}
@@ -125,7 +132,7 @@ def evaluate(e: Expr | str, family: DataFrame, mode: str = "path", how: str = "m
         return probe_stored(ids, store) if store else probe(ids, family)
     if tier == "packed":
         return evaluate_packed(e, store, r=r, mode=mode, cap=cap, ordered=ordered)
-    r = precision(e, family, r)
+    r = planned_precision(family) if r is None else r
     if tier == "nodes":
         h = sketch_by_node(e, family, r, cap, ordered, kind, sampled=sampled)
         return finish(e, shrink(e, family, r, "global", kind, seed, h), how)

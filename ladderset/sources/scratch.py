@@ -11,11 +11,16 @@ from pyspark.sql import DataFrame, SparkSession
 _made: list[tuple[SparkSession, str]] = []
 
 
+def goes_with_session(spark: SparkSession, path: str) -> None:
+    """Marks a folder to be removed when the program ends."""
+    _made.append((spark, path))
+
+
 def scratch(spark: SparkSession, label: str) -> str:
     """A new folder shared by driver and executors: below spark.checkpoint.dir, or else below the warehouse. It goes with the session."""
     root = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")
     path = f"{root.rstrip('/')}/{label}-{uuid.uuid4().hex[:12]}"
-    _made.append((spark, path))
+    goes_with_session(spark, path)
     return path
 
 
