@@ -317,14 +317,15 @@ def _verified_inside(found: DataFrame, tiles: DataFrame, sets: DataFrame, num: i
 
 
 def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
-    """(cid, label) of every vertex of the edges (a, b): label is the smallest vertex of its component."""
-    both = scratch.stage(edges.union(edges.select("b", "a")).toDF("cid", "other").distinct(), "edges")
-    labels = scratch.stage(both.groupBy("cid").agg(F.least("cid", F.min("other")).alias("label")), "labels")
+    """(cid, label) of every vertex of the edges (a, b), a staged table: label is the smallest vertex of its component."""
+    rows = 2 * edges.count()  # bounds the vertices too
+    both = scratch.stage(edges.union(edges.select("b", "a")).toDF("cid", "other").distinct(), "edges", rows)
+    labels = scratch.stage(both.groupBy("cid").agg(F.least("cid", F.min("other")).alias("label")), "labels", rows)
     while True:
         near = both.join(labels.select(F.col("cid").alias("other"), "label"), "other").groupBy("cid").agg(F.min("label").alias("near"))
         lower = labels.join(near, "cid").select("cid", F.col("label").alias("old"), F.least("label", "near").alias("label"))
         jump = labels.select(F.col("cid").alias("label"), F.col("label").alias("root"))
-        new = scratch.stage(lower.join(jump, "label", "left").select("cid", "old", F.least("label", "root").alias("label")), "labels")
+        new = scratch.stage(lower.join(jump, "label", "left").select("cid", "old", F.least("label", "root").alias("label")), "labels", rows)
         scratch.drop(labels)
         labels = new
         if not new.where("old <> label").limit(1).count():
@@ -360,7 +361,7 @@ class Joined:
     def links(self) -> DataFrame:
         """(cid, linked, others) of all links between classes."""
         wide = self.labels.groupBy("label").agg(F.ceil(F.count("*") / TILE).cast("int").alias("tiles"))
-        tiles = self.scratch.stage(self.labels.join(wide, "label").select("cid", "label", F.pmod(F.xxhash64("cid"), "tiles").cast("int").alias("tile")), "tiles")
+        tiles = self.scratch.stage(self.labels.join(wide, "label").select("cid", "label", F.pmod(F.xxhash64("cid"), "tiles").cast("int").alias("tile")), "tiles", self.labels.count())
         again = self.alive.drop("other", "label").join(tiles, "cid").select(*[x.split()[0] for x in BUCKET.split(", ")], "tile")
         found = self.scratch.stage(_candidates(again, self.num, self.den, closest=False, inside=True), "inside")
         return _verified_inside(found, tiles, self.sets.join(self.sizes().select("cid", "docs"), "cid"), self.num, self.den)
@@ -396,14 +397,15 @@ def _join(docs: DataFrame, k: int, num: int, den: int, id_col: str, text_col: st
     def pairs_of(df: DataFrame) -> DataFrame:
         return df.select(F.least("cid", "other").alias("a"), F.greatest("cid", "other").alias("b")).distinct()
 
-    links = scratch.stage(_verified(pairs_of(alive), sets, num, den), "links")
+    rows = alive.count()  # a candidate each, so a bound on its pairs
+    links = scratch.stage(_verified(pairs_of(alive), sets, num, den), "links", 8 * rows)  # verifying is more work than its rows tell
     labels = components(links, scratch)
     for last in [False] * (PROPOSALS - 1) + [True]:
         again = alive.drop("other", "label").join(labels, "cid", "left").withColumn("label", F.coalesce("label", "cid")).select(*[x.split()[0] for x in BUCKET.split(", ")])
         found = _candidates(again, num, den, closest=not last)
         more = scratch.stage(_verified(found.distinct() if last else pairs_of(found), sets, num, den), "links")
         if more.limit(1).count():
-            links = scratch.stage(links.union(more).distinct(), "links")
+            links = scratch.stage(links.union(more).distinct(), "links", links.count() + more.count())
             labels = components(links, scratch)
     return Joined(scratch, members, classes, alive, sets, labels, num, den)
 

@@ -8,6 +8,8 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.scratch import goes_with_session
+
 _LOCAL: dict[str, str] = {}
 
 
@@ -22,19 +24,24 @@ def scratch_root(spark: SparkSession) -> str:
 
 
 class Scratch:
-    """Staged tables of one operator run. Each is written once as Parquet, so a lost executor costs no earlier work."""
+    """Staged tables of one operator run. Each is written once as Parquet, so a lost executor costs no earlier work; they go when the
+    program ends."""
 
     def __init__(self, spark: SparkSession, name: str):
         self.spark = spark
         self.path = f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex[:12]}"
+        goes_with_session(spark, self.path)
         self._n = 0
 
     def new_path(self, label: str) -> str:
         self._n += 1
         return f"{self.path}/{self._n:02d}-{label}"
 
-    def stage(self, df: DataFrame, label: str) -> DataFrame:
+    def stage(self, df: DataFrame, label: str, rows: int | None = None) -> DataFrame:
+        """The same rows, from files; with `rows`, a bound on narrow rows, in no more files than they fill."""
         path = self.new_path(label)
+        if rows is not None:
+            df = df.coalesce(max(4, -(-rows // ROWS_OF_A_FILE)))
         df.write.parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
         out._scratch_path = path
@@ -48,6 +55,8 @@ class Scratch:
             path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
+#: Narrow rows of a staged file, about 1 MB.
+ROWS_OF_A_FILE = 25_000
 BITMAP_BITS = 1 << 21
 _WORD = 64
 
