@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import WIDTH
 from ..plans.choose import shard_bits_for
-from ..plans.expr import Expr, balance, flatten, fold
+from ..plans.expr import Expr, flatten, fold
 from . import evaluate as E
 from .ladder import with_hash
 
@@ -44,8 +44,8 @@ def wide_sketch(e: Expr | str, family: DataFrame) -> DataFrame:
 
 
 def bounded_tree(e: Expr | str, family: DataFrame) -> DataFrame:
-    """Alternating unions and intersections over elements themselves, led by size bounds; no hashing, no packing."""
-    return E.sketch_by_node(balance(flatten(E.as_expr(e))), family, 0, raw=True).select(F.col("hv").alias("elem"))
+    """Alternating unions and intersections of unbounded fan-in over elements themselves, led by size bounds; no hashing, no packing."""
+    return E.sketch_by_node(flatten(E.as_expr(e)), family, 0, raw=True).select(F.col("hv").alias("elem"))
 
 
 def gallop(ids: list[str], family: DataFrame, shard_bits: int | None = None, counts: bool = False) -> DataFrame:

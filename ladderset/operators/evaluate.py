@@ -209,7 +209,8 @@ def sketch_by_node(e: Expr | str, family: DataFrame, r: int, cap: bool = True, o
     """The root's sketch node by node, small sides of intersections first. A node that came out larger than twice its useful size is cut by
     the smallest side that is already there. With raw=True on elements themselves: the comparison-based algorithm.
 
-    Intermediates are written, so each is computed once, and cuts go by their true sizes. `record` gets (node, op, size).
+    Inputs are read once, and intermediates are written, so each is computed once and cuts go by true sizes. Operators may have any
+    number of children. `record` gets (node, op, size).
     """
     e = as_expr(e)
     known = None
@@ -221,7 +222,8 @@ def sketch_by_node(e: Expr | str, family: DataFrame, r: int, cap: bool = True, o
     rows = walk(e)
     kids = {me: [i for i, p, _ in rows if p == me] for me, _, _ in rows}
     value = F.col("elem") if raw else prefix_hash(mother_hash("elem", kind), r)
-    base = family.select("set_id", value.alias("hv"))
+    base = staged(family.where(F.col("set_id").isin(set_ids(e))).select("set_id", value.alias("hv")).distinct(), "inputs")
+    size_of = {x["set_id"]: x["n"] for x in base.groupBy("set_id").agg(F.count("*").alias("n")).collect()}
 
     def kept(df: DataFrame) -> tuple[DataFrame, int]:
         df = staged(df, "node")
@@ -230,7 +232,7 @@ def sketch_by_node(e: Expr | str, family: DataFrame, r: int, cap: bool = True, o
     def visit(me: int, cuts: list[tuple[int, DataFrame]]) -> tuple[DataFrame, int]:
         node, x = rows[me][2], info[me]
         if isinstance(node, Leaf):
-            out, size = kept(base.where(F.col("set_id") == node.set_id).select("hv").distinct())
+            out, size = base.where(F.col("set_id") == node.set_id).select("hv"), size_of.get(node.set_id, 0)
         else:
             todo = sorted(kids[me], key=lambda i: (info[i]["psi_star"], info[i]["psi"], i)) if ordered and node.op == "and" else kids[me]
             out, size = visit(todo[0], cuts)
