@@ -409,8 +409,8 @@ def packed_candidates(plan: EvalPlan, store: L.Ladder) -> DataFrame:
                 if (rest := rows.filter(pa.compute.invert(wide))).num_rows:  # finer buckets than the query's precision
                     parts += L._recoded(rest, b, high - r)
                 _, length = L.words_of(rows)
-                sets = rows["set_id"].to_pylist()
-                read = {sid: sum(n for x, n in zip(sets, length.tolist(), strict=True) if x == sid) for sid in set(sets)}
+                kinds, number = L._kinds(rows)
+                read = {sid: int(n) for (sid,), n in zip(kinds, np.bincount(number, length, len(kinds)), strict=True)}
                 # counters travel as rows without a field width
                 parts += [(sid, -2, r, b, np.zeros(1, np.int64), np.zeros(1, np.int64), 0, np.array([words, int(ops.word_ops) if i == 0 else 0], np.uint64), np.array([2])) for i, (sid, words) in enumerate(read.items())]
                 yield L.rung_batch(parts)

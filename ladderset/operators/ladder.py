@@ -346,20 +346,25 @@ def members(rungs: DataFrame) -> DataFrame:
     return rungs.select(*NAMES).mapInArrow(run, "set_id string, r int, hv long")
 
 
+def _kinds(rows: pa.RecordBatch | pa.Table, *names: str) -> tuple[list[tuple], np.ndarray]:
+    """Distinct (set_id, whole numbers of other columns), and which of them each row has."""
+    sets = rows.column("set_id")
+    sets = (pa.chunked_array([sets]) if isinstance(sets, pa.Array) else sets).combine_chunks()
+    sets = (pa.concat_arrays(sets.chunks) if isinstance(sets, pa.ChunkedArray) else sets).dictionary_encode()
+    words = sets.dictionary.to_pylist()
+    stack = np.stack([sets.indices.to_numpy(zero_copy_only=False).astype(np.int64), *(_ints(rows, n).astype(np.int64) for n in names)], 1)
+    keys, number = np.unique(stack, axis=0, return_inverse=True)
+    return [(words[k[0]], *k[1:]) for k in keys.tolist()], number.ravel()
+
+
 def _recoded(rows: pa.RecordBatch | pa.Table, b: int, drop: int = 0) -> list[Part]:
     """Rows with `drop` low bits fewer, in buckets of parameter b."""
     row, v = values_of(rows)
-    sets, shards, r = rows.column("set_id").to_pylist(), _ints(rows, "shard"), _ints(rows, "r")
-    kinds: dict[tuple, list[int]] = {}
-    for i, key in enumerate(zip(sets, shards.tolist(), r.tolist(), strict=True)):
-        kinds.setdefault(key, []).append(i)
-    number = np.empty(len(sets), np.int64)
-    for k, mine in enumerate(kinds.values()):
-        number[mine] = k
+    kinds, number = _kinds(rows, "shard", "r")
     of = number[row]
     parts = []
     for k, (sid, shard, old) in enumerate(kinds):
-        new = int(old) - drop
+        new = old - drop
         parts.append((sid, shard, new, min(b, new), *encode(np.unique(v[of == k] >> np.uint64(drop)), new, min(b, new))))
     return parts
 
@@ -403,14 +408,12 @@ def truncate(rungs: DataFrame, drop: int, ops: Ops | None = None) -> DataFrame:
 
 def cut(rows: pa.Table, drop: int, ops: Ops | None = None) -> list[list[Part]]:
     """Rows by (set, shard, r, b), their words cut by the packed kernel and packed into narrower fields."""
-    keys: dict[tuple, list[int]] = {}
-    for i, key in enumerate(zip(*(rows[c].to_pylist() for c in ("set_id", "shard", "r", "b", "f")), strict=True)):
-        keys.setdefault(key, []).append(i)
+    keys, number = _kinds(rows, "shard", "r", "b", "f")
     out = []
-    for (sid, shard, r, b, f), mine in keys.items():
+    for k, (sid, shard, r, b, f) in enumerate(keys):
         if r - drop < b:
             raise ValueError("more bits than a bucket's remainder has; re-bucket first")
-        some = rows.take(pa.array(mine))
+        some = rows.take(pa.array(np.flatnonzero(number == k)))
         bucket = np.unique(_ints(some, "bucket"))
         m = matrix_of(some, bucket, f, ops)
         if drop:
