@@ -190,14 +190,14 @@ class PieceEncoder(BatchEncoder):
             want = np.cumsum([len(pieces[i]) for i in pack])
             ends = np.searchsorted(reach, want) + 1
             if ends[-1] == len(flat) and (reach[ends - 1] == want).all() and flat.tolist() == ref:
-                for i, part in zip(pack, np.split(flat, ends[:-1]), strict=True):
-                    ids[i] = part
+                for i, a, b in zip(pack, [0, *ends[:-1].tolist()], ends.tolist(), strict=True):
+                    ids[i] = flat[a:b]
         rest = [i for i, x in enumerate(ids) if x is None]
         for i, enc in zip(rest, self._encoded([texts[i] for i in rest]), strict=True):
             want = enc.ids if texts[i] == " " else self.reference.encode(texts[i][1:])
             ids[i], same[i] = np.asarray(want, np.uint32), want == enc.ids
         self.same = np.concatenate([self.same, same])
-        self._keep(pieces, ids)
+        self._keep(pieces, ids, [np.array([len(x) for x in ids], np.int64)])
 
     def _cut(self, buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         some = np.flatnonzero(np.diff(off) > 0)

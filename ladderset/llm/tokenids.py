@@ -11,6 +11,7 @@ from __future__ import annotations
 import json
 import os
 import zlib
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -86,36 +87,42 @@ class BatchEncoder:
 
     def _learn(self, pieces: list[bytes]) -> None:
         texts = [p.decode("utf-8", "replace") for p in pieces]
-        ids: list[np.ndarray | None] = [None] * len(texts)
-        rest = list(range(len(texts)))
+        order: list[int] = []
+        ids: list[np.ndarray] = []
+        length: list[np.ndarray] = []
         if self.closes is not None:
             # words of letters alone give one closing id each, so many can share one call
-            alpha = [i for i in rest if texts[i].isalpha()]
+            alpha = [i for i, t in enumerate(texts) if t.isalpha()]
             packs = [alpha[i : i + 256] for i in range(0, len(alpha), 256)]
             encoded = self.tokenizer.encode_batch_fast([" ".join(texts[i] for i in pack) for pack in packs], add_special_tokens=False)
             for pack, enc in zip(packs, encoded, strict=True):
                 flat = np.asarray(enc.ids, np.uint32)
                 ends = np.flatnonzero(self.closes[flat]) + 1
                 if len(ends) == len(pack) and (not len(ends) or ends[-1] == len(flat)):
-                    for i, part in zip(pack, np.split(flat, ends[:-1]), strict=True):
-                        ids[i] = part
-            rest = [i for i in rest if ids[i] is None]
+                    order += pack
+                    ids.append(flat)
+                    length.append(np.diff(ends, prepend=0))
+        done = set(order)
+        rest = [i for i in range(len(texts)) if i not in done]
         for i, enc in zip(rest, self.tokenizer.encode_batch_fast([texts[i] for i in rest], add_special_tokens=False), strict=True):
-            ids[i] = np.asarray(enc.ids, np.uint32)
-        self._keep(pieces, ids)
-
-    def _keep(self, pieces: list[bytes], ids: list[np.ndarray]) -> None:
-        flat = np.concatenate(ids) if ids else np.empty(0, np.uint32)
-        ends = self.stored + np.cumsum([len(x) for x in ids])
+            order.append(i)
+            ids.append(np.asarray(enc.ids, np.uint32))
+            length.append(np.array([len(ids[-1])]))
+        self._keep([pieces[i] for i in order], ids, length)
+
+    def _keep(self, pieces: list[bytes], ids: list[np.ndarray], length: list[np.ndarray]) -> None:
+        """Remembers pieces in this order; their ids may come in any parts, `length` has as many entries as there are pieces."""
+        flat = np.concatenate([np.empty(0, np.uint32), *ids])
+        ends = self.stored + np.cumsum(np.concatenate([np.empty(0, np.int64), *length]))
         while self.stored + len(flat) > len(self.store):
             self.store = np.concatenate([self.store, np.empty_like(self.store)])
-        while self.count + len(ids) + 1 > len(self.at):
+        while self.count + len(pieces) + 1 > len(self.at):
             self.at = np.concatenate([self.at, np.zeros_like(self.at)])
         self.store[self.stored : self.stored + len(flat)] = flat
-        self.at[self.count + 1 : self.count + 1 + len(ids)] = ends
-        self.known.update(zip(pieces, range(self.count, self.count + len(ids))))
+        self.at[self.count + 1 : self.count + 1 + len(pieces)] = ends
+        self.known.update(zip(pieces, range(self.count, self.count + len(pieces)), strict=True))
         self.stored += len(flat)
-        self.count += len(ids)
+        self.count += len(pieces)
 
     def _cut(self, buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Bytes of all pieces, where each starts (and the end), and the index of each row's first piece."""
@@ -139,9 +146,10 @@ class BatchEncoder:
         words = pieces.dictionary.to_pylist()
         if self.count + len(words) > MEMORY_PIECES:
             self._forget()
-        if new := [w for w in words if w not in self.known]:
-            self._learn(new)
-        place = np.fromiter(map(self.known.__getitem__, words), np.int64, len(words))
+        place = np.fromiter(map(self.known.get, words, repeat(-1)), np.int64, len(words))
+        if len(new := np.flatnonzero(place < 0).tolist()):
+            self._learn([words[i] for i in new])
+            place[new] = [self.known[words[i]] for i in new]
         return place[pieces.indices.to_numpy(zero_copy_only=False)]
 
     def _encode_pieces(self, buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
